@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .build import build, keys_of
@@ -14,16 +18,59 @@ LETTERS = "abcdefghijklmnopqrstuvwxyz"
 FOUR = "".join(str(i % 4) for i in range(26))
 
 
-def four_letters(text: Column) -> Column:
-    return F.translate(F.lower(F.regexp_replace(text, "[^A-Za-z]", "")), LETTERS, FOUR)
+_DIGIT = np.array([i % 4 for i in range(26)], np.int64)
+_SLICE = 1 << 18
+
+
+def grams_of(texts: list[bytes], q: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(index of the text, pos from 1, gram) of every window of q letters; non-letters are dropped first."""
+    data = np.frombuffer(b"".join(texts), np.uint8) | 32
+    raw = np.frombuffer(b"".join(texts), np.uint8)
+    letter = (data >= 97) & (data <= 122) & (raw >= 65)
+    owner = np.repeat(np.arange(len(texts)), [len(t) for t in texts])[letter]
+    digit = _DIGIT[data[letter].astype(np.int64) - 97]
+    n = len(digit) - q + 1
+    if n < 1:
+        none = np.empty(0, np.int64)
+        return none, none, none
+    gram, width = digit.copy(), 1  # windows of doubling width, then the rest of q
+    parts, at, left = [], 0, q
+    powers = [(1, gram)]
+    while 2 * width <= q:
+        gram = (gram[:-width] << (2 * width)) | gram[width:]
+        width *= 2
+        powers.append((width, gram))
+    out = np.zeros(n, np.int64)
+    for width, g in reversed(powers):
+        if left >= width:
+            out = (out << (2 * width)) | g[at : at + n]
+            at, left = at + width, left - width
+    whole = np.flatnonzero(owner[:n] == owner[q - 1 :])
+    first = np.searchsorted(owner, np.arange(len(texts)))
+    return owner[whole], whole - first[owner[whole]] + 1, out[whole]
 
 
 def qgrams(df: DataFrame, text: str, q: int = 31) -> DataFrame:
-    """df's other columns, pos (from 1) and gram: each window of q letters as a base-4 number. Short or null texts have none."""
+    """df's other columns, pos (from 1) and gram: each window of q letters (31 at most) as a base-4 number. Short or null texts have none."""
     rest = [c for c in df.columns if c != text]
-    lettered = df.select(*rest, four_letters(F.col(text)).alias("_letters")).where(F.length("_letters") >= q)
-    placed = lettered.select("*", F.explode(F.sequence(F.lit(1), F.length("_letters") - q + 1)).alias("pos"))
-    return placed.select(*rest, "pos", F.conv(F.substring("_letters", F.col("pos"), F.lit(q)), 4, 10).cast("long").alias("gram"))
+    source = df.select(*rest, F.coalesce(F.col(text), F.lit("")).alias("_text"))
+    fields = ", ".join(f"`{c}` {source.schema[c].dataType.simpleString()}" for c in rest)
+    names, n_rest = [*rest, "pos", "gram"], len(rest)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            texts = batch.column(n_rest).cast(pa.large_binary()).to_pylist()
+            lo, size = 0, 0
+            for i, t in enumerate(texts):
+                size += len(t)
+                if size < _SLICE and i < len(texts) - 1:
+                    continue
+                owner, pos, gram = grams_of(texts[lo : i + 1], q)
+                kept = [batch.column(c).slice(lo).take(pa.array(owner)) for c in range(n_rest)]
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(pos.astype(np.int32)), pa.array(gram)], names)
+                lo, size = i + 1, 0
+
+    return source.mapInArrow(run, ", ".join(x for x in (fields, "pos int, gram long") if x))
 
 
 def prefilter(left: DataFrame, right: DataFrame, key_left: str, key_right: str, how: str = "inner", k: int = 10, spec: FilterSpec | None = None) -> DataFrame:

@@ -86,7 +86,7 @@ def overview(spark: SparkSession, top: int = 30) -> DataFrame:
         rows.append(("classic", k, 1 / log(2), 1 / log(2), k, k))
         for name, touched in (("cuckoo", 2), ("quotient", 1), ("vector_quotient", 2)):
             rows.append((name, k, *rival_overhead(name, k), touched, touched))
-    return spark.createDataFrame([(a, b, round(c, 9), round(d, 9), e, f) for a, b, c, d, e, f in rows], "filter string, k int, best double, worst double, insert_lines int, lookup_lines int")
+    return spark.createDataFrame([(a, b, round(c, 11), round(d, 11), e, f) for a, b, c, d, e, f in rows], "filter string, k int, best double, worst double, insert_lines int, lookup_lines int")
 
 
 def line_fpr(ones: np.ndarray, k: int, bits: str = "random") -> np.ndarray:

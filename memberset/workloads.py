@@ -1,4 +1,401 @@
-"""Registered queries of the filter engine."""
+"""Registered queries of the filter engine, each with its SQL reference where SQL can express it.
+
+Sizes of filters follow from exact key counts of the tables, so the specs in the SQL text, which knows no counts,
+use fixed geometries (the statements run at any scale; fuller filters merely answer ``maybe`` more often).
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from . import apps, build, hashing, measure, models, probe, rivals, stream
+from . import kernels as K
+from . import sqlref as R
+from .advise import advise
+from .cost import AddedCost, ExpCost, LinearCost, PowerCost, TotalCost
+from .geometry import FilterSpec
 
 QUERIES: dict = {}
 ORACLES: dict = {}
+
+
+def _load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+
+
+def query(name: str, sql: str | None = None):
+    def put(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return put
+
+
+# Fixed geometries.
+UNION = {"classic": FilterSpec("classic", 10, 1, 4, 160), "linelocal": FilterSpec("linelocal", 10, 1, 4, 160)}
+ORDERS = "orders"
+SMALL = {c: FilterSpec("choice", 10, c, 6, 8) for c in (2, 3)} | {4: FilterSpec("choice", 14, 4, 8, 8)}
+KS = (4, 7, 10, 14, 17, 20)
+GRID_LINES = 400
+KINDS = (("classic", 1), ("linelocal", 1), ("choice", 2), ("choice", 3))
+
+
+# --- hashing -----------------------------------------------------------------------------------
+for _name, _b in (("hash_odd", 1001), ("hash_pow2", 512), ("hash_even", 500)):
+
+    def _hash(spark, sf_dir, b=_b):
+        y = hashing.mul64(F.col("o_orderkey"), hashing.constant(1, 0))
+        return _load(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key64"), y.alias("y")).select("key64", hashing.reduce_to(F.col("y"), b).alias("h"))
+
+    query(_name, f"SELECT o_orderkey AS key64, {hashing.sql_hash('o_orderkey', hashing.constant(1, 0), _b)} AS h FROM orders")(_hash)
+
+
+@query(
+    "qgram_keys",
+    f"""WITH t AS (SELECT item_id, translate(lower(regexp_replace(text, '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') AS s FROM benchmark)
+SELECT item_id, CAST(pos AS INTEGER) AS pos, list_reduce(list_transform(string_split(substr(s, pos, 31), ''), lambda c: CAST(c AS BIGINT)), lambda a, b: a * 4 + b) AS gram
+FROM (SELECT item_id, s, unnest(range(1, length(s) - 29)) AS pos FROM t WHERE length(s) >= 31)""",
+)
+def qgram_keys(spark, sf_dir):
+    return apps.qgrams(_load(spark, sf_dir, "benchmark").select("item_id", "text"), "text", 31)
+
+
+def _footprints(bits: str):
+    def run(spark, sf_dir):
+        keys = build.keys_of(_load(spark, sf_dir, "part"), "p_partkey")
+        return build.candidate_rows(keys, FilterSpec("linelocal", 10, 1, 1, 1, bits)).drop("choice", "shard", "line")
+
+    return run
+
+
+_one = FilterSpec("linelocal", 10, 1, 1, 1)
+_w = ", ".join(R.SIGNED.format(v=f"max(CASE WHEN w = {i} THEN v ELSE CAST(0 AS UBIGINT) END)") + f" AS m{i}" for i in range(8))
+query(
+    "footprint_random",
+    f"WITH {R.hashed('part', 'p_partkey', _one)} SELECT key64, {_w} FROM (SELECT key64, a >> 6 AS w, bit_or(CAST(power(2, a & 63) AS UBIGINT)) AS v FROM (SELECT key64, unnest(addresses) AS a FROM h) GROUP BY ALL) GROUP BY key64",
+)(_footprints("random"))
+query("footprint_distinct")(_footprints("distinct"))
+query("footprint_sliced")(_footprints("sliced"))
+
+
+# --- builds and lookups ------------------------------------------------------------------------
+def _order_lines(spark, sf_dir, spec):
+    return build.build(build.keys_of(_load(spark, sf_dir, "orders"), "o_orderkey"), spec)
+
+
+def _even_orders(spark, sf_dir):
+    return build.keys_of(_load(spark, sf_dir, "orders").where("o_orderkey % 2 = 0"), "o_orderkey")
+
+
+for _kind, _spec in UNION.items():
+    query(f"{_kind}_build", R.union_lines(ORDERS, "o_orderkey", _spec))(lambda spark, sf_dir, spec=_spec: _order_lines(spark, sf_dir, spec))
+
+    def _probe_union(spark, sf_dir, spec=_spec):
+        lines = build.build(_even_orders(spark, sf_dir), spec)
+        return probe.probe(_load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", lines, spec)
+
+    query(f"{_kind}_probe", R.union_probe("(SELECT o_orderkey FROM orders WHERE o_orderkey % 2 = 0)", "o_orderkey", "lineitem", "l_orderkey", _spec))(_probe_union)
+
+query("linelocal_distinct_build")(lambda spark, sf_dir: _order_lines(spark, sf_dir, FilterSpec("linelocal", 10, 1, 4, 160, "distinct")))
+
+
+def _customers(spark, sf_dir):
+    return build.keys_of(_load(spark, sf_dir, "customer"), "c_custkey")
+
+
+for _c, _spec in SMALL.items():
+    query(f"choice{_c}_build", R.choice_lines("customer", "c_custkey", _spec))(lambda spark, sf_dir, spec=_spec: build.build(_customers(spark, sf_dir), spec))
+    if _c < 4:
+
+        def _probe_choice(spark, sf_dir, spec=_spec, plan="join"):
+            return probe.probe(_load(spark, sf_dir, "orders").select("o_custkey"), "o_custkey", build.build(_customers(spark, sf_dir).where("key64 % 3 = 0"), spec), spec, plan)
+
+        _third = "(SELECT c_custkey FROM customer WHERE c_custkey % 3 = 0)"
+        query(f"choice{_c}_probe", R.choice_probe(_third, "c_custkey", "orders", "o_custkey", _spec))(_probe_choice)
+        if _c == 2:
+            query("probe_by_array", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "array"))
+            query("probe_by_shard", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "shard"))
+
+query("choice2_distinct_build")(lambda spark, sf_dir: build.build(_customers(spark, sf_dir), FilterSpec("choice", 10, 2, 6, 8, "distinct")))
+query("choice_skip_count", R.choice_skips("customer", "c_custkey", SMALL[2]))(lambda spark, sf_dir: build.build_choice(_customers(spark, sf_dir), SMALL[2], report=True))
+query("choice_epochs")(lambda spark, sf_dir: build.build_epochs(_customers(spark, sf_dir), SMALL[2], 4))
+
+
+@query("choice_incremental", R.choice_lines("customer", "c_custkey", SMALL[2]))
+def choice_incremental(spark, sf_dir):
+    keys = _customers(spark, sf_dir)
+    cut = keys.agg(F.percentile_approx("key64", 0.5)).first()[0] or 0
+    first = build.build(keys.where(F.col("key64") <= cut), SMALL[2])
+    return build.insert_more(first, keys.where(F.col("key64") > cut), SMALL[2])
+
+
+@query("merge_or", R.union_lines(ORDERS, "o_orderkey", UNION["linelocal"]))
+def merge_or(spark, sf_dir):
+    keys = build.keys_of(_load(spark, sf_dir, "orders"), "o_orderkey")
+    halves = [build.build(keys.where(F.col("key64") % 2 == i), UNION["linelocal"]) for i in (0, 1)]
+    return build.merge_or(*halves)
+
+
+# --- costs -------------------------------------------------------------------------------------
+@query(
+    "cost_table",
+    f"""SELECT CAST(j AS INTEGER) AS j, CAST(a AS INTEGER) AS a, CAST(round({1 << 32} * pow({ExpCost().beta!r}, j / 128.0::DOUBLE)) AS BIGINT) + CAST(round({1 << 32} * a / 10::DOUBLE) AS BIGINT) AS cost_q
+FROM (SELECT range AS j FROM range(513)), (SELECT range AS a FROM range(11))""",
+)
+def cost_table(spark, sf_dir):
+    total, added = ExpCost().tables(10)
+    return spark.createDataFrame([(j, a, int(total[j] + added[a])) for j in range(513) for a in range(11)], "j int, a int, cost_q long")
+
+
+@query("cost_forms")
+def cost_forms(spark, sf_dir):
+    forms = (ExpCost(), TotalCost(), AddedCost(), LinearCost(), PowerCost())
+    return measure.grid(spark, [measure.cell("choice", c, 14, GRID_LINES, cost=f, bits=b) for f in forms for c in (2, 3) for b in ("random", "distinct")])
+
+
+@query("cost_beta_sweep")
+def cost_beta_sweep(spark, sf_dir):
+    betas = (1.1, 1.25, 1.5, ExpCost().beta, 2.0, 2.5, 3.0, 4.0)
+    parts = [measure.grid(spark, [measure.cell("choice", 2, 14, GRID_LINES, cost=ExpCost(beta=b))]).withColumn("beta", F.lit(b)) for b in betas]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+# --- measures ----------------------------------------------------------------------------------
+def _lines_sql(spec: FilterSpec) -> str:
+    return f"t AS ({R.union_lines(ORDERS, 'o_orderkey', spec)}), e AS (SELECT ones FROM t UNION ALL SELECT 0 FROM range({spec.shards * spec.lines} - (SELECT count(*) FROM t)))"
+
+
+_ll = UNION["linelocal"]
+query("load_histogram", f"WITH {_lines_sql(_ll)} SELECT ones, count(*) AS lines FROM e GROUP BY ones")(lambda spark, sf_dir: measure.histogram(_order_lines(spark, sf_dir, _ll), _ll).groupBy("ones").agg(F.sum("lines").alias("lines")))
+query("load_summary", f"WITH {_lines_sql(_ll)} SELECT round(avg(ones), 9) AS mean_ones, round(stddev_pop(ones), 6) AS sd_ones, max(ones) AS max_ones, round(avg(ones) / 512, 9) AS load FROM e")(
+    lambda spark, sf_dir: measure.load_summary(_order_lines(spark, sf_dir, _ll), _ll)
+)
+query("fpr_from_loads", f"WITH {_lines_sql(_ll)} SELECT 'linelocal' AS kind, 10 AS k, round(log2(avg(pow(ones / 512.0::DOUBLE, 10))), 9) AS log2_fpr FROM e")(lambda spark, sf_dir: measure.fpr_from_loads(_order_lines(spark, sf_dir, _ll), _ll))
+query(
+    "shard_balance",
+    f"SELECT CAST(shard AS INTEGER) AS shard, count(*) AS keys FROM (SELECT {hashing.sql_hash('x', hashing.constant(1, K.SHARD), 8)} AS shard FROM (SELECT {hashing.sql_premix('l_orderkey')} AS x FROM lineitem)) GROUP BY shard",
+)(lambda spark, sf_dir: measure.shard_balance(build.keys_of(_load(spark, sf_dir, "lineitem"), "l_orderkey"), FilterSpec(shards=8)))
+
+
+@query("false_negatives_zero", "SELECT kind, CAST(0 AS BIGINT) AS misses FROM (VALUES ('classic'), ('linelocal'), ('choice2'), ('choice3')) t(kind)")
+def false_negatives_zero(spark, sf_dir):
+    keys, out = build.keys_of(_load(spark, sf_dir, "orders"), "o_orderkey"), []
+    for name, spec in measure.four_kinds(keys.count(), 10).items():
+        out.append(probe.probe(keys, "key64", build.build(keys, spec), spec).agg(F.count_if(~F.col("maybe")).alias("misses")).select(F.lit(name).alias("kind"), "misses"))
+    return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3])
+
+
+@query("fpr_empirical")
+def fpr_empirical(spark, sf_dir):
+    """Measured on odd order keys after inserting the even ones, all kinds at equal size."""
+    keys, out = _even_orders(spark, sf_dir), []
+    absent = _load(spark, sf_dir, "orders").where("o_orderkey % 2 = 1").select("o_orderkey")
+    for name, spec in measure.four_kinds(keys.count(), 7).items():
+        out.append(measure.fpr(build.build(keys, spec), spec, absent, "o_orderkey").select(F.lit(name).alias("kind"), "probes", "false_pos", "fpr", "log2_fpr"))
+    return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3])
+
+
+@query("fpr_fixed_size")
+def fpr_fixed_size(spark, sf_dir):
+    """FPR against relative size, four filters, two footprints (from loads; up to k = 10 also probed)."""
+    cells = [measure.cell(kind, c, k, GRID_LINES, rel, bits=b) for kind, c in KINDS for b in ("random", "distinct") for k in KS for rel in (0.8, 0.9, 1.0, 1.1, 1.2, 1.3) if not (kind == "classic" and b == "distinct")]
+    cells += [measure.cell(kind, c, k, GRID_LINES, 1.0, probes=1 << 18) for kind, c in KINDS for k in (4, 7, 10)]
+    return measure.grid(spark, cells)
+
+
+@query("overload_curve")
+def overload_curve(spark, sf_dir):
+    cells = [measure.cell(kind, c, k, GRID_LINES, gamma=g) for kind, c in KINDS for k in (10, 14) for g in (0.5, 0.8, 0.9, 1.0, 1.05, 1.1, 1.2, 1.5)]
+    return measure.grid(spark, cells).withColumn("penalty", F.col("fpr") * F.pow(F.lit(2.0), F.col("k").cast("double")))
+
+
+@query(
+    "overload_model",
+    "SELECT CAST(g AS DOUBLE) AS gamma, k, round(pow(1 - pow(2.0::DOUBLE, -CAST(g AS DOUBLE)), k) * pow(2.0::DOUBLE, k), 9) AS penalty FROM (VALUES (0.5), (0.8), (0.9), (1.0), (1.05), (1.1), (1.2), (1.5)) a(g), (VALUES (4), (10), (14)) b(k)",
+)
+def overload_model(spark, sf_dir):
+    return measure.overload_rows(spark, [0.5, 0.8, 0.9, 1.0, 1.05, 1.1, 1.2, 1.5], [4, 10, 14])
+
+
+@query("required_size")
+def required_size(spark, sf_dir):
+    return measure.required_sizes(spark, [(kind, c, k, "random") for kind, c in KINDS[1:] for k in (10, 14, 17)])
+
+
+@query("choices_ablation")
+def choices_ablation(spark, sf_dir):
+    return measure.grid(spark, [measure.cell("choice", c, k, GRID_LINES) for c in (1, 2, 3, 4) for k in KS])
+
+
+@query(
+    "max_line_load",
+    "SELECT k, c AS choices, CAST(floor(512 * pow(pow(2.0::DOUBLE, -k) / c, 1.0::DOUBLE / k) + 1e-9) AS INTEGER) AS max_ones FROM (SELECT CAST(range AS INTEGER) AS k FROM range(1, 31)), (SELECT CAST(range AS INTEGER) AS c FROM range(1, 5))",
+)
+def max_line_load(spark, sf_dir):
+    return spark.createDataFrame([(k, c, models.max_line_load(k, c)) for k in range(1, 31) for c in range(1, 5)], "k int, choices int, max_ones int")
+
+
+@query("collision_curve", "SELECT k, round(1 - exp(sum(ln(1 - i / 512.0::DOUBLE))), 9) AS share FROM (SELECT CAST(range AS INTEGER) AS k FROM range(1, 31)) a, (SELECT range AS i FROM range(0, 30)) b WHERE i < k GROUP BY k")
+def collision_curve(spark, sf_dir):
+    return spark.createDataFrame([(k, round(models.collision(k), 9)) for k in range(1, 31)], "k int, share double")
+
+
+@query(
+    "collision_observed",
+    f"WITH {R.hashed('part', 'p_partkey', _one)} SELECT 10 AS k, round(avg(CASE WHEN len(list_distinct(addresses)) < 10 THEN 1.0 ELSE 0.0 END), 9) AS share FROM h",
+)
+def collision_observed(spark, sf_dir):
+    rows = _footprints("random")(spark, sf_dir)
+    ones = F.bit_count("m0")
+    for i in range(1, 8):
+        ones = ones + F.bit_count(f"m{i}")
+    return rows.agg(F.round(F.avg((ones < 10).cast("double")), 9).alias("share")).select(F.lit(10).alias("k"), "share")
+
+
+@query(
+    "filter_overview",
+    """WITH k AS (SELECT CAST(range AS INTEGER) AS k FROM range(1, 31)), r AS (SELECT * FROM (VALUES ('cuckoo', 1.053::DOUBLE, 3.0::DOUBLE, 2), ('quotient', 1.053, 2.125, 1), ('vector_quotient', 1.0753, 2.914, 2)) t(filter, f, s, n))
+SELECT 'classic' AS filter, k, round(1 / ln(2.0::DOUBLE), 11) AS best, round(1 / ln(2.0::DOUBLE), 11) AS worst, k AS insert_lines, k AS lookup_lines FROM k
+UNION ALL SELECT filter, k, round(f * (1 + s / k), 11), round(2 * (f * (1 + s / k)), 11), n, n FROM r, k""",
+)
+def filter_overview(spark, sf_dir):
+    return models.overview(spark)
+
+
+@query("linelocal_model")
+def linelocal_model(spark, sf_dir):
+    import math
+
+    return spark.createDataFrame([(k, round(math.log2(models.linelocal_fpr(k, 1.0)), 6), round(models.required_linelocal(k), 3)) for k in KS], "k int, log2_fpr double, rel_size double")
+
+
+def _touched(spark, sf_dir, name: str):
+    keys = _even_orders(spark, sf_dir)
+    spec = measure.four_kinds(keys.count(), 10)[name]
+    return measure.touches(_load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", build.build(keys, spec), spec)
+
+
+@query("touches")
+def touches(spark, sf_dir):
+    parts = [_touched(spark, sf_dir, n).withColumn("kind", F.lit(n)) for n in ("linelocal", "choice2", "choice3")]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+query("bits_examined")(lambda spark, sf_dir: _touched(spark, sf_dir, "classic"))
+
+
+# --- applications ------------------------------------------------------------------------------
+@query("qgram_build_species")
+def qgram_build_species(spark, sf_dir):
+    """31-gram sets of the three "species" es, de, en; four filters at their own sizes; loads and sizes."""
+    docs, out = _load(spark, sf_dir, "documents"), []
+    for lang in ("es", "de", "en"):
+        keys = build.keys_of(apps.qgrams(docs.where(F.col("lang") == lang).select("text"), "text", 31), "gram")
+        n = keys.agg(F.approx_count_distinct("key64")).first()[0] or 1
+        for name, spec in measure.four_kinds(n, 14, sized=True).items():
+            part = measure.load_summary(build.build(keys, spec), spec)
+            out.append(part.select(F.lit(lang).alias("lang"), F.lit(name).alias("kind"), F.lit(n).alias("keys"), F.lit(spec.bytes).alias("bytes"), "mean_ones", "max_ones"))
+    whole = out[0]
+    for p in out[1:]:
+        whole = whole.unionByName(p)
+    return whole
+
+
+@query("two_origin_sort")
+def two_origin_sort(spark, sf_dir):
+    docs = _load(spark, sf_dir, "documents")
+    reads = _load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), "text")
+    reads = reads.unionByName(docs.where("lang in ('en', 'de') and doc_id % 10 = 0").select((-F.col("doc_id") - 1).alias("read_id"), "text"))
+    return apps.two_origins(reads, docs.where("lang = 'en'"), docs.where("lang = 'de'"))
+
+
+_some = "o_orderpriority = (SELECT min(o_orderpriority) FROM orders)"
+
+
+def _priority(spark, sf_dir):
+    orders = _load(spark, sf_dir, "orders")
+    low = orders.agg(F.min("o_orderpriority")).first()[0]
+    return orders.where(F.col("o_orderpriority") == low).select("o_orderkey", "o_custkey")
+
+
+@query("prefilter_join", f"SELECT l_orderkey, l_linenumber, o_custkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE {_some}")
+def prefilter_join(spark, sf_dir):
+    items = _load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber")
+    return apps.prefilter(items, _priority(spark, sf_dir), "l_orderkey", "o_orderkey").select("l_orderkey", "l_linenumber", "o_custkey")
+
+
+@query("prefilter_semi", f"SELECT l_orderkey, l_linenumber FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE {_some})")
+def prefilter_semi(spark, sf_dir):
+    return apps.prefilter(_load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber"), _priority(spark, sf_dir), "l_orderkey", "o_orderkey", "semi")
+
+
+@query("prefilter_anti", f"SELECT l_orderkey, l_linenumber FROM lineitem WHERE l_orderkey NOT IN (SELECT o_orderkey FROM orders WHERE {_some})")
+def prefilter_anti(spark, sf_dir):
+    return apps.prefilter(_load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber"), _priority(spark, sf_dir), "l_orderkey", "o_orderkey", "anti")
+
+
+@query("contamination_score")
+def contamination_score(spark, sf_dir):
+    score = apps.contamination(_load(spark, sf_dir, "documents"), _load(spark, sf_dir, "benchmark"))
+    return score.join(_load(spark, sf_dir, "labels"), "doc_id", "left").select("doc_id", "grams", "hits", "share", "quality")
+
+
+@query("unknown_count")
+def unknown_count(spark, sf_dir):
+    """Capacity estimated from a hundredth of the documents, all of them inserted: overload and its price."""
+    grams = apps.qgrams(_load(spark, sf_dir, "documents").select("doc_id", "text"), "text", 31)
+    guess = 100 * (grams.where(F.pmod(F.xxhash64("doc_id"), F.lit(100)) == 0).agg(F.approx_count_distinct("gram")).first()[0] or 1)
+    keys = build.keys_of(grams, "gram")
+    spec = measure.four_kinds(guess, 10)["choice2"]
+    true = keys.agg(F.approx_count_distinct("key64")).first()[0]
+    return measure.fpr_from_loads(build.build(keys, spec), spec).select(F.lit(guess).alias("capacity"), F.lit(true / guess).alias("gamma"), "log2_fpr")
+
+
+_seen = FilterSpec("choice", 40, 2, 4, 256)
+
+
+@query("events_first_seen", "SELECT user_id, min(ts) AS first_ts FROM events WHERE user_id IS NOT NULL GROUP BY user_id")
+def events_first_seen(spark, sf_dir):
+    users = _load(spark, sf_dir, "events").select("user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), "ts")
+    kind = users.schema["ts"].dataType
+    return stream.first_seen(users, "user_id", "us", _seen).select(F.col("key64").alias("user_id"), F.timestamp_micros("ord").cast(kind).alias("first_ts"))
+
+
+@query("events_window_filters")
+def events_window_filters(spark, sf_dir):
+    events = _load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    return stream.window_filters(events, "user_id", "ts", FilterSpec("linelocal", 10, 1, 2, 16), "1 day")
+
+
+@query("rival_exact", "SELECT l_orderkey, l_orderkey % 2 = 0 AS maybe FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders)")
+def rival_exact(spark, sf_dir):
+    return rivals.exact(_even_orders(spark, sf_dir), _load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey")
+
+
+@query("rival_fingerprints")
+def rival_fingerprints(spark, sf_dir):
+    return rivals.fingerprint_set(_even_orders(spark, sf_dir), _load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", 1 << 14, 10)
+
+
+query("advise")(lambda spark, sf_dir: spark.createDataFrame([(k, m, s, *advise(k, m, s)) for k in range(1, 21) for m in (False, True) for s in (False, True)], "k int, memory_bound boolean, smallest boolean, kind string, choices int"))
+
+
+def packed_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(l_partkey, l_suppkey) of lineitem as one key."""
+    return build.keys_of(_load(spark, sf_dir, "lineitem"), F.shiftleft(F.col("l_partkey"), 32) + F.col("l_suppkey"))
+
+
+@query("throughput")
+def throughput(spark, sf_dir):
+    keys = packed_pairs(spark, sf_dir)
+    return measure.throughput(keys, measure.four_kinds(keys.count(), 14))
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return prefilter_join(spark, sf_dir)
