@@ -38,51 +38,53 @@ MAX_LEN = 16
 # The characters of Unicode's White_Space property.
 _SPACE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
 # Letters before ASCII punctuation make a piece too: a pre-token never goes on from a letter to those.
-_PIECES = re.compile(f"[{_SPACE}]*[A-Za-z\\xc0-\\xd6\\xd8-\\xf6\\xf8-\\u024f]+(?=[.,;:!?|$%&*#])|[{_SPACE}]*[^{_SPACE}]+|[{_SPACE}]+")
+_PIECES = re.compile(f"[{_SPACE}]*+(?:[A-Za-z\\xc0-\\xd6\\xd8-\\xf6\\xf8-\\u024f]++(?=[.,;:!?|$%&*#])|[^{_SPACE}]++)|[{_SPACE}]+")
 _encoders: dict[tuple, PieceEncoder] = {}  # of this worker process; tasks that follow find its pieces known
 
 
 class PieceEncoder:
     """Text -> bytes of little-endian ids (width 2 or 4), by remembered pieces (``keep`` twice at most)."""
 
-    def __init__(self, path: str, width: int, keep: int = 400_000):
+    def __init__(self, path: str, width: int, keep: int = 600_000):
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.special = [t.content for t in self.tok.get_added_tokens_decoder().values()]
         self.type, self.keep, self.known, self.older = f"<u{width}", keep, {}, {}
+        line_end = self.tok.encode("\n", add_special_tokens=False).ids
+        self.line_end = line_end[0] if len(line_end) == 1 else None
 
     def ids(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.type).tobytes()
 
     def learn(self, pieces: set[str]) -> None:
-        """Remember the ids of new pieces. Those that start with white space and end without are encoded
-        in rows, as the cut between two of them is a cut of the pre-tokeniser; the others one by one."""
-        for p in pieces & self.older.keys():
-            self.known[p] = self.older[p]
-        row, at, size = [], [0], 0
-        left = sorted(pieces - self.older.keys())
-        for i, p in enumerate(left):
-            if p[0] in _SPACE and p[-1] not in _SPACE:
+        """Remember the ids of new pieces. Those of one space and a word go to the library many at a time, one a
+        line: a line end before a space is a token of its own. The others go one by one."""
+        older, row = self.older, []
+        for p in pieces:
+            if p in older:
+                self.known[p] = older[p]
+                continue
+            if p[0] == " " and p[-1] not in _SPACE and p[1] not in _SPACE and self.line_end is not None:
                 row.append(p)
-                size += len(p)
-                at.append(size)
             else:
                 self.known[p] = self.ids(p)
-            if row and (size > 1 << 14 or i == len(left) - 1):
-                e = self.tok.encode("".join(row), add_special_tokens=False)
-                ids = np.array(e.ids, self.type)
-                cut = np.searchsorted(np.array([o[1] for o in e.offsets]), at, side="right")
-                width, packed = ids.itemsize, ids.tobytes()
-                # A token belongs to the piece in which it ends.
-                self.known.update((q, packed[width * b : width * c]) for q, b, c in zip(row, cut[:-1].tolist(), cut[1:].tolist()))
-                row, at, size = [], [0], 0
+        for lo in range(0, len(row), 4096):
+            part = row[lo : lo + 4096]
+            ids = np.array(self.tok.encode_batch_fast(["\n".join(part)], add_special_tokens=False)[0].ids, self.type)
+            cut, packed = np.flatnonzero(ids == self.line_end) * ids.itemsize, ids.tobytes()
+            starts, ends = [0, *(cut + ids.itemsize).tolist()], [*cut.tolist(), len(packed)]
+            self.known.update((p, packed[b:e]) for p, b, e in zip(part, starts, ends))
 
     def batch(self, texts: list[str]) -> list[bytes]:
+        if len(same := set(texts)) < len(texts):  # copies lie close together
+            ids = dict(zip(same, self.batch(list(same))))
+            return [ids[t] for t in texts]
         pieces = [None if any(s in t for s in self.special) else _PIECES.findall(t) for t in texts]
         if len(self.known) > self.keep:
             self.known, self.older = {}, self.known
-        self.learn(set().union(*(x for x in pieces if x)) - self.known.keys())
+        # difference() of a dict looks each piece up; minus its keys() would walk over all that is known.
+        self.learn(set().union(*(x for x in pieces if x)).difference(self.known))
         get = self.known.__getitem__
         return [b"".join(map(get, x)) if x is not None else self.ids(t) for t, x in zip(texts, pieces)]
 
