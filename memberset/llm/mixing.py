@@ -150,7 +150,7 @@ def apply_mix(docs: DataFrame, **options) -> DataFrame:
     # Rows repeated under one id get their copies one by one, matched by rank among the repeats.
     repeated = copies.groupBy("doc_id").count().where("count > 1 or doc_id is null").limit(1)
     if repeated.isEmpty():
-        out = docs.join(copies.select("doc_id", "copies"), "doc_id")
+        out = docs.join(copies.select("doc_id", "copies").hint("merge"), "doc_id")  # both sides grow alike
     else:
         total = copies.groupBy("doc_id", "source").agg(F.sum("copies").alias("total"), F.count("*").alias("rows"), F.max("copies").alias("most"))
         numbered = docs.withColumn("nth", F.row_number().over(_by("doc_id", "source")) - 1)
