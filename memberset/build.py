@@ -28,7 +28,7 @@ def keys_of(df: DataFrame, key: str | Column, order: str | Column | None = None)
     c = F.col(key) if isinstance(key, str) else key
     kind = df.select(c.alias("k")).schema["k"].dataType.simpleString()
     if kind in ("string", "binary"):
-        c = F.xxhash64(c)
+        c = F.when(c.isNotNull(), F.xxhash64(c))
     o = c.cast("long") if order is None else F.col(order) if isinstance(order, str) else order
     return df.select(c.cast("long").alias("key64"), o.cast("long").alias("ord")).where("key64 is not null")
 

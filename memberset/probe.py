@@ -65,6 +65,11 @@ def by_array(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec, deta
     return keys.mapInArrow(run, f"{schema}, maybe boolean" + (", hit_choice int, touched int" if details else ""))
 
 
+def _answered(keys: DataFrame, key: str, found: DataFrame) -> DataFrame:
+    found = found.select(F.col("key64").alias("_asked"), "maybe")
+    return keys.join(found, F.col(key).cast("long") == F.col("_asked"), "left").drop("_asked")
+
+
 def by_join(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> DataFrame:
     """For line filters; the answers of distinct keys are joined back."""
     distinct = keys.select(F.col(key).cast("long").alias("key64")).where("key64 is not null").distinct()
@@ -73,7 +78,7 @@ def by_join(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> Da
     for i, w in enumerate(W):
         holds = holds & (F.coalesce(w, F.lit(0).cast("long")).bitwiseAND(F.col(f"m{i}")) == F.col(f"m{i}"))
     found = rows.groupBy("key64").agg(F.bool_or(holds).alias("maybe"))
-    return keys.join(found, keys[key].cast("long") == found["key64"], "left").drop("key64")
+    return _answered(keys, key, found)
 
 
 def by_shard(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> DataFrame:
@@ -94,7 +99,7 @@ def by_shard(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> D
         return pa.table({"key64": values, "maybe": found})
 
     found = routed(distinct, spec).groupBy("shard").cogroup(lines.drop("ones").groupBy("shard")).applyInArrow(run, "key64 long, maybe boolean")
-    return keys.join(found, keys[key].cast("long") == found["key64"], "left").drop("key64")
+    return _answered(keys, key, found)
 
 
 def probe(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec, plan: str = "auto") -> DataFrame:

@@ -14,8 +14,8 @@ from .probe import probe
 
 def exact(keys: DataFrame, probes: DataFrame, key: str) -> DataFrame:
     """The hash set itself: a left join on the distinct keys."""
-    have = keys.select(F.col("key64")).distinct().withColumn("maybe", F.lit(True))
-    return probes.join(have, probes[key] == have["key64"], "left").drop("key64").withColumn("maybe", F.coalesce("maybe", F.lit(False)))
+    have = keys.select(F.col("key64").alias("_asked")).distinct().withColumn("maybe", F.lit(True))
+    return probes.join(have, F.col(key) == F.col("_asked"), "left").drop("_asked").withColumn("maybe", F.coalesce("maybe", F.lit(False)))
 
 
 def fingerprint_set(keys: DataFrame, probes: DataFrame, key: str, slots: int, r: int) -> DataFrame:
