@@ -125,6 +125,8 @@ def code_lengths(counts: np.ndarray, limit: int) -> np.ndarray:
 
 def canonical(ids: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Codes in order of (length, id); returns (order, code of each in that order)."""
+    if not len(ids):
+        return ids, ids
     order = np.lexsort((ids, lengths))
     ranked = lengths[order].astype(np.int64)
     top = int(ranked[-1])
