@@ -65,7 +65,7 @@ class PieceEncoder:
             if p in older:
                 self.known[p] = older[p]
                 continue
-            if p[0] == " " and p[-1] not in _SPACE and p[1] not in _SPACE and self.line_end is not None:
+            if p[0] == " " and p[1:2] not in _SPACE and self.line_end is not None:  # only pieces of white space end in it
                 row.append(p)
             else:
                 self.known[p] = self.ids(p)
@@ -139,17 +139,17 @@ class Codec:
         order, codes = canonical(ids, lengths)
         self.top = int(lengths.max()) if len(lengths) else 1
         size = int(ids.max()) + 1 if len(ids) else 1
-        self.code, self.length = np.zeros(size, np.uint64), np.zeros(size, np.uint8)
-        self.code[ids[order]], self.length[ids[order]] = codes.astype(np.uint64), lengths[order]
+        # One look-up each way: the code, or the token, above five bits of length.
+        self.entry = np.zeros(size, np.uint32)
+        self.entry[ids[order]] = (codes.astype(np.int64) << 5) | lengths[order]
         spread = np.left_shift(1, self.top - lengths[order].astype(np.int64)) if len(ids) else np.zeros(0, np.int64)
-        self.symbol_at = np.zeros(1 << self.top, np.uint32)
-        self.length_at = np.ones(1 << self.top, np.uint8)
-        self.symbol_at[: spread.sum()] = np.repeat(ids[order], spread)
-        self.length_at[: spread.sum()] = np.repeat(lengths[order], spread)
+        self.token_at = np.ones(1 << self.top, np.uint32)
+        self.token_at[: spread.sum()] = np.repeat((ids[order].astype(np.int64) << 5) | lengths[order], spread)
 
     def encode(self, ids: np.ndarray, n: np.ndarray) -> tuple[bytes, np.ndarray, np.ndarray]:
         """ids of documents of n tokens each (one at least) -> payload, byte start of each document, bit offsets of checkpoints."""
-        bits = self.length[ids].astype(np.int64)
+        entry = self.entry[ids]
+        bits = (entry & 31).astype(np.int64)
         end = np.cumsum(bits)
         last = np.cumsum(n) - 1
         used = np.diff(end[last], prepend=0)
@@ -159,7 +159,7 @@ class Codec:
         at = end - bits + np.repeat(shift, n)
         # Each code falls into one or two 64-bit words (big-endian bit order).
         word, room = at >> 6, 64 - (at & 63) - bits
-        code = self.code[ids]
+        code = (entry >> 5).astype(np.uint64)
         over = np.maximum(-room, 0).astype(np.uint64)
         head = (code >> over) << np.maximum(room, 0).astype(np.uint64)
         cut = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
@@ -183,8 +183,9 @@ class Codec:
             k = int(np.searchsorted(-alive, -step, side="left"))  # stretches with more than `step` tokens
             at, first = at[:k], first[:k]
             look = (words[at >> 3].astype(np.int64) >> (drop - (at & 7))) & mask
-            out[first + step] = self.symbol_at[look]
-            at = at + self.length_at[look]
+            token = self.token_at[look]
+            out[first + step] = token >> 5
+            at = at + (token & 31)
         return out
 
 
@@ -271,7 +272,7 @@ def write_files(docs: DataFrame, path: str, vocab_size: int, end_id: int = 0, fo
             cut, size = [0], 0
             for i, v in enumerate(values):
                 size += len(v)
-                if size >= BLOCK_BYTES * 4 or i == len(values) - 1:
+                if size >= BLOCK_BYTES or i == len(values) - 1:
                     cut.append(i + 1)
                     size = 0
             for lo, hi in zip(cut, cut[1:]):
