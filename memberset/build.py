@@ -20,6 +20,7 @@ from . import kernels as K
 from .geometry import LINE_BITS, WORDS, FilterSpec
 
 W = [f"w{i}" for i in range(WORDS)]
+DENSE_BYTES = 64 << 20
 LINE_SCHEMA = "shard int, line int, " + ", ".join(f"{w} long" for w in W) + ", ones int"
 
 
@@ -58,7 +59,24 @@ def line_masks(keys: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarr
 
 
 def build_union(keys: DataFrame, spec: FilterSpec) -> DataFrame:
-    """Classic and line-local filters: partial OR in the map tasks, one shuffle, final OR."""
+    """Classic and line-local filters: partial OR in the map tasks, one shuffle, final OR.
+
+    A task ORs into an array of its own where the whole filter fits ``DENSE_BYTES``, else into sorted runs of lines.
+    """
+
+    def dense(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = np.zeros((spec.shards * spec.lines, WORDS), np.uint64)
+        flat = words.reshape(-1)
+        for batch in batches:
+            x = K.prepared(batch.column(0).to_numpy(), spec)
+            at = K.shard_of(x, spec) * spec.lines
+            base = at if spec.kind == "classic" else at + K.candidates(x, spec)[:, 0]
+            bit = (base[:, None] * LINE_BITS + K.addresses(x, spec)).reshape(-1)
+            np.bitwise_or.at(flat, bit >> 6, np.uint64(1) << (bit & 63).astype(np.uint64))
+        used = np.flatnonzero(words.any(1))
+        for lo in range(0, len(used), 1 << 16):
+            part = used[lo : lo + (1 << 16)]
+            yield _line_batch(part // spec.lines, part % spec.lines, words[part])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held_line, held = np.empty(0, np.int64), np.empty((0, WORDS), np.uint64)
@@ -71,7 +89,7 @@ def build_union(keys: DataFrame, spec: FilterSpec) -> DataFrame:
         if len(held_line):
             yield _line_batch(held_line // spec.lines, held_line % spec.lines, held)
 
-    parts = keys.select("key64").mapInArrow(run, LINE_SCHEMA)
+    parts = keys.select("key64").mapInArrow(dense if spec.bytes <= DENSE_BYTES else run, LINE_SCHEMA)
     return _or_lines(parts)
 
 

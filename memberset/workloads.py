@@ -298,7 +298,7 @@ def qgram_build_species(spark, sf_dir):
     for lang in ("es", "de", "en"):
         keys = build.keys_of(apps.qgrams(docs.where(F.col("lang") == lang).select("text"), "text", 31), "gram")
         n = keys.agg(F.approx_count_distinct("key64")).first()[0] or 1
-        for name, spec in measure.four_kinds(n, 14, sized=True).items():
+        for name, spec in measure.four_kinds(n, 14, shards=32, sized=True).items():
             part = measure.load_summary(build.build(keys, spec), spec)
             out.append(part.select(F.lit(lang).alias("lang"), F.lit(name).alias("kind"), F.lit(n).alias("keys"), F.lit(spec.bytes).alias("bytes"), "mean_ones", "max_ones"))
     whole = out[0]

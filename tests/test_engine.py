@@ -81,6 +81,15 @@ def test_build_does_not_depend_on_partitions_and_duplicates(spark, keys):
     assert rows(build.build(keys.repartition(7).union(keys), spec)) == want
 
 
+def test_dense_and_sorted_partials_agree(spark, keys, monkeypatch):
+    for kind in ("classic", "linelocal"):
+        spec = plan_spec(3000, 8, kind, 1, shards=3)
+        want = rows(build.build(keys, spec))
+        monkeypatch.setattr(build, "DENSE_BYTES", 0)
+        assert rows(build.build(keys, spec)) == want
+        monkeypatch.undo()
+
+
 def test_incremental_and_merge(spark, keys):
     for kind, choices in KINDS:
         spec = plan_spec(3000, 8, kind, choices, shards=2)
