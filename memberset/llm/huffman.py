@@ -1,8 +1,9 @@
 """Token ids as canonical, length-limited Huffman code.
 
-Encoding: texts are cut where a run of white space begins and between letters and punctuation, places
-that no byte-level pre-token spans, so the ids of a text are those of its pieces in a row; each worker keeps the ids of pieces it has met
-(the tokenizers library encodes each new piece, whole texts with a special token are encoded whole).
+Encoding: texts are cut, a block of bytes at a time, where white space begins and where letters, digits and
+punctuation meet, places that no byte-level pre-token spans, so the ids of a text are those of its pieces in a
+row. Arrow numbers the distinct pieces of a block; each worker keeps the ids of pieces it has met, and only new
+ones go to the tokenizers library (whole texts with a special token go to it as they are).
 Ids are counted over the whole corpus, the counts give code lengths by package-merge, the lengths
 alone give the canonical code.
 
@@ -26,6 +27,7 @@ from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -35,15 +37,46 @@ from .common import doc_text, fresh_path, stage
 CHECKPOINT = 64
 BLOCK_BYTES = 256 << 10
 MAX_LEN = 16
-# The characters of Unicode's White_Space property.
-_SPACE = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
-# Letters before ASCII punctuation make a piece too: a pre-token never goes on from a letter to those.
-_PIECES = re.compile(f"[{_SPACE}]*+(?:[A-Za-z\\xc0-\\xd6\\xd8-\\xf6\\xf8-\\u024f]++(?=[.,;:!?|$%&*#])|[^{_SPACE}]++)|[{_SPACE}]+")
+# Byte classes; a piece ends between two different ones of LETTER, DIGIT and PUNCT, and where SPACE begins after any but HOLD.
+_OTHER, _LETTER, _DIGIT, _PUNCT, _SPACE, _HOLD = range(6)
+_CLASS = np.full(256, _OTHER, np.uint8)  # the apostrophe stays OTHER: it may open a contraction
+for _b in range(128):
+    _c = chr(_b)
+    _CLASS[_b] = _LETTER if _c.isalpha() else _DIGIT if _c.isdigit() else _SPACE if _c in "\t\n\v\f\r " else _HOLD if not _c.isprintable() else _OTHER if _c == "'" else _PUNCT
+_ENDS = np.zeros((8, 8), bool)
+_ENDS[_OTHER : _PUNCT + 1, _SPACE] = True
+_ENDS[_LETTER : _PUNCT + 1, _LETTER : _PUNCT + 1] = ~np.eye(3, dtype=bool)
+_ENDS = _ENDS.ravel()
+# UTF-8 of the white space beyond ASCII.
+_WHITE = rb"\xc2[\x85\xa0]", rb"\xe1\x9a\x80", rb"\xe2\x80[\x80-\x8a\xa8\xa9\xaf]", rb"\xe2\x81\x9f", rb"\xe3\x80\x80", rb"\s"
+_ALONE = re.compile(rb" ?(?!" + rb"|".join(_WHITE) + rb")[^\n]+" + b"".join(rb"(?<!%s)" % w for w in _WHITE)).fullmatch
+_REMEMBERED = 256  # bytes of a piece; longer ones are encoded whenever they come
 _encoders: dict[tuple, PieceEncoder] = {}  # of this worker process; tasks that follow find its pieces known
 
 
+def classes(raw: np.ndarray) -> np.ndarray:
+    """Class of every byte of valid UTF-8 text (a character of two or three bytes: of each that matters)."""
+    kind = _CLASS[raw]
+    if not (raw >= 0xC2).any():
+        return kind
+    # U+00C0 to U+024F are letters but for two signs.
+    lead = np.flatnonzero((raw >= 0xC3) & (raw <= 0xC9))
+    after = raw[lead + 1]
+    sign = (raw[lead] == 0xC3) & ((after == 0x97) | (after == 0xB7)) | (raw[lead] == 0xC9) & (after > 0x8F)
+    letter = lead[~sign]
+    kind[letter] = kind[letter + 1] = _LETTER
+    # Last byte of a white-space character beyond ASCII: no piece begins after it.
+    two = np.flatnonzero(raw == 0xC2) + 1
+    kind[two[(raw[two] == 0x85) | (raw[two] == 0xA0)]] = _HOLD
+    three = np.flatnonzero((raw >= 0xE1) & (raw <= 0xE3))
+    code = (raw[three].astype(np.int32) & 15) << 12 | (raw[three + 1].astype(np.int32) & 63) << 6 | raw[three + 2] & 63
+    white = (code == 0x1680) | (code >= 0x2000) & (code <= 0x200A) | (code == 0x2028) | (code == 0x2029) | (code == 0x202F) | (code == 0x205F) | (code == 0x3000)
+    kind[three[white] + 2] = _HOLD
+    return kind
+
+
 class PieceEncoder:
-    """Text -> bytes of little-endian ids (width 2 or 4), by remembered pieces (``keep`` twice at most)."""
+    """Texts -> little-endian ids (width 2 or 4), by remembered pieces (``keep`` twice at most)."""
 
     def __init__(self, path: str, width: int, keep: int = 600_000):
         from tokenizers import Tokenizer
@@ -57,36 +90,65 @@ class PieceEncoder:
     def ids(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.type).tobytes()
 
-    def learn(self, pieces: set[str]) -> None:
-        """Remember the ids of new pieces. Those of one space and a word go to the library many at a time, one a
-        line: a line end before a space is a token of its own. The others go one by one."""
-        older, row = self.older, []
+    def learn(self, pieces: list[bytes]) -> dict[bytes, bytes]:
+        """The ids of new pieces. Those with no white space at either end, but for one space in front, go to the library many at
+        a time, one a line: between them a line end is a token of its own. The others go one by one."""
+        found, row, lined = {}, [], self.line_end is not None
         for p in pieces:
-            if p in older:
-                self.known[p] = older[p]
-                continue
-            if p[0] == " " and p[1:2] not in _SPACE and self.line_end is not None:  # only pieces of white space end in it
+            if p in self.older:
+                found[p] = self.older[p]
+            elif lined and _ALONE(p):
                 row.append(p)
             else:
-                self.known[p] = self.ids(p)
-        for lo in range(0, len(row), 4096):
-            part = row[lo : lo + 4096]
-            ids = np.array(self.tok.encode_batch_fast(["\n".join(part)], add_special_tokens=False)[0].ids, self.type)
+                found[p] = self.ids(p.decode())
+        for lo in range(0, len(row), 128):  # longer rows cost the library more a piece
+            part = row[lo : lo + 128]
+            ids = np.array(self.tok.encode_batch_fast([b"\n".join(part).decode()], add_special_tokens=False)[0].ids, self.type)
             cut, packed = np.flatnonzero(ids == self.line_end) * ids.itemsize, ids.tobytes()
             starts, ends = [0, *(cut + ids.itemsize).tolist()], [*cut.tolist(), len(packed)]
-            self.known.update((p, packed[b:e]) for p, b, e in zip(part, starts, ends))
-
-    def batch(self, texts: list[str]) -> list[bytes]:
-        if len(same := set(texts)) < len(texts):  # copies lie close together
-            ids = dict(zip(same, self.batch(list(same))))
-            return [ids[t] for t in texts]
-        pieces = [None if any(s in t for s in self.special) else _PIECES.findall(t) for t in texts]
+            if len(starts) == len(part):
+                found.update(zip(part, map(packed.__getitem__, map(slice, starts, ends))))
+            else:  # a line end merged with a neighbour
+                found.update((p, self.ids(p.decode())) for p in part)
         if len(self.known) > self.keep:
             self.known, self.older = {}, self.known
-        # difference() of a dict looks each piece up; minus its keys() would walk over all that is known.
-        self.learn(set().union(*(x for x in pieces if x)).difference(self.known))
-        get = self.known.__getitem__
-        return [b"".join(map(get, x)) if x is not None else self.ids(t) for t, x in zip(texts, pieces)]
+        self.known |= found
+        for p in pieces:
+            if len(p) > _REMEMBERED:
+                del self.known[p]
+        return found
+
+    def encode(self, texts: pa.Array, end: bytes = b"") -> tuple[np.ndarray, np.ndarray]:
+        """A string column without nulls -> the ids of all its texts in a row, each followed by ``end``; bounds of each."""
+        texts = texts.cast(pa.large_string())
+        bound = np.frombuffer(texts.buffers()[1], np.int64)[texts.offset : texts.offset + len(texts) + 1]
+        raw = np.frombuffer(texts.buffers()[2] or b"", np.uint8)[bound[0] : bound[-1]]
+        bound = bound - bound[0]
+        kind = classes(raw)
+        starts = np.zeros(len(raw), bool)
+        starts[1:] = _ENDS[kind[:-1] << 3 | kind[1:]]
+        for s in self.special:
+            for i in np.flatnonzero(pc.match_substring(texts, s).to_numpy(zero_copy_only=False)):
+                starts[bound[i] : bound[i + 1]] = False
+        starts[bound[:-1][np.diff(bound) > 0]] = True
+        first = np.flatnonzero(starts)
+        pieces = pa.LargeBinaryArray.from_buffers(pa.large_binary(), len(first), [None, pa.py_buffer(np.append(first, len(raw))), pa.py_buffer(raw)])
+        numbered = pieces.dictionary_encode()
+        distinct = numbered.dictionary.to_numpy(zero_copy_only=False).tolist()
+        codes = list(map(self.known.get, distinct))
+        if None in codes:
+            new = self.learn([p for p, c in zip(distinct, codes) if c is None])
+            codes = [new[p] if c is None else c for p, c in zip(distinct, codes)]
+        closes = np.searchsorted(first, bound[1:])  # pieces up to the end of each text
+        order = np.insert(numbered.indices.to_numpy(), closes, len(codes))
+        out = pa.array([*codes, end], pa.large_binary()).take(pa.array(order))
+        at = np.frombuffer(out.buffers()[1], np.int64)[: len(out) + 1]
+        ids = np.frombuffer(out.buffers()[2] or b"", self.type, at[-1] // np.dtype(self.type).itemsize)
+        return ids, np.append(0, at[closes + np.arange(1, len(texts) + 1)]) // ids.itemsize
+
+    def batch(self, texts: list[str]) -> list[bytes]:
+        ids, bound = self.encode(pa.array(texts, pa.string()))
+        return [ids[b:e].tobytes() for b, e in zip(bound, bound[1:])]
 
 
 def encoder_of(path: str, width: int) -> PieceEncoder:
@@ -196,7 +258,7 @@ def _checkpoints(n: np.ndarray) -> np.ndarray:
     return (np.cumsum(n) - n)[doc] + CHECKPOINT * (np.arange(len(doc)) - np.repeat(np.cumsum(per) - per, per))
 
 
-def tokenize(docs: DataFrame, path: str, width: int, end_id: int = 0, chunk_chars: int = 1 << 20) -> DataFrame:
+def tokenize(docs: DataFrame, path: str, width: int, end_id: int = 0, chunk_bytes: int = 8 << 20) -> DataFrame:
     """(doc_id, n, ids) and, once per task, a row of (id, count) pairs in ``counts``."""
     source = doc_text(docs)
     id_type = source.schema["doc_id"].dataType.simpleString()
@@ -206,22 +268,18 @@ def tokenize(docs: DataFrame, path: str, width: int, end_id: int = 0, chunk_char
         total = np.zeros(1, np.int64)
         names, kind = ["doc_id", "n", "ids", "counts"], None
         for batch in batches:
-            out, texts, size = [], [], 0
-            for value in batch.column(1):
-                texts.append(value.as_py())
-                size += len(texts[-1])
-                if size >= chunk_chars:
-                    out += encoder.batch(texts)
-                    texts, size = [], 0
-            out += encoder.batch(texts)
-            out = [x + end for x in out]
             kind = batch.column(0).type
-            for lo in range(0, len(out), 256):
-                part = np.bincount(np.frombuffer(b"".join(out[lo : lo + 256]), f"<u{width}"))
+            ends = np.cumsum(pc.binary_length(batch.column(1)).to_numpy().astype(np.int64))
+            lo = 0
+            while lo < batch.num_rows:  # whole texts, of about chunk_bytes together
+                hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + chunk_bytes, side="right")))
+                ids, bound = encoder.encode(batch.column(1).slice(lo, hi - lo), end)
+                part = np.bincount(ids)
                 total = np.pad(total, (0, max(0, len(part) - len(total))))
                 total[: len(part)] += part
-            n = pa.array([len(x) // width for x in out], pa.int64())
-            yield pa.RecordBatch.from_arrays([batch.column(0), n, pa.array(out, pa.binary()), pa.nulls(len(out), pa.binary())], names)
+                packed = pa.LargeBinaryArray.from_buffers(pa.large_binary(), hi - lo, [None, pa.py_buffer(bound * width), pa.py_buffer(ids)]).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(np.diff(bound)), packed, pa.nulls(hi - lo, pa.binary())], names)
+                lo = hi
         if kind is not None:
             seen = np.flatnonzero(total)
             blob = np.stack([seen, total[seen]]).astype("<i8").tobytes()
