@@ -14,19 +14,35 @@ def _x(key: str, spec: FilterSpec) -> str:
 
 
 def _bits(spec: FilterSpec) -> str:
-    """List of k address expressions over x."""
-    if spec.bits != "random" and spec.kind != "classic":
-        raise ValueError("only random footprints are spelled out in SQL")
-    width = spec.lines * LINE_BITS if spec.kind == "classic" else LINE_BITS
-    return "[" + ", ".join(sql_hash("x", constant(spec.seed, BIT + i), width) for i in range(spec.k)) + "]"
+    """List of k expressions over x: addresses, or for distinct footprints ranks among the free addresses."""
+    edge = [LINE_BITS * i // spec.k for i in range(spec.k + 1)]
+
+    def one(i: int) -> str:
+        width = spec.lines * LINE_BITS if spec.kind == "classic" else LINE_BITS - i if spec.bits == "distinct" else edge[i + 1] - edge[i] if spec.bits == "sliced" else LINE_BITS
+        h = sql_hash("x", constant(spec.seed, BIT + i), width)
+        return f"{edge[i]} + {h}" if spec.kind != "classic" and spec.bits == "sliced" else h
+
+    return "[" + ", ".join(map(one, range(spec.k))) + "]"
+
+
+def _placed(source: str, k: int) -> str:
+    """Ranks in ``addresses`` -> addresses: each moves past the taken ones at or below it, in rising order."""
+    out = f"SELECT * RENAME (addresses AS ranks), list_slice(addresses, 1, 1) AS taken FROM ({source})"
+    for i in range(2, k + 1):
+        moved = f"list_reduce(list_prepend(ranks[{i}], list_sort(taken)), lambda v, s: v + CASE WHEN s <= v THEN 1 ELSE 0 END)"
+        out = f"SELECT * REPLACE (list_append(taken, {moved}) AS taken) FROM ({out})"
+    return f"SELECT * EXCLUDE (ranks) RENAME (taken AS addresses) FROM ({out})"
 
 
 def hashed(table: str, key: str, spec: FilterSpec) -> str:
     """CTE bodies x -> h: key64, x, shard, l1..lc, addresses, for the distinct keys of a table or subquery."""
     lines = ", ".join(f"{sql_hash('x', constant(spec.seed, LINE + i), spec.lines)} AS l{i + 1}" for i in range(spec.choices))
+    source = f"""SELECT key64, {sql_hash('x', constant(spec.seed, SHARD), spec.shards)} AS shard, {lines}, {_bits(spec)} AS addresses
+  FROM (SELECT key64, {_x('key64', spec)} AS x FROM (SELECT DISTINCT {key} AS key64 FROM {table} WHERE {key} IS NOT NULL))"""
+    if spec.bits == "distinct" and spec.kind != "classic":
+        source = _placed(source, spec.k)
     return f"""h AS (SELECT key64, shard, l1{''.join(f', l{i + 2}' for i in range(spec.choices - 1))}, addresses FROM (
-  SELECT key64, {sql_hash('x', constant(spec.seed, SHARD), spec.shards)} AS shard, {lines}, {_bits(spec)} AS addresses
-  FROM (SELECT key64, {_x('key64', spec)} AS x FROM (SELECT DISTINCT {key} AS key64 FROM {table} WHERE {key} IS NOT NULL))))"""
+  {source}))"""
 
 
 def _words(source: str) -> str:
@@ -44,6 +60,15 @@ def union_lines(table: str, key: str, spec: FilterSpec) -> str:
     return f"WITH {hashed(table, key, spec)} {_words(_grouped(spec))}"
 
 
+def window_lines(table: str, key: str, ts: str, spec: FilterSpec) -> str:
+    """Lines of one line-local filter a day."""
+    columns = ", ".join(f"{SIGNED.format(v=f'max(CASE WHEN w = {i} THEN v ELSE CAST(0 AS UBIGINT) END)')} AS w{i}" for i in range(WORDS))
+    return f"""WITH {hashed(table, key, spec)}, days AS (SELECT DISTINCT date_trunc('day', {ts}) AS window_start, {key} AS key64 FROM {table})
+SELECT window_start, CAST(shard AS INTEGER) AS shard, CAST(l1 AS INTEGER) AS line, {columns} FROM (
+  SELECT window_start, shard, l1, a >> 6 AS w, bit_or(CAST(power(2, a & 63) AS UBIGINT)) AS v
+  FROM (SELECT window_start, shard, l1, unnest(addresses) AS a FROM days JOIN h USING (key64)) GROUP BY ALL) GROUP BY window_start, shard, l1"""
+
+
 def union_probe(table: str, key: str, probes: str, probe_key: str, spec: FilterSpec) -> str:
     """A row per probe row: the key and whether all its bits are set."""
     place = "shard * 1000000000000 + a" if spec.kind == "classic" else "(shard * 1000000000 + l1) * 512 + a"

@@ -73,12 +73,12 @@ def _footprints(bits: str):
 
 _one = FilterSpec("linelocal", 10, 1, 1, 1)
 _w = ", ".join(R.SIGNED.format(v=f"max(CASE WHEN w = {i} THEN v ELSE CAST(0 AS UBIGINT) END)") + f" AS m{i}" for i in range(8))
-query(
-    "footprint_random",
-    f"WITH {R.hashed('part', 'p_partkey', _one)} SELECT key64, {_w} FROM (SELECT key64, a >> 6 AS w, bit_or(CAST(power(2, a & 63) AS UBIGINT)) AS v FROM (SELECT key64, unnest(addresses) AS a FROM h) GROUP BY ALL) GROUP BY key64",
-)(_footprints("random"))
-query("footprint_distinct")(_footprints("distinct"))
-query("footprint_sliced")(_footprints("sliced"))
+for _bits in ("random", "distinct", "sliced"):
+    _h = R.hashed("part", "p_partkey", FilterSpec("linelocal", 10, 1, 1, 1, _bits))
+    query(
+        f"footprint_{_bits}",
+        f"WITH {_h} SELECT key64, {_w} FROM (SELECT key64, a >> 6 AS w, bit_or(CAST(power(2, a & 63) AS UBIGINT)) AS v FROM (SELECT key64, unnest(addresses) AS a FROM h) GROUP BY ALL) GROUP BY key64",
+    )(_footprints(_bits))
 
 
 # --- builds and lookups ------------------------------------------------------------------------
@@ -99,7 +99,8 @@ for _kind, _spec in UNION.items():
 
     query(f"{_kind}_probe", R.union_probe("(SELECT o_orderkey FROM orders WHERE o_orderkey % 2 = 0)", "o_orderkey", "lineitem", "l_orderkey", _spec))(_probe_union)
 
-query("linelocal_distinct_build")(lambda spark, sf_dir: _order_lines(spark, sf_dir, FilterSpec("linelocal", 10, 1, 4, 160, "distinct")))
+_apart = FilterSpec("linelocal", 10, 1, 4, 160, "distinct")
+query("linelocal_distinct_build", R.union_lines(ORDERS, "o_orderkey", _apart))(lambda spark, sf_dir: _order_lines(spark, sf_dir, _apart))
 
 
 def _customers(spark, sf_dir):
@@ -119,7 +120,8 @@ for _c, _spec in SMALL.items():
             query("probe_by_array", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "array"))
             query("probe_by_shard", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "shard"))
 
-query("choice2_distinct_build")(lambda spark, sf_dir: build.build(_customers(spark, sf_dir), FilterSpec("choice", 10, 2, 6, 8, "distinct")))
+_apart2 = FilterSpec("choice", 10, 2, 6, 8, "distinct")
+query("choice2_distinct_build", R.choice_lines("customer", "c_custkey", _apart2))(lambda spark, sf_dir: build.build(_customers(spark, sf_dir), _apart2))
 query("choice_skip_count", R.choice_skips("customer", "c_custkey", SMALL[2]))(lambda spark, sf_dir: build.build_choice(_customers(spark, sf_dir), SMALL[2], report=True))
 query("choice_epochs")(lambda spark, sf_dir: build.build_epochs(_customers(spark, sf_dir), SMALL[2], 4))
 
@@ -367,10 +369,13 @@ def events_first_seen(spark, sf_dir):
     return stream.first_seen(users, "user_id", "us", _seen).select(F.col("key64").alias("user_id"), F.timestamp_micros("ord").cast(kind).alias("first_ts"))
 
 
-@query("events_window_filters")
+_daily = FilterSpec("linelocal", 10, 1, 2, 16)
+
+
+@query("events_window_filters", R.window_lines("events", "user_id", "ts", _daily))
 def events_window_filters(spark, sf_dir):
     events = _load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
-    return stream.window_filters(events, "user_id", "ts", FilterSpec("linelocal", 10, 1, 2, 16), "1 day")
+    return stream.window_filters(events, "user_id", "ts", _daily, "1 day")
 
 
 @query("rival_exact", "SELECT l_orderkey, l_orderkey % 2 = 0 AS maybe FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders)")
@@ -383,7 +388,11 @@ def rival_fingerprints(spark, sf_dir):
     return rivals.fingerprint_set(_even_orders(spark, sf_dir), _load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", 1 << 14, 10)
 
 
-query("advise")(lambda spark, sf_dir: spark.createDataFrame([(k, m, s, *advise(k, m, s)) for k in range(1, 21) for m in (False, True) for s in (False, True)], "k int, memory_bound boolean, smallest boolean, kind string, choices int"))
+query(
+    "advise",
+    """SELECT CAST(range AS INTEGER) AS k, memory_bound, smallest, CASE WHEN range <= 3 THEN 'classic' WHEN range <= 7 OR NOT memory_bound THEN 'linelocal' ELSE 'choice' END AS kind,
+    CASE WHEN range <= 7 OR NOT memory_bound THEN 1 WHEN smallest THEN 3 ELSE 2 END AS choices FROM range(1, 21), (VALUES (true), (false)) m(memory_bound), (VALUES (true), (false)) s(smallest)""",
+)(lambda spark, sf_dir: spark.createDataFrame([(k, m, s, *advise(k, m, s)) for k in range(1, 21) for m in (False, True) for s in (False, True)], "k int, memory_bound boolean, smallest boolean, kind string, choices int"))
 
 
 def packed_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
