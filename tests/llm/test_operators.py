@@ -111,6 +111,17 @@ def test_piece_encoder_equals_the_library():
         assert np.frombuffer(encoder.batch([text])[0], "<u4").tolist() == plain.encode(text, add_special_tokens=False).ids
 
 
+def test_pieces_are_whole_pretokens():
+    plain, rng = Tokenizer.from_file(BPE), random.Random(9)
+    encoder = huffman.PieceEncoder(BPE, 2, keep=500)
+    signs = [*"ab1.'s,\t\n \r\x0b\x1c\x1f\x7f\x00", *"\xe9\xd7\xf7\xdf\u024f\u0250\xbb\xa0\x85\u2003\u2019\u3000\u1680\u180e\u200b\u4f60\U0001f600\u0663\xaa", "'s", "n't", "  ", " \n", "<|endoftext|>"]
+    for _ in range(60):
+        texts = ["".join(rng.choices(signs, k=rng.randrange(25))) for _ in range(60)]
+        got = [np.frombuffer(x, "<u2").tolist() for x in encoder.batch(texts)]
+        assert got == [plain.encode(t, add_special_tokens=False).ids for t in texts]
+    assert encoder.batch([]) == [] and encoder.batch(["", ""]) == [b"", b""]
+
+
 def test_huffman_files(spark, docs, odd, empty):
     plain = Tokenizer.from_file(BPE)
     for table in (docs, odd):
