@@ -362,6 +362,22 @@ def test_wrappers_and_text(spark, sf, empty):
     assert html.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
 
 
+def main_texts(spark, rows):
+    return {r.page_id: r.text for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+
+
+def test_text_follows_the_wrappers_slots(spark):
+    page = "<html><body><article><h1>T{0}</h1><div class='share'>{1}</div><p>Words {0}</p></article><div class='foot'>Same</div></body></html>"
+    rows = [(i, "http://same.example/", page.format(i, "Share it")) for i in range(4)] + [(10 + i, "http://other.example/", page.format(i, f"We share {i}")) for i in range(4)]
+    got = main_texts(spark, rows)
+    assert got[1] == "T1\n\nWords 1" and got[11] == "T1\n\nWe share 1\n\nWords 1"
+    found = html.linked_blocks(rows[0][2])
+    machine, slots, matched = html.placed(found, html.json.dumps(html.shape(found)))
+    assert matched and [machine.paths[s] for s in slots] == [path for path, *_ in found]
+    sums = {s: [4, 40, 0, 1, 2] for s in slots}
+    assert html.page_text(found, html.json.dumps(html.shape(found)), sums, {}) != html.page_text(found, html.json.dumps(html.shape(found)), sums | {slots[1]: [4, 40, 0, 1, 1]}, {})
+
+
 # --- 10 ----------------------------------------------------------------------------------------
 def test_chat_events(spark):
     events = [
