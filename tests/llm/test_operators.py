@@ -378,6 +378,15 @@ def test_text_follows_the_wrappers_slots(spark):
     assert html.page_text(found, html.json.dumps(html.shape(found)), sums, {}) != html.page_text(found, html.json.dumps(html.shape(found)), sums | {slots[1]: [4, 40, 0, 1, 1]}, {})
 
 
+def test_two_templates_and_no_hosts(spark):
+    first = "<html><body><nav>Home</nav><article><h1>A{0}</h1><p>Text {0}</p></article></body></html>"
+    second = "<html><body><nav>Home</nav><div class=content><p>Long words of page {0}</p><div class=more>Further {0}</div></div></body></html>"
+    rows = [(i, url, page.format(i)) for i, (url, page) in enumerate((u, p) for u in ("http://mixed.example/", None, "no url") for p in (first, second) for _ in range(3))]
+    got = main_texts(spark, rows)
+    for i, (_, _, page) in enumerate(rows):
+        assert got[i] == (f"A{i}\n\nText {i}" if "<article>" in page else f"Long words of page {i}\n\nFurther {i}")
+
+
 # --- 10 ----------------------------------------------------------------------------------------
 def test_chat_events(spark):
     events = [
