@@ -387,6 +387,13 @@ def test_two_templates_and_no_hosts(spark):
         assert got[i] == (f"A{i}\n\nText {i}" if "<article>" in page else f"Long words of page {i}\n\nFurther {i}")
 
 
+def test_names_in_an_article_drop_nothing_alone(spark):
+    page = """<html><body><article id="post-cookie-recipes" data-role="form"><header><h1>Head {0}</h1></header><h2 id="related-work">Related {0}</h2>
+<section id="search-engines"><p>Engines {0}</p></section><p class="ad-free">Free {0}</p><div class="form-theory">Theory {0}</div><div class="related"><p><a href="/x">Link {0}</a></p></div></article></body></html>"""
+    rows = [(i, "http://slug.example/", page.format(i)) for i in range(3)]
+    assert main_texts(spark, rows) == {i: "\n\n".join(f"{w} {i}" for w in ("Head", "Related", "Engines", "Free", "Theory")) for i in range(3)}
+
+
 # --- 10 ----------------------------------------------------------------------------------------
 def test_chat_events(spark):
     events = [
