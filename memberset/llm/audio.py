@@ -1,7 +1,7 @@
 """Audio features: polyphase resampling, overlapped log-mel filterbanks, hysteresis energy segmentation.
 
 A payload is stored as an 8-bit mono WAV file; all features come from the file's bytes as read back.
-Samples are resampled from ``RATE_IN`` to ``RATE_OUT`` by a polyphase filter, cut into overlapping windows,
+Samples are resampled from ``RATE_IN`` to ``RATE_OUT`` by a polyphase filter, cut into overlapping windows centred on hops that tile the recording,
 and turned into log-mel values (8-bit steps). Segments are stretches of energy that begin above a high and end below a
 low threshold, both relative to the document's median. A document's features are an Arrow stream
 of clips: a fixed-shape tensor of ``CLIP`` frames x ``MELS`` (the last one padded) with its time span.
@@ -103,9 +103,9 @@ def _mel_bank(rate: int = RATE_OUT, fft: int = FFT, mels: int = MELS) -> np.ndar
 
 
 def log_mel(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(frames x MELS in steps of a quarter, int8; energy of each frame in dB)."""
-    frames = max(1, 1 + (len(x) - WINDOW) // HOP)
-    x = np.pad(x, (0, max(0, (frames - 1) * HOP + WINDOW - len(x))))
+    """(frames x MELS in steps of a quarter, int8; energy of each frame in dB); a frame for every hop begun, its window centred on the hop."""
+    frames = max(1, -(-len(x) // HOP))
+    x = np.pad(x, ((WINDOW - HOP) // 2, max(0, (frames - 1) * HOP + (WINDOW + HOP) // 2 - len(x))))
     taper, bank, mel, energy = np.hanning(WINDOW).astype(np.float32), _mel_bank(), [], []
     for lo in range(0, frames, STRETCH):
         hi = min(frames, lo + STRETCH)
@@ -131,17 +131,21 @@ def _ms(frame: int) -> int:
     return frame * HOP * 1000 // RATE_OUT
 
 
+def length_ms(payload: bytes) -> int:
+    return -(-len(payload) * 1000 // RATE_IN)
+
+
 TENSOR = pa.fixed_shape_tensor(pa.int8(), [CLIP, MELS])
 
 
-def tensors(mel: np.ndarray) -> bytes:
-    """Arrow stream of the clips: start_ms, stop_ms, tensor."""
+def tensors(mel: np.ndarray, end: int | None = None) -> bytes:
+    """Arrow stream of the clips: start_ms, stop_ms (of the last one: end, if given), tensor."""
     clips = -(-len(mel) // CLIP)
     padded = np.zeros((clips * CLIP, MELS), np.int8)
     padded[: len(mel)] = mel
     values = pa.FixedSizeListArray.from_arrays(pa.array(padded.reshape(-1)), CLIP * MELS)
     start = [_ms(i * CLIP) for i in range(clips)]
-    stop = [_ms(min(len(mel), (i + 1) * CLIP)) for i in range(clips)]
+    stop = [_ms((i + 1) * CLIP) for i in range(clips - 1)] + [_ms(len(mel)) if end is None else end]
     batch = pa.record_batch([pa.array(start, pa.int64()), pa.array(stop, pa.int64()), pa.ExtensionArray.from_storage(TENSOR, values)], ["start_ms", "stop_ms", "tensor"])
     sink = pa.BufferOutputStream()
     with pa.ipc.new_stream(sink, batch.schema) as writer:
@@ -150,10 +154,11 @@ def tensors(mel: np.ndarray) -> bytes:
 
 
 def features(payload: bytes) -> tuple[np.ndarray, list[tuple[int, int]]]:
-    """Log-mel frames and segments (in ms) of 8-bit samples."""
+    """Log-mel frames and segments (in ms, to the recording's end at most) of 8-bit samples."""
     x = np.frombuffer(payload, np.uint8).astype(np.float32)
     mel, energy = log_mel(resample((x - 128) / 128))
-    return mel, [(_ms(a), _ms(b)) for a, b in segments(energy)]
+    end = length_ms(payload)
+    return mel, [(_ms(a), min(_ms(b), end)) for a, b in segments(energy)]
 
 
 def extract(media: DataFrame, with_tensors: bool = True) -> DataFrame:
@@ -168,7 +173,7 @@ def extract(media: DataFrame, with_tensors: bool = True) -> DataFrame:
                 wav = value.as_py()
                 _, payload = samples_of(wav)
                 mel, found = features(payload)
-                blob = tensors(mel)
+                blob = tensors(mel, length_ms(payload))
                 said = ",".join(f"{a}-{b}" for a, b in found)
                 row = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(wav), hashlib.sha256(wav).hexdigest())
                 row += (f"{len(mel)}x{MELS}:{len(found)}:{hashlib.sha256(blob + said.encode()).hexdigest()[:32]}", [{"start_ms": a, "stop_ms": b} for a, b in found], blob)

@@ -84,6 +84,24 @@ def test_resampling_and_segments():
     assert (back[: len(mel)] == mel).all()
 
 
+def test_features_reach_both_ends_of_the_recording():
+    import pyarrow as pa
+
+    rng = np.random.default_rng(1)
+    for units in range(1, 60):
+        text = rng.integers(97, 123, units * 192).astype(np.uint8)
+        mel, found = audio.features(text.tobytes())
+        changed = [slice(0, 1), slice(-2, None)] + [slice(-1, None)] * (units % 5 > 0)  # where hops end with the samples, the last byte alone can fall below a step
+        for at in changed:
+            other = text.copy()
+            other[at] = 255
+            assert (audio.features(other.tobytes())[0] != mel).any(), (units, at)
+        table = pa.ipc.open_stream(audio.tensors(mel, audio.length_ms(text.tobytes()))).read_all()
+        assert table["stop_ms"][-1].as_py() == units * 16 and (len(mel) - 1) * 10 < units * 16 <= len(mel) * 10
+    quiet, loud = np.full(192 * 50, 128, np.uint8), np.where(np.arange(192 * 20) % 6 < 3, 0, 255).astype(np.uint8)
+    assert audio.features(np.concatenate([quiet, loud]).tobytes())[1][-1][1] == 70 * 16
+
+
 # --- 2 -----------------------------------------------------------------------------------------
 def test_code_lengths_are_optimal_and_limited():
     import heapq
