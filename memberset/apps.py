@@ -20,6 +20,8 @@ FOUR = "".join(str(i % 4) for i in range(26))
 
 _DIGIT = np.array([i % 4 for i in range(26)], np.int64)
 _SLICE = 1 << 18
+#: Lines of a shard of an origin's filter: small enough that many tasks insert.
+ORIGIN_LINES = 1 << 14
 
 
 def grams_of(texts: list[bytes], q: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -95,15 +97,35 @@ def prefilter(left: DataFrame, right: DataFrame, key_left: str, key_right: str,
     return surely.unionByName(some.join(right.alias("r"), same, "left_anti"))
 
 
-def two_origins(reads: DataFrame, origin_a: DataFrame, origin_b: DataFrame, q: int = 27, k: int = 16, share: float = 0.5, choices: int = 2) -> DataFrame:
-    """reads (read_id, text) -> grams, hits_a, hits_b and the class a | b | both | neither by the share of grams found."""
-    grams = qgrams(reads.select("read_id", "text"), "text", q)
+def fold_of(key: str, folds: int):
+    """Fold of a row by the checksum of its key; rows without a key are in fold 0."""
+    return F.coalesce(F.pmod(F.crc32(F.col(key).cast("string").cast("binary")), F.lit(folds)), F.lit(0)).cast("int")
+
+
+def two_origins(reads: DataFrame, origin_a: DataFrame, origin_b: DataFrame, q: int = 27, k: int = 16, share: float = 0.5, choices: int = 2, folds: int = 1) -> DataFrame:
+    """reads (read_id, text) -> grams, hits_a, hits_b and the class a | b | both | neither by the share of grams found.
+
+    Every read has a row; one without grams is neither. With ``folds``, reads and origins have a column fold: each fold of an
+    origin has a filter of its own, and a read is asked of all but that of its fold (of all, where its fold is null). So a read
+    never meets its own text; k grows so that the filters asked have the FPR of one.
+    """
+    k += (folds - 1).bit_length()
+    if folds == 1:
+        reads, origin_a, origin_b = reads.withColumn("fold", F.lit(None).cast("int")), origin_a.withColumn("fold", F.lit(0)), origin_b.withColumn("fold", F.lit(0))
+    asked = qgrams(reads.select("read_id", "fold", "text"), "text", q)
     for name, origin in (("a", origin_a), ("b", origin_b)):
-        keys = keys_of(qgrams(origin.select("text"), "text", q), "gram")
-        spec = plan_spec(max(1, keys.count()), k, "choice", choices)
-        grams = probe(grams, "gram", build(keys, spec), spec).withColumnRenamed("maybe", f"in_{name}")
-    sums = grams.groupBy("read_id").agg(F.count("*").alias("grams"), F.count_if("in_a").alias("hits_a"), F.count_if("in_b").alias("hits_b"))
-    a, b = F.col("hits_a") >= share * F.col("grams"), F.col("hits_b") >= share * F.col("grams")
+        found = F.lit(False)
+        for fold in range(folds):
+            keys = keys_of(qgrams(origin.where(F.col("fold") == fold).select("text"), "text", q), "gram")
+            spec = plan_spec(max(1, keys.count()), k, "choice", choices, shard_lines=ORIGIN_LINES)
+            asked = probe(asked, "gram", build(keys, spec), spec).withColumnRenamed("maybe", f"in_{name}{fold}")
+            found = found | (F.col(f"in_{name}{fold}") & ~F.col("fold").eqNullSafe(F.lit(fold)))
+        asked = asked.withColumn(f"in_{name}", found)
+    bare = reads.select("read_id", *(F.lit(None).cast("boolean").alias(c) for c in ("in_a", "in_b")))
+    sums = asked.select("read_id", "in_a", "in_b").unionByName(bare).groupBy("read_id")
+    sums = sums.agg(F.count("in_a").alias("grams"), F.count_if("in_a").alias("hits_a"), F.count_if("in_b").alias("hits_b"))
+    some = F.col("grams") > 0
+    a, b = some & (F.col("hits_a") >= share * F.col("grams")), some & (F.col("hits_b") >= share * F.col("grams"))
     return sums.withColumn("class", F.when(a & b, "both").when(a, "a").when(b, "b").otherwise("neither"))
 
 

@@ -309,12 +309,16 @@ def qgram_build_species(spark, sf_dir):
     return whole
 
 
+ORIGIN_FOLDS = 2
+
+
 @query("two_origin_sort")
 def two_origin_sort(spark, sf_dir):
-    docs = _load(spark, sf_dir, "documents")
-    reads = _load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), "text")
-    reads = reads.unionByName(docs.where("lang in ('en', 'de') and doc_id % 10 = 0").select((-F.col("doc_id") - 1).alias("read_id"), "text"))
-    return apps.two_origins(reads, docs.where("lang = 'en'"), docs.where("lang = 'de'"))
+    """All documents and conversations as reads, en and de as origins: a document is asked of the origins' other fold, a conversation of both."""
+    docs = _load(spark, sf_dir, "documents").withColumn("fold", apps.fold_of("doc_id", ORIGIN_FOLDS))
+    reads = _load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), F.lit(None).cast("int").alias("fold"), "text")
+    reads = reads.unionByName(docs.select((-F.col("doc_id") - 1).alias("read_id"), "fold", "text"))
+    return apps.two_origins(reads, docs.where("lang = 'en'"), docs.where("lang = 'de'"), folds=ORIGIN_FOLDS)
 
 
 _some = "o_orderpriority = (SELECT min(o_orderpriority) FROM orders)"

@@ -1,6 +1,7 @@
 """The filter engine against its plain loop, its closed forms and DuckDB."""
 
 import math
+import zlib
 from dataclasses import replace
 
 import duckdb
@@ -186,6 +187,27 @@ def test_qgrams(spark):
     assert rows(apps.qgrams(df, "t", 3)) == [(1, 1, 6), (1, 2, 27)]
 
 
+def test_two_origins_sort_every_read(spark, sf):
+    docs, said = (spark.read.parquet(f"{sf}/{t}.parquet").toPandas() for t in ("documents", "conversations"))
+    got = {r.read_id: r for r in QUERIES["two_origin_sort"](spark, sf).collect()}
+    assert set(got) == {-i - 1 for i in docs.doc_id} | {c * 1000 + t for c, t in zip(said.conv_id, said.turn)}
+
+    def grams(text):
+        _, _, g = apps.grams_of([(text or "").encode()], 27)
+        return g.tolist()
+
+    sets: dict = {(lang, fold): set() for lang in ("en", "de") for fold in (0, 1)}
+    fold = {i: zlib.crc32(str(i).encode()) % 2 for i in docs.doc_id}
+    for i, lang, text in zip(docs.doc_id, docs.lang, docs.text):
+        if (lang, 0) in sets:
+            sets[lang, fold[i]].update(grams(text))
+    for i, text in [*zip(docs.doc_id, docs.text)][::5]:
+        own, r = grams(text), got[-i - 1]
+        assert r.grams == len(own) and (own or r["class"] == "neither")
+        for hits, lang in ((r.hits_a, "en"), (r.hits_b, "de")):
+            assert 0 <= hits - sum(g in sets[lang, 1 - fold[i]] for g in own) <= 2  # false positives at 2^-16
+
+
 def test_rivals(spark, keys):
     cuckoo = rivals.Cuckoo(2000, 12)
     assert cuckoo.insert(np.arange(2000)) == 0 and cuckoo.lookup(np.arange(2000)).all()
