@@ -14,7 +14,7 @@ from . import kernels as K
 from . import sqlref as R
 from .advise import advise
 from .cost import AddedCost, ExpCost, LinearCost, PowerCost, TotalCost
-from .geometry import FilterSpec
+from .geometry import FilterSpec, plan_spec
 
 QUERIES: dict = {}
 ORACLES: dict = {}
@@ -363,14 +363,21 @@ def unknown_count(spark, sf_dir):
     return measure.fpr_from_loads(build.build(keys, spec), spec).select(F.lit(guess).alias("capacity"), F.lit(true / guess).alias("gamma"), "log2_fpr")
 
 
-_seen = FilterSpec("choice", 40, 2, 4, 256)
+SEEN_SHARD_LINES = 1 << 12
+
+
+def seen_spec(users: int) -> FilterSpec:
+    """Filter for so many users at k = 40: their loads, and with them the chance to lose a user (2^-40 each), do not grow with the table."""
+    spec = plan_spec(users, 40, shard_lines=SEEN_SHARD_LINES)
+    return spec if spec.shards >= 4 else plan_spec(users, 40, shards=4)
 
 
 @query("events_first_seen", "SELECT user_id, min(ts) AS first_ts FROM events WHERE user_id IS NOT NULL GROUP BY user_id")
 def events_first_seen(spark, sf_dir):
     users = _load(spark, sf_dir, "events").select("user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"), "ts")
     kind = users.schema["ts"].dataType
-    return stream.first_seen(users, "user_id", "us", _seen).select(F.col("key64").alias("user_id"), F.timestamp_micros("ord").cast(kind).alias("first_ts"))
+    spec = seen_spec(users.select("user_id").distinct().count())
+    return stream.first_seen(users, "user_id", "us", spec).select(F.col("key64").alias("user_id"), F.timestamp_micros("ord").cast(kind).alias("first_ts"))
 
 
 _daily = FilterSpec("linelocal", 10, 1, 2, 16)

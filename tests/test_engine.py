@@ -237,6 +237,14 @@ def test_streams(spark, tmp_path):
     assert pair.offer(np.arange(10)).all() and not pair.offer(np.arange(10)).any()
 
 
+def test_first_events_of_many_users(spark, tmp_path):
+    users = 30_000  # more than three times what the filter of fixed size held
+    events = spark.range(users + 500).select((F.col("id") % users).alias("user_id"), F.timestamp_seconds(F.col("id")).alias("ts"))
+    events.write.parquet(str(tmp_path / "events.parquet"))
+    got = QUERIES["events_first_seen"](spark, str(tmp_path)).select("user_id", F.unix_seconds("first_ts")).collect()
+    assert sorted(map(tuple, got)) == [(i, i) for i in range(users)]
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_query_matches_sql(spark, sf, name):
     con = duckdb.connect()
