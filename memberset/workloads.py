@@ -63,6 +63,16 @@ def qgram_keys(spark, sf_dir):
     return apps.qgrams(_load(spark, sf_dir, "benchmark").select("item_id", "text"), "text", 31)
 
 
+@query(
+    "qgram_keys_documents",
+    f"""WITH t AS (SELECT doc_id, translate(lower(regexp_replace(text, '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') AS s FROM documents)
+SELECT doc_id, CAST(pos AS INTEGER) AS pos, list_reduce(list_transform(string_split(substr(s, pos, 31), ''), lambda c: CAST(c AS BIGINT)), lambda a, b: a * 4 + b) AS gram
+FROM (SELECT doc_id, s, unnest(range(1, length(s) - 29)) AS pos FROM t WHERE length(s) >= 31)""",
+)
+def qgram_keys_documents(spark, sf_dir):
+    return apps.qgrams(_load(spark, sf_dir, "documents").select("doc_id", "text"), "text", 31)
+
+
 def _footprints(bits: str):
     def run(spark, sf_dir):
         keys = build.keys_of(_load(spark, sf_dir, "part"), "p_partkey")

@@ -187,6 +187,16 @@ def test_qgrams(spark):
     assert rows(apps.qgrams(df, "t", 3)) == [(1, 1, 6), (1, 2, 27)]
 
 
+def test_document_qgrams_against_brute_force(spark, tmp_path):
+    texts = [None, "", "é日本 ſ\u212a", "Ab-c" * 7 + "de", "Ab-c" * 7 + "def", "x" * 31, "é".join("The quick brown fox jumps over it all"), "zyxw vu\n" * 60_000]
+    spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(3, "y" * 32)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    want = []
+    for i, text in [*enumerate(texts), (3, "y" * 32)]:
+        s = "".join(str("abcdefghijklmnopqrstuvwxyz".index(c) % 4) for c in (text or "").replace("\u212a", "").lower() if "a" <= c <= "z")
+        want += [(i, p + 1, int(s[p : p + 31], 4)) for p in range(len(s) - 30)]
+    assert rows(QUERIES["qgram_keys_documents"](spark, str(tmp_path))) == sorted(want)
+
+
 def test_two_origins_sort_every_read(spark, sf):
     docs, said = (spark.read.parquet(f"{sf}/{t}.parquet").toPandas() for t in ("documents", "conversations"))
     got = {r.read_id: r for r in QUERIES["two_origin_sort"](spark, sf).collect()}
