@@ -3,8 +3,9 @@
 The network reads UTF-8 bytes in stretches of ``STRETCH``, forwards and backwards, and gives every byte a
 distribution over the languages; a document's probabilities are the mean over all its bytes. It is
 trained in numpy by backpropagation through time, with the loss taken at every position, on a
-bounded sample: about ``DOCS_PER_LANG`` documents per language (those whose hashed id lies below a threshold
-taken from the language's row count), ``CUTS`` stretches of each at hashed places. Only text and language of the
+bounded sample: about ``DOCS_PER_LANG`` documents per language and ``SAMPLE_DOCS`` in all (those whose hashed id lies below a
+threshold taken from the language's row count), ``CUTS`` stretches of each at hashed places; the ``MAX_LANGS`` most
+frequent languages are learnt. Only text and language of the
 training fold (crc32 of the id modulo ``FOLDS`` is not ``HELD_OUT``) are learnt from; the id serves to choose and to split only.
 
 Defined results: null text, or none with a letter: ``und``, score 0; a null or unlabelled language is predicted, not
@@ -28,10 +29,16 @@ FOLDS, HELD_OUT = 4, 2
 STRETCH = 64
 HIDDEN = 8
 DOCS_PER_LANG, CUTS = 400, 6
-MAX_LANGS = 256
+MAX_LANGS, SAMPLE_DOCS = 4096, 102_400
 STEPS, BATCH, RATE, SEED = 300, 256, 0.02, 5
 LANES = 2048
-_LETTER = re.compile(r"[^\W\d_]")
+#: Numbers in a working array, whatever the count of languages.
+CELLS = 1 << 23
+_MAY_BE_LETTER = re.compile(r"[^\W\d_]")  # superscripts, fractions and letter-like numbers too
+
+
+def has_letter(text: str) -> bool:
+    return any(m[0].isalpha() for m in _MAY_BE_LETTER.finditer(text))
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -139,26 +146,31 @@ class Model:
         length = np.minimum(STRETCH, n[owner] - STRETCH * piece)
         padded = np.zeros((len(owner), STRETCH), np.uint8)
         padded[np.arange(STRETCH) < length[:, None]] = np.frombuffer(b"".join(texts), np.uint8)
-        total = np.empty((len(owner), len(self.langs)))
-        for lo in range(0, len(owner), LANES):
-            part = np.ascontiguousarray(padded[lo : lo + LANES].T)
+        total = np.zeros((len(texts), len(self.langs)))
+        lanes = max(16, min(LANES, CELLS // (STRETCH * len(self.langs))))
+        for lo in range(0, len(owner), lanes):
+            part = np.ascontiguousarray(padded[lo : lo + lanes].T)
             p, _ = self._labels(part)
-            inside = (np.arange(STRETCH)[:, None] < length[lo : lo + LANES]).astype(np.float32)
-            total[lo : lo + LANES] = np.einsum("tbc,tb->bc", p, inside)
-        return np.add.reduceat(total, np.cumsum(per) - per, axis=0) / n[:, None]
+            inside = (np.arange(STRETCH)[:, None] < length[lo : lo + lanes]).astype(np.float32)
+            whose = owner[lo : lo + lanes]
+            cut = np.flatnonzero(np.concatenate(([True], whose[1:] != whose[:-1])))
+            total[whose[cut]] += np.add.reduceat(np.einsum("tbc,tb->bc", p, inside), cut, axis=0)
+        return total / n[:, None]
 
 
 def training_sample(docs: DataFrame, per_lang: int = DOCS_PER_LANG, cuts: int = CUTS) -> tuple[list[str], list[tuple[bytes, str]]]:
     """Languages of the training fold and stretches (bytes, language) of the sample."""
     fold = docs.where(F.col("lang").isNotNull() & (crc_bucket("doc_id", FOLDS) != HELD_OUT)).select("doc_id", "lang", "text")
-    counts = {r["lang"]: r["count"] for r in fold.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGS + 1).collect()}
-    if len(counts) > MAX_LANGS:
-        raise ValueError("more languages than the model is meant for")
-    chance = F.coalesce(*[F.when(F.col("lang") == k, F.lit(min(1.0, per_lang / n))) for k, n in counts.items()]) if counts else F.lit(0.0)
+    counts = {r["lang"]: r["count"] for r in fold.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGS).collect()}
+    if not counts:
+        return [], []
+    share = min(per_lang, max(1, SAMPLE_DOCS // len(counts)))
+    chances = docs.sparkSession.createDataFrame([(k, min(1.0, share / n)) for k, n in counts.items()], "lang string, chance double")
     draw = F.shiftrightunsigned(F.xxhash64("doc_id", F.lit(SEED)), 11) / F.lit(float(1 << 53))
     span = F.greatest(F.lit(1), F.char_length("text") - STRETCH + 1)
     stretch = [F.substring("text", (F.pmod(F.xxhash64("doc_id", F.lit(100 + i)), span) + 1).cast("int"), F.lit(STRETCH)) for i in range(cuts)]
-    rows = fold.where(draw < chance).select("lang", F.array(*stretch).alias("cuts")).collect()
+    fold = fold.join(F.broadcast(chances), "lang")  # MAX_LANGS rows at most
+    rows = fold.where(draw < F.col("chance")).select("lang", F.array(*stretch).alias("cuts")).collect()
     return sorted(counts), [(c.encode()[:STRETCH], r["lang"]) for r in rows for c in r["cuts"] or [] if c and c.strip()]
 
 
@@ -175,46 +187,49 @@ def fit(docs: DataFrame, steps: int = STEPS) -> Model | None:
     return model
 
 
-def predict(docs: DataFrame, model: Model | None, chunk_bytes: int = 1 << 20) -> DataFrame:
-    """doc_id, held_out, lang_pred, score. A text of any length is read whole, stretch by stretch."""
+def judge(model: Model | None, texts: pa.Array, chunk_bytes: int = 1 << 20) -> tuple[list[str], list[float]]:
+    """Language and score of every text. Long texts are read whole, stretch by stretch; a null counts as empty."""
+    said, score = ["und"] * len(texts), [0.0] * len(texts)
+    rows, held, size = [], [], 0
+
+    def pooled() -> np.ndarray:
+        if len(held) > 1:
+            return model.pool(held)
+        parts = [held[0][i : i + chunk_bytes] for i in range(0, len(held[0]), chunk_bytes)]
+        return sum(model.pool([p]) * len(p) for p in parts) / len(held[0])
+
+    def settle() -> None:
+        if rows:
+            p = pooled()
+            for i, best, top in zip(rows, p.argmax(1).tolist(), p.max(1).tolist()):
+                said[i], score[i] = model.langs[best], min(1.0, max(0.0, round(top, 6)))
+            rows.clear()
+            held.clear()
+
+    for i, value in enumerate(texts):
+        text = value.as_py()
+        if model is None or not text or not has_letter(text):
+            continue
+        data = text.encode()
+        if size + len(data) > chunk_bytes or len(held) * len(model.langs) >= CELLS:
+            settle()
+            size = 0
+        rows.append(i)
+        held.append(data)
+        size += len(data)
+    settle()
+    return said, score
+
+
+def predict(docs: DataFrame, model: Model | None) -> DataFrame:
+    """doc_id, held_out, lang_pred, score."""
     source = doc_text(docs)
     id_type = source.schema["doc_id"].dataType.simpleString()
 
-    def pooled(texts: list[bytes]) -> np.ndarray:
-        out = []
-        for t in texts if len(texts) == 1 else [None]:
-            if t is None:
-                return model.pool(texts)
-            weights = [(model.pool([t[i : i + chunk_bytes]]), len(t[i : i + chunk_bytes])) for i in range(0, len(t), chunk_bytes)]
-            out.append(sum(p * n for p, n in weights) / len(t))
-        return np.concatenate(out)
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            said, score = ["und"] * batch.num_rows, [0.0] * batch.num_rows
-            rows, texts, size = [], [], 0
-
-            def settle() -> None:
-                if rows:
-                    p = pooled(texts)
-                    for i, best, top in zip(rows, p.argmax(1).tolist(), p.max(1).tolist()):
-                        said[i], score[i] = model.langs[best], min(1.0, max(0.0, round(top, 6)))
-                    rows.clear()
-                    texts.clear()
-
-            for i, value in enumerate(batch.column(1)):
-                text = value.as_py()
-                if model is None or not _LETTER.search(text):
-                    continue
-                data = text.encode()
-                if size + len(data) > chunk_bytes:
-                    settle()
-                    size = 0
-                rows.append(i)
-                texts.append(data)
-                size += len(data)
-            settle()
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(said), pa.array(score)], ["doc_id", "lang_pred", "score"])
+            said, score = judge(model, batch.column(1))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(said, pa.string()), pa.array(score, pa.float64())], ["doc_id", "lang_pred", "score"])
 
     out = source.mapInArrow(run, f"doc_id {id_type}, lang_pred string, score double")
     held = F.coalesce(crc_bucket("doc_id", FOLDS) == HELD_OUT, F.lit(True))
@@ -226,12 +241,15 @@ def identify(docs: DataFrame) -> DataFrame:
 
 
 def accepted(docs: DataFrame, least: float = 0.3) -> DataFrame:
-    """The documents whose language is told with a score of ``least`` or more; others are rejected.
+    """The rows whose own text's language is told with a score of ``least`` or more, whole and in one pass.
 
-    The rejected ids (few) are what is joined. Of rows that share an id, all go if one is rejected; rows without an id stay.
+    No id takes part: a row neither goes nor stays on account of another with its id, or for having none.
     """
-    from .common import stage
+    model, at = fit(docs), docs.columns.index("text")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            said, score = judge(model, batch.column(at))
+            yield batch.filter(pa.array([k != "und" and p >= least for k, p in zip(said, score)], pa.bool_()))
 
-    out = identify(docs)
-    rejected = stage(out.where((F.col("lang_pred") == "und") | (F.col("score") < least)).select("doc_id").distinct(), "rejected")
-    return docs.join(rejected, "doc_id", "left_anti").select(docs.columns)
+    return docs.mapInArrow(run, docs.schema)
