@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import doc_text, stage
+from .common import columns_of, doc_text, free_name, keyed, stage
 from .components import connected_components
 from .xxh64 import hash_ranges
 
@@ -236,29 +236,35 @@ def links(fps: DataFrame, radius: int = RADIUS, n: int | None = None) -> DataFra
     return rows.mapInArrow(compare, "u long, v long")
 
 
+def _linked(prints: DataFrame, radius: int) -> tuple[DataFrame, DataFrame]:
+    """Distinct fingerprints (fp, doc: least id) and, for those with links, fp and root (the component's least fingerprint)."""
+    reps = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("doc")), "reps")
+    comp = connected_components(links(reps.select("fp"), radius))
+    return reps, stage(comp.select(F.col("node").alias("fp"), "root"), "component")
+
+
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS, seed: int = SEED) -> DataFrame:
     """One row per document: doc_id, fp (long), component_id (smallest id reachable over links)."""
     prints = stage(fingerprint(docs, words, seed), "fingerprints")
-    reps = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("doc")), "reps")
-    comp = connected_components(links(reps.select("fp"), radius))
-    comp = stage(comp.join(reps.withColumnRenamed("fp", "node"), "node"), "component")
-    least = comp.groupBy("root").agg(F.min("doc").alias("least"))
-    named = comp.join(least, "root").select(F.col("node").alias("fp"), "least")
-    label = reps.join(named, "fp", "left").select("fp", F.coalesce("least", "doc").alias("component_id"))
+    reps, comp = _linked(prints, radius)
+    named = comp.join(reps, "fp")
+    least = named.groupBy("root").agg(F.min("doc").alias("least"))
+    label = reps.join(named.join(least, "root").select("fp", "least"), "fp", "left").select("fp", F.coalesce("least", "doc").alias("component_id"))
     return prints.join(label, "fp").select("doc_id", "fp", "component_id")
 
 
 def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """The documents with one left of each component: the row of smallest id.
+    """The documents with one row left of each component: that of smallest id.
 
-    Rows repeated under that id are copies too: one of them stays. Rows without an id can't be told
-    apart, so they all stay.
+    Null ids come last; rows of one id in one component go by fingerprint, then by their place in the table. Rows that
+    share an id but lie in different components are judged each in its own.
     """
-    groups = near_duplicates(docs, radius)
-    marks = groups.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("component_id")).alias("keep"), F.count("*").alias("n"))
-    marks = stage(marks.where("doc_id is not null and (n > 1 or not keep)"), "marks")
-    once = docs.join(marks.where("not keep").select("doc_id"), "doc_id", "left_anti").select(docs.columns)
-    again = marks.where("keep and n > 1").select("doc_id")
-    if again.isEmpty():
-        return once
-    return once.join(again, "doc_id", "left_anti").select(docs.columns).unionByName(once.join(again, "doc_id", "left_semi").select(docs.columns).dropDuplicates(["doc_id"]))
+    row = free_name(docs, "row")
+    rows = keyed(docs, row)
+    prints = stage(fingerprint(rows.select("text", F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col(row).alias("row")).alias("doc_id"))), "fingerprints")
+    _, comp = _linked(prints.select("fp", F.col("doc_id.id").alias("doc_id")), radius)
+    placed = prints.join(comp, "fp", "left").select(F.coalesce("root", "fp").alias("root"), F.struct("doc_id.none", "doc_id.id", "fp", "doc_id.row").alias("at"))
+    placed = stage(placed, "placed")
+    first = placed.groupBy("root").agg(F.min("at").alias("first"))
+    gone = placed.join(first, "root").where(F.col("at.row") != F.col("first.row")).select(F.col("at.row").alias(row))
+    return rows.join(stage(gone, "copies"), row, "left_anti").select(columns_of(docs))
