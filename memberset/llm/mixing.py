@@ -4,17 +4,19 @@ A document of source s should be copied target(s) / size(s) times. The whole par
 fractional parts are rounded dependently: two documents at a time trade words until the copy count
 of one of them is whole, the direction drawn so that every expectation stays as it is and the words
 of the pair stay the same. Documents are dealt by a hash of their id into leaves of about
-``LEAF_ROWS`` rows; a leaf leaves one residual document at most, the residuals of ``FAN_IN`` leaves
+``LEAF_ROWS`` rows; a leaf that null or repeated ids make ``HOT`` times as large is dealt again by row. A leaf leaves
+one residual document at most, the residuals of ``FAN_IN`` leaves
 meet in the next level, and so on to one per source. No level gathers more than its fan-in. The
 root's residual is rounded too (``root="round"``: whole documents, off the target by less than that
 document), or it gives the words that are left to the source, a part of one copy
 (``root="split"``: within a word of the target).
 
-Draws come from a keyed hash of the two documents, so reruns agree, whatever the partitions.
+Draws come from a keyed hash of the two documents, so reruns agree, whatever the partitions (rows that share an id are
+told apart by their place in the table).
 
 Defined results: null text has size 0; a null source is a source of its own, last in order; empty
-documents take nothing; repeated rows and ids are mixed each on its own (ties in the order of
-hash, id and size are between equal rows); an empty table gives no rows; extra columns are ignored.
+documents take nothing; repeated rows and ids, null ids too, are mixed each row on its own; an empty table gives no
+rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,17 +24,18 @@ from __future__ import annotations
 from fractions import Fraction
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import BooleanType, StructField, StructType
 
-from .common import stage
+from .common import columns_of, free_name, keyed, stage
 
 WEIGHTS = (5, 2, 1)
 MAX_COPIES = 3
 LEAF_ROWS = 1024
 FAN_IN = 1024
+HOT = 8
 SOURCES_AT_ONCE = 100_000
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -98,36 +101,44 @@ def pivot(keys: list[int], sizes: list[int], shares: list[float], salt: int, eps
 
 
 def _level(df: DataFrame, salt: int) -> DataFrame:
-    def run(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values(["h", "doc_id", "size"], kind="stable")
-        shares, open_ = pivot(group["h"].tolist(), group["size"].tolist(), group["share"].tolist(), salt)
-        still = np.zeros(len(group), bool)
+    """One level of the tree over (row, h, size, share, place, leaf, sub): the new shares, and what stays fractional."""
+
+    def run(group: pa.Table) -> pa.Table:
+        group = group.sort_by([("h", "ascending"), ("size", "ascending"), ("row", "ascending")])
+        shares, open_ = pivot(group["h"].to_pylist(), group["size"].to_pylist(), group["share"].to_pylist(), salt)
+        still = np.zeros(group.num_rows, bool)
         if open_ >= 0:
             still[open_] = True
-        return group.assign(share=shares, fractional=still)
+        return group.set_column(group.column_names.index("share"), "share", pa.array(shares, pa.float64())).append_column("fractional", pa.array(still))
 
     schema = StructType([*df.schema.fields, StructField("fractional", BooleanType())])
-    return stage(df.groupBy("place", "leaf").applyInPandas(run, schema), "pivot")
+    return stage(df.groupBy("place", "leaf", "sub").applyInArrow(run, schema), "pivot")
 
 
-def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: int = MAX_COPIES, seed: int = 17, root: str = "split") -> DataFrame:
-    """doc_id, source, size, source_size, target, copies (whole ones), taken (words), one row per document row."""
-    sized = stage(docs.select("doc_id", "source", F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size")), "sizes")
+def _drawn(sized: DataFrame, weights: tuple[int, ...], cap: int, seed: int, root: str) -> DataFrame:
+    """(row, doc_id, source, size), staged -> the same with source_size, target, copies (whole ones) and taken (words)."""
     targets = source_targets(sized, weights, cap)
     n_sources = targets.count()
     side = F.broadcast(targets) if n_sources <= SOURCES_AT_ONCE else targets
     wanted = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     rows = sized.join(side, sized["source"].eqNullSafe(targets["source"]), "inner").drop(targets["source"])
     rows = rows.withColumn("base", F.floor(wanted + 1e-12)).withColumn("share", F.greatest(F.lit(0.0), wanted - F.col("base")))
-    h = F.xxhash64(F.col("doc_id"), F.lit(seed))
     leaves = F.greatest(F.lit(1), F.ceil(F.col("source_rows") / LEAF_ROWS))
-    rows = rows.withColumn("h", h).withColumn("leaf", F.pmod(F.xxhash64("h"), leaves))
+    rows = rows.withColumn("h", F.xxhash64(F.col("doc_id"), F.lit(seed))).withColumn("leaf", F.pmod(F.xxhash64("h"), leaves))
+    hot = rows.groupBy("place", "leaf").count().where(F.col("count") > HOT * LEAF_ROWS)
+    hot = stage(hot.select("place", "leaf", F.ceil(F.col("count") / LEAF_ROWS).alias("parts")), "hot")
+    rows = rows.join(hot, ["place", "leaf"], "left").withColumn("sub", F.coalesce(F.pmod(F.xxhash64("row"), F.col("parts")), F.lit(0).cast("long"))).drop("parts")
+    deep = int(hot.agg(F.max("parts")).first()[0] or 1)
     top = -(-int(targets.agg(F.max("source_rows")).first()[0] or 0) // LEAF_ROWS)
     done, level = [], _level(rows, seed)
-    while top > 1:
+    while deep > 1 or top > 1:  # first the parts of hot leaves, then the leaves
         done.append(level.where("not fractional"))
-        top = -(-top // FAN_IN)
-        level = _level(level.where("fractional").drop("fractional").withColumn("leaf", F.floor(F.col("leaf") / FAN_IN)), seed + len(done))
+        rest = level.where("fractional").drop("fractional")
+        if deep > 1:
+            deep, rest = -(-deep // FAN_IN), rest.withColumn("sub", F.floor(F.col("sub") / FAN_IN))
+        else:
+            top, rest = -(-top // FAN_IN), rest.withColumn("leaf", F.floor(F.col("leaf") / FAN_IN))
+        level = _level(rest, seed + len(done))
     done.append(level)
     out = done[0]
     for x in done[1:]:
@@ -141,26 +152,24 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: int = MAX_COPI
         part = F.lit(0).cast("long")
     copies = (F.col("base") + F.floor("share")).cast("long")
     taken = copies * F.col("size") + F.when(F.col("fractional") & (F.col("share") < 1), part).otherwise(0)
-    return out.select("doc_id", "source", "size", "source_size", "target", copies.alias("copies"), taken.alias("taken"))
+    return out.select("row", "doc_id", "source", "size", "source_size", "target", copies.alias("copies"), taken.alias("taken"))
 
 
-def apply_mix(docs: DataFrame, **options) -> DataFrame:
-    """The mixed corpus itself: each document as often as it was drawn (whole documents only)."""
-    copies = mix(docs, root="round", **options).select("doc_id", "source", "copies")
-    # Rows repeated under one id get their copies one by one, matched by rank among the repeats.
-    repeated = copies.groupBy("doc_id").count().where("count > 1 or doc_id is null").limit(1)
-    if repeated.isEmpty():
-        out = docs.join(copies.select("doc_id", "copies").hint("merge"), "doc_id")  # both sides grow alike
-    else:
-        total = copies.groupBy("doc_id", "source").agg(F.sum("copies").alias("total"), F.count("*").alias("rows"), F.max("copies").alias("most"))
-        numbered = docs.withColumn("nth", F.row_number().over(_by("doc_id", "source")) - 1)
-        same = numbered["doc_id"].eqNullSafe(total["doc_id"]) & numbered["source"].eqNullSafe(total["source"])
-        share = F.floor(F.col("total") / F.col("rows")) + (F.col("nth") < F.pmod(F.col("total"), F.col("rows"))).cast("long")
-        out = numbered.join(total, same).drop(total["doc_id"], total["source"]).withColumn("copies", share)
-    return out.where("copies > 0").withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int")))).select(docs.columns)
+def _size():
+    return F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def _by(*columns: str):
-    from pyspark.sql import Window
-
-    return Window.partitionBy(*columns).orderBy(F.xxhash64("text"))
+def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: int = MAX_COPIES, seed: int = 17, root: str = "split") -> DataFrame:
+    """doc_id, source, size, source_size, target, copies (whole ones), taken (words), one row per document row."""
+    sized = stage(docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "source", _size().alias("size")), "sizes")
+    return _drawn(sized, weights, cap, seed, root).drop("row")
+
+
+def apply_mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: int = MAX_COPIES, seed: int = 17) -> DataFrame:
+    """The mixed corpus itself: each row as often as it was drawn (whole documents only)."""
+    row, copies = free_name(docs, "row"), free_name(docs, "copies")
+    rows = keyed(docs, row)
+    sized = stage(rows.select(F.col(row).alias("row"), "doc_id", "source", _size().alias("size")), "sizes")
+    drawn = _drawn(sized, weights, cap, seed, "round").where("copies > 0").select(F.col("row").alias(row), F.col("copies").cast("int").alias(copies))
+    out = rows.join(drawn.hint("merge"), row)  # both sides grow alike
+    return out.withColumn(free_name(out, "copy"), F.explode(F.sequence(F.lit(1), F.col(copies)))).select(columns_of(docs))
