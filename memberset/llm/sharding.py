@@ -4,13 +4,14 @@ Records hash (md5 of the id) into ``SLOTS`` slots that never change. Bytes and r
 from slot to shard is a small versioned table: version 1 spreads the slots so that shards hold nearly
 equal bytes, and rebalancing (one more shard, or shards that have drifted apart) writes a new
 version that differs in the edited slots only. Placement is a broadcast of that table, bounded by SLOTS.
+A slot that null or repeated ids fill beyond an eighth of a shard is spread over all slots again, by id and row.
 
 Places within a shard are numbered from 0 without a sort of the shard: the rows of a slot are ranked
 among themselves, after all rows of the shard's slots before it.
 
-Defined results: null text has no bytes and counts as its fixed overhead; null ids share one slot;
-repeated rows lie together, equal rows in either order; a slot that is heavier than a whole share
-stays whole (slots are the unit); an empty table gives no rows; extra columns are ignored.
+Defined results: null text has no bytes and counts as its fixed overhead; null ids share one slot, as do rows of one id,
+as long as they are few; equal rows lie in either order; one row that is heavier than a whole share
+stays whole; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,6 +26,8 @@ from .common import fresh_path, stage
 SLOTS = 4096
 SHARDS = 40
 OVERHEAD = 16
+#: Rows from which a slot may be spread, and the part of a shard's bytes that it must exceed.
+HOT_ROWS, HOT_SHARE = 64, 8
 
 
 def slot_of(column: str, slots: int = SLOTS):
@@ -99,9 +102,14 @@ def shard(docs: DataFrame, shards: int = SHARDS, slots: int = SLOTS) -> DataFram
     spark = docs.sparkSession
     raw = F.col("text").cast("binary")
     size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("long") + OVERHEAD
-    rows = docs.select("doc_id", size.alias("size"), F.coalesce(F.crc32(raw), F.lit(0)).alias("text_crc32"), slot_of("doc_id", slots).alias("vslot"))
+    rows = docs.select("doc_id", size.alias("size"), F.coalesce(F.crc32(raw), F.lit(0)).alias("text_crc32"), slot_of("doc_id", slots).alias("vslot"), F.monotonically_increasing_id().alias("row"))
     rows = stage(rows, "slots")
     loads, counts = slot_loads(rows)
+    hot = [s for s, n in counts.items() if n > HOT_ROWS and HOT_SHARE * shards * loads[s] > sum(loads.values())]
+    if hot:
+        rows = rows.withColumn("own", F.concat_ws("/", F.col("doc_id").cast("string"), F.col("row").cast("string")))
+        rows = rows.withColumn("vslot", F.when(F.col("vslot").isin(hot), slot_of("own", slots)).otherwise(F.col("vslot"))).drop("own")
+        loads, counts = slot_loads(rows)
     table = SlotMap(spark)
     table.save(1, spread(loads, shards, slots))
     placed = table.as_dict(1)
@@ -110,6 +118,6 @@ def shard(docs: DataFrame, shards: int = SHARDS, slots: int = SLOTS) -> DataFram
         offset.append((slot, placed[slot], before[placed[slot]]))
         before[placed[slot]] += counts.get(slot, 0)
     side = F.broadcast(spark.createDataFrame(offset, "vslot int, shard int, first long"))
-    rank = F.row_number().over(Window.partitionBy("vslot").orderBy("doc_id", "text_crc32", "size"))
+    rank = F.row_number().over(Window.partitionBy("vslot").orderBy("doc_id", "text_crc32", "size", "row"))
     numbered = rows.withColumn("rank", rank).join(side, "vslot")
     return numbered.select("doc_id", "size", "text_crc32", "vslot", "shard", (F.col("first") + F.col("rank") - 1).alias("slot"), F.lit(1).alias("map_version"))
