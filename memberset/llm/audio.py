@@ -4,8 +4,10 @@ A payload is stored as an 8-bit mono WAV file; all features come from the file's
 Samples are resampled from ``RATE_IN`` to ``RATE_OUT`` by a polyphase filter, cut into overlapping windows centred on hops that tile the recording,
 and turned into log-mel values (8-bit steps). Segments are stretches of energy that begin above a high and end below a
 low threshold, both relative to the document's median. A document's features are an Arrow stream
-of clips: a fixed-shape tensor of ``CLIP`` frames x ``MELS`` (the last one padded) with its time span.
-Long recordings are worked through in stretches of ``STRETCH`` frames, so memory is bounded by the payload itself.
+of clips: a fixed-shape tensor of ``CLIP`` frames x ``MELS`` (the last one padded) with its time span. The streams are
+stored beside the segments as a Parquet table; what is returned is read back from there.
+Recordings are worked through in stretches of ``STRETCH`` frames: beside the payload a task holds one stretch and a
+fifth of the payload's bytes (16 steps and an energy per 120 samples).
 
 Defined results: null text = empty text (a payload of padding only); equal payloads give equal
 values; repeated rows are recordings of their own; an empty table gives no rows; extra columns are ignored.
@@ -76,20 +78,28 @@ def _phases(up: int = UP, down: int = DOWN, taps: int = TAPS) -> np.ndarray:
     return (bank / bank.sum(1, keepdims=True)).astype(np.float32)
 
 
-def resample(x: np.ndarray, up: int = UP, down: int = DOWN) -> np.ndarray:
-    """Polyphase: every output sample is one phase of the filter at one place of the input; no zeros are stuffed."""
+def _signal(x: np.ndarray, first: int, stop: int) -> np.ndarray:
+    """Places first..stop of a recording as floats, its ends going on; 8-bit samples become -1..1."""
+    part = x[np.clip(np.arange(first, stop), 0, len(x) - 1)].astype(np.float32)
+    return (part - 128) / 128 if x.dtype == np.uint8 else part
+
+
+def resample(x: np.ndarray, up: int = UP, down: int = DOWN, first: int = 0, stop: int | None = None) -> np.ndarray:
+    """Samples first..stop of the recording at the other rate.
+
+    Polyphase: every output sample is one phase of the filter at one place of the input; no zeros are stuffed.
+    """
     bank = _phases(up, down)
     taps = bank.shape[1]
-    n = -(-len(x) * up // down)
-    lead = taps // 2
-    padded = np.concatenate([np.full(lead, x[0], np.float32), x, np.full(taps + down, x[-1], np.float32)])
-    cycles = -(-n // up)
+    stop = -(-len(x) * up // down) if stop is None else stop
+    cycle0, cycles = first // up, -(-stop // up) - first // up
+    near = _signal(x, cycle0 * down - taps // 2, (cycle0 + cycles) * down + taps - taps // 2)
     out = np.empty((cycles, up), np.float32)
-    windows = np.lib.stride_tricks.sliding_window_view(padded, taps)
+    windows = np.lib.stride_tricks.sliding_window_view(near, taps)
     for phase in range(up):
         ahead, p = divmod(phase * down, up)
         out[:, phase] = windows[ahead : ahead + cycles * down : down][:cycles] @ bank[p]
-    return out.reshape(-1)[:n]
+    return out.reshape(-1)[first - cycle0 * up : stop - cycle0 * up]
 
 
 @lru_cache
@@ -103,17 +113,23 @@ def _mel_bank(rate: int = RATE_OUT, fft: int = FFT, mels: int = MELS) -> np.ndar
 
 
 def log_mel(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(frames x MELS in steps of a quarter, int8; energy of each frame in dB); a frame for every hop begun, its window centred on the hop."""
-    frames = max(1, -(-len(x) // HOP))
-    x = np.pad(x, ((WINDOW - HOP) // 2, max(0, (frames - 1) * HOP + (WINDOW + HOP) // 2 - len(x))))
+    """(frames x MELS in steps of a quarter, int8; energy of each frame in dB) of samples at ``RATE_IN``.
+
+    There is a frame for every hop begun, its window centred on the hop; beyond the ends there is silence.
+    """
     taper, bank, mel, energy = np.hanning(WINDOW).astype(np.float32), _mel_bank(), [], []
+    n, lead = -(-len(x) * UP // DOWN), (WINDOW - HOP) // 2
+    frames = max(1, -(-n // HOP))
     for lo in range(0, frames, STRETCH):
         hi = min(frames, lo + STRETCH)
-        view = np.lib.stride_tricks.sliding_window_view(x[lo * HOP : (hi - 1) * HOP + WINDOW], WINDOW)[::HOP]
+        a, b = lo * HOP - lead, (hi - 1) * HOP + WINDOW - lead
+        heard = np.zeros(b - a, np.float32)
+        heard[max(a, 0) - a : min(b, n) - a] = resample(x, first=max(a, 0), stop=min(b, n))
+        view = np.lib.stride_tricks.sliding_window_view(heard, WINDOW)[::HOP]
         spectrum = np.fft.rfft(view * taper, FFT)
         power = spectrum.real**2 + spectrum.imag**2
         mel.append(np.rint(4 * np.log(power @ bank + np.float32(1e-4))).astype(np.int8))
-        energy.append(10 * np.log10(power.sum(1) + 1e-9))
+        energy.append((10 * np.log10(power.sum(1) + 1e-9)).astype(np.float32))
     return np.concatenate(mel), np.concatenate(energy)
 
 
@@ -155,40 +171,70 @@ def tensors(mel: np.ndarray, end: int | None = None) -> bytes:
 
 def features(payload: bytes) -> tuple[np.ndarray, list[tuple[int, int]]]:
     """Log-mel frames and segments (in ms, to the recording's end at most) of 8-bit samples."""
-    x = np.frombuffer(payload, np.uint8).astype(np.float32)
-    mel, energy = log_mel(resample((x - 128) / 128))
+    mel, energy = log_mel(np.frombuffer(payload, np.uint8))
     end = length_ms(payload)
     return mel, [(_ms(a), min(_ms(b), end)) for a, b in segments(energy)]
 
 
-def extract(media: DataFrame, with_tensors: bool = True) -> DataFrame:
-    """doc_id, n_bytes, media -> digests of what was read back, segments, a feature digest and the tensors."""
+_SPANS = pa.list_(pa.struct([("start_ms", pa.int64()), ("stop_ms", pa.int64())]))
+_STORED = {"payload_bytes": pa.int64(), "payload_sha256": pa.string(), "tail_crc32": pa.int64(), "media_bytes": pa.int64(), "media_sha256": pa.string(), "segments": _SPANS, "tensors": pa.binary()}
+ROWS_BYTES = 32 << 20
+
+
+def extract(media: DataFrame) -> DataFrame:
+    """doc_id, n_bytes, media -> digests of the samples read back, segments, and the clips as an Arrow stream."""
     id_type = media.schema["doc_id"].dataType.simpleString()
-    span = pa.list_(pa.struct([("start_ms", pa.int64()), ("stop_ms", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out: dict[str, list] = {k: [] for k in ("payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "segments", "tensors")}
-            for value in batch.column(2):
+            rows, lo, size = [], 0, 0
+            for i, value in enumerate(batch.column(2)):
                 wav = value.as_py()
                 _, payload = samples_of(wav)
                 mel, found = features(payload)
                 blob = tensors(mel, length_ms(payload))
-                said = ",".join(f"{a}-{b}" for a, b in found)
-                row = (len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(wav), hashlib.sha256(wav).hexdigest())
-                row += (f"{len(mel)}x{MELS}:{len(found)}:{hashlib.sha256(blob + said.encode()).hexdigest()[:32]}", [{"start_ms": a, "stop_ms": b} for a, b in found], blob)
-                for k, v in zip(out, row):
-                    out[k].append(v)
-            types = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), span, pa.binary()]
-            arrays = [batch.column(0), batch.column(1), *(pa.array(v, t) for v, t in zip(out.values(), types))]
-            names = ["doc_id", "n_bytes", *out]
-            keep = len(names) if with_tensors else len(names) - 1
-            yield pa.RecordBatch.from_arrays(arrays[:keep], names[:keep])
-
-    schema = f"doc_id {id_type}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, segments array<struct<start_ms:long,stop_ms:long>>"
-    return media.mapInArrow(run, schema + (", tensors binary" if with_tensors else ""))
-
-
-def store_and_extract(docs: DataFrame, with_tensors: bool = True) -> DataFrame:
-    """Store every document as a WAV file (a Parquet table of them), read it back, compute its features."""
-    return extract(stage(payloads(docs), "media"), with_tensors)
+                spans = [{"start_ms": a, "stop_ms": b} for a, b in found]
+                rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-16:]), len(wav), hashlib.sha256(wav).hexdigest(), spans, blob))
+                size += len(blob)
+                if size >= ROWS_BYTES or i == batch.num_rows - 1:
+                    n = len(rows)
+                    arrays = [pa.array([r[j] for r in rows], t) for j, t in enumerate(_STORED.values())]
+                    yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, n), batch.column(1).slice(lo, n), *arrays], ["doc_id", "n_bytes", *_STORED])
+                    rows, lo, size = [], i + 1, 0
+
+    return media.mapInArrow(run, f"doc_id {id_type}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, segments array<struct<start_ms:long,stop_ms:long>>, tensors binary")
+
+
+def clips_of(stream: bytes) -> pa.Table:
+    """start_ms, stop_ms, tensor of a stored stream."""
+    table = pa.ipc.open_stream(stream).read_all()
+    if table.schema.field("tensor").type != TENSOR:
+        raise ValueError("not a stream of clips")
+    return table
+
+
+def _feature(stream: bytes, spans: list[dict]) -> str:
+    """Frames (by the last clip's end), segments, and a digest of all values and times."""
+    table, digest = clips_of(stream), hashlib.sha256()
+    for name in ("start_ms", "stop_ms"):
+        digest.update(table[name].combine_chunks().to_numpy().astype("<i8").tobytes())
+    for part in table["tensor"].chunks:
+        digest.update(part.storage.flatten().to_numpy().tobytes())
+    digest.update(",".join(f"{s['start_ms']}-{s['stop_ms']}" for s in spans).encode())
+    frames = -(-table["stop_ms"][-1].as_py() // _ms(1))
+    return f"{frames}x{MELS}:{len(spans)}:{digest.hexdigest()[:32]}"
+
+
+def read_features(stored: DataFrame) -> DataFrame:
+    """The stored table with ``feature``, computed from its tensors and spans."""
+
+    @F.arrow_udf("string")
+    def feature(streams: pa.Array, spans: pa.Array) -> pa.Array:
+        return pa.array([_feature(a.as_py(), b.as_py()) for a, b in zip(streams, spans)], pa.string())
+
+    return stored.withColumn("feature", feature("tensors", "segments"))
+
+
+def store_and_extract(docs: DataFrame) -> DataFrame:
+    """Store every document as a WAV file (a Parquet table of them), read it back, store its features, read those back."""
+    return read_features(stage(extract(stage(payloads(docs), "media")), "features"))
