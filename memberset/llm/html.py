@@ -12,7 +12,8 @@ among the slots that the page uses: under its article, else its main element, el
 of its varying text. Names (elements, words of class, id and role) break ties only: under an article or main element a named block
 goes only if its slot is constant or linked on the host, or a form; elsewhere whole words count by themselves, parts of words with such evidence.
 
-Only distinct page shapes and sums per slot are shuffled, never pages; shapes of one host are merged in groups first, then per host.
+Only distinct page shapes and sums per slot are shuffled, never pages; shapes of one host are merged in groups of
+``SHAPES_AT_ONCE``, the groups' wrappers again, and so on to one per host.
 
 Defined results: null html = empty; a page without a usable url has no host and so is its own wrapper, as is a page that its host's
 wrapper does not match; a page without any content gives ""; truncated markup and unknown references stay as they read;
@@ -37,7 +38,9 @@ from .common import stage
 
 # Element names by what they do to text.
 INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em font i img input ins kbd label link mark meta q s samp small source span strike strong sub sup time track tt u var wbr".split())
-RAW = frozenset("script style noscript template iframe object svg math canvas head title select textarea button audio video".split())
+RAW = frozenset("script style noscript template iframe object svg math canvas title select textarea button audio video".split())
+RAW_TEXT = frozenset("script style iframe title textarea".split())  # without an end tag they take the rest of the page; the others only their tag
+IN_HEAD = frozenset("meta link title style script base noscript template".split())
 LEAF = frozenset("p h1 h2 h3 h4 h5 h6 li dt dd td th caption figcaption pre blockquote address summary legend option hr tr thead tbody tfoot".split())
 NOISE_TAGS = frozenset("nav header footer aside form menu dialog fieldset".split())
 NOISE_WORDS = frozenset(
@@ -112,6 +115,9 @@ def linked_blocks(page: str) -> list[tuple[tuple[str, ...], str, int]]:
                 texts.append(m[0][9:].removesuffix("]]>"))
             continue
         tag, closing = m[2].lower(), bool(m[1])
+        if stack and not closing and tag not in IN_HEAD and stack[-1].split(" ", 1)[0] == "head":
+            flush()
+            stack.pop()  # the end tag of a head may be left out
         if tag in INLINE:
             if tag == "br":
                 texts.append(" ")
@@ -121,7 +127,7 @@ def linked_blocks(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         if tag in RAW:
             if not closing and not m[3].endswith("/"):
                 end = re.compile(f"</{tag}\\s*>", re.I).search(page, at)
-                at = end.end() if end else n
+                at = end.end() if end else n if tag in RAW_TEXT else at
                 flush()
             continue
         flush()
@@ -131,7 +137,7 @@ def linked_blocks(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         leaf = ""
         if not closing:
             if not m[3].endswith("/"):
-                stack.append(_name(tag, m[3], not roots and tag not in ("html", "body", *ROOTS)))
+                stack.append(_name(tag, m[3], not roots and tag not in ("html", "head", "body", *ROOTS)))
                 roots += _is_root(stack[-1])
         else:
             for i in range(len(stack) - 1, -1, -1):
@@ -439,7 +445,7 @@ def _hinted(name: str) -> bool:
 def content_slots(slots: dict[int, tuple[tuple[str, ...], list[int]]]) -> set[int]:
     """Slots that one page uses, with their path and sums over the host's pages -> those of its main text."""
     proved = {s: (n > 1 and low == high) or 2 * linked >= chars for s, (_, (n, chars, linked, low, high)) in slots.items()}
-    plain = ("html", "body")
+    plain = ("html", "head", "body")
 
     def noise(s: int, names: tuple[str, ...], inside: bool) -> bool:
         tags = {x.split(" ", 1)[0] for x in names}
@@ -556,10 +562,15 @@ def wrappers(pages: DataFrame) -> DataFrame:
         for text in sorted(group["shape"]):
             form = json.loads(text)
             out = form if out is None else align(out, form)
-        return pd.DataFrame({"host": [group["host"].iloc[0]], "shape": [json.dumps(out, separators=(",", ":"))]})
+        return pd.DataFrame({"host": [group["host"].iloc[0]], "part": [group["part"].iloc[0]], "shape": [json.dumps(out, separators=(",", ":"))]})
 
-    merged = forms.select("host", "part", "shape").groupBy("host", "part").applyInPandas(lambda g: merge(g), "host string, shape string")
-    whole = stage(merged.groupBy("host").applyInPandas(lambda g: merge(g), "host string, shape string").withColumnRenamed("shape", "wrapper"), "forms")
+    top, forms = int(parts.agg(F.max("parts")).first()[0] or 1), forms.select("host", "part", "shape")
+    while True:
+        forms = stage(forms.groupBy("host", "part").applyInPandas(lambda g: merge(g), "host string, part long, shape string"), "forms")
+        if top == 1:
+            break
+        top, forms = -(-top // SHAPES_AT_ONCE), forms.withColumn("part", F.floor(F.col("part") / SHAPES_AT_ONCE))
+    whole = forms.select("host", F.col("shape").alias("wrapper"))
     sums = slot_sums(pages, whole, whole.count() <= HOSTS_AT_ONCE)
     numbers = F.array(F.col("slot").cast("long"), "pages", "chars", "linked", "low", "high")
     return stage(whole.join(sums.groupBy("host").agg(F.collect_list(numbers).alias("slots")), "host", "left"), "wrappers")
