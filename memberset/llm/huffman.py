@@ -363,22 +363,33 @@ def write_files(docs: DataFrame, path: str, vocab_size: int, end_id: int = 0, fo
 
     id_type = tokens.schema["doc_id"].dataType.simpleString()
     coded = tokens.where("n is not null").select("doc_id", "n", "ids").mapInArrow(encode, f"doc_id {id_type}, n long, code binary, marks binary")
-    bounds = _bounds(tokens.where("n is not null").select("doc_id"), int(spark.conf.get("spark.sql.shuffle.partitions")))
-    place = F.lit(0)
-    for b in bounds:
-        place = place + F.when(F.col("doc_id") > F.lit(b), 1).otherwise(0)
-    ranged = coded.repartitionById(len(bounds) + 1, place) if bounds else coded.repartition(1)
-    ranged.sortWithinPartitions("doc_id", "n", "code").mapInArrow(pack, _BLOCKS.format(id=id_type)).write.option("compression", "none").parquet(f"{folder}/blocks")
+    coded = coded.withColumn("row", F.monotonically_increasing_id())
+    nulls, bounds = _bounds(tokens.where("n is not null").select("doc_id"), int(spark.conf.get("spark.sql.shuffle.partitions")))
+    ranged = coded.repartitionById(nulls + len(bounds) + 1, _place(nulls, bounds))
+    ranged.sortWithinPartitions("doc_id", "n", "row").drop("row").mapInArrow(pack, _BLOCKS.format(id=id_type)).write.option("compression", "none").parquet(f"{folder}/blocks")
     return folder
 
 
-def _bounds(ids: DataFrame, parts: int) -> list:
-    """Upper bounds of about equal shares of the ids (approximate quantiles, one small row)."""
-    if parts < 2:
-        return []
-    marks = [i / parts for i in range(1, parts)]
-    row = ids.agg(F.percentile_approx("doc_id", marks, 50 * parts).alias("q")).first()
-    return sorted(set(row["q"] or []))
+def _bounds(ids: DataFrame, parts: int) -> tuple[int, list]:
+    """Of about ``parts`` equal shares: how many are for null ids, and upper bounds of the others (approximate
+    quantiles, one small row). An id that fills several shares is a bound several times."""
+    n, some = ids.agg(F.count("*"), F.count("doc_id")).first()
+    nulls = -(-parts * (n - some) // n) if n else 0
+    rest = parts - nulls
+    if rest < 2 or not some:
+        return nulls, []
+    row = ids.agg(F.percentile_approx("doc_id", [i / rest for i in range(1, rest)], 50 * parts).alias("q")).first()
+    return nulls, list(row["q"])
+
+
+def _place(nulls: int, bounds: list):
+    """Part of a row, rising with its id, null ids first. A row whose id is a bound goes to any part on either side of it, by its number."""
+    salt = F.xxhash64("row")
+    below, upto = F.lit(0), F.lit(0)
+    for b in bounds:
+        below = below + (F.col("doc_id") > F.lit(b)).cast("int")
+        upto = upto + (F.col("doc_id") >= F.lit(b)).cast("int")
+    return F.coalesce(F.lit(nulls) + below + F.pmod(salt, upto - below + 1), F.pmod(salt, F.lit(max(1, nulls)))).cast("int")
 
 
 def read_files(spark: SparkSession, folder: str, with_ids: bool = False) -> DataFrame:
