@@ -16,7 +16,6 @@ are scanned whole; an empty table gives no rows; extra columns are ignored.
 
 from __future__ import annotations
 
-import hashlib
 from bisect import bisect_left
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -297,29 +296,30 @@ class Scanner:
             state[256] = rules
         return states[0]
 
-    def ends(self, data: bytes, start: list) -> list[tuple[int, int]]:
-        """The one pass: (end, rules) for every byte at which matches end."""
-        found = []
-        state = start
+    def ends(self, data: bytes, start: list) -> dict[int, list[int]]:
+        """The one pass: per rule the last byte of every run of bytes at which its matches end."""
+        runs: dict[int, list[int]] = {}
+        state, before = start, 0  # rules that end at the byte before
         for at, byte in enumerate(data, 1):
             state = state[byte]
-            if state[256]:
-                found.append((at, state[256]))
-        return found
+            now = state[256]
+            if now != before:
+                over, rule = before & ~now, 0
+                while over >> rule:
+                    if over >> rule & 1:
+                        runs.setdefault(rule, []).append(at - 1)
+                    rule += 1
+                before = now
+        rule = 0
+        while before >> rule:
+            if before >> rule & 1:
+                runs.setdefault(rule, []).append(len(data))
+            rule += 1
+        return runs
 
     def spans(self, data: bytes, start: list) -> list[tuple[str, int, int]]:
         """(kind, start, end) in bytes, by start and then the order of the rules."""
-        runs: dict[int, list[int]] = {}
-        for at, rules in self.ends(data, start):
-            rule = 0
-            while rules >> rule:
-                if rules >> rule & 1:
-                    ends = runs.setdefault(rule, [])
-                    if ends and ends[-1] == at - 1:
-                        ends[-1] = at
-                    else:
-                        ends.append(at)
-                rule += 1
+        runs = self.ends(data, start)
         out = []
         for rule, ends in runs.items():
             free = 0  # bytes before this belong to earlier matches
@@ -386,7 +386,3 @@ def redact(text: str, spans: list[tuple[str, int, int]]) -> str:
             out += [text[at:a], f"[{kind}]"]
             at = b
     return "".join([*out, text[at:]])
-
-
-def digest(base: str) -> str:
-    return hashlib.sha256(base.encode()).hexdigest()
