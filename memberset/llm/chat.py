@@ -44,9 +44,26 @@ def fold_events(events: DataFrame) -> DataFrame:
 
 
 def as_events(conversations: DataFrame) -> DataFrame:
-    """Final messages (conv_id, turn, role, text) as the log that streams them: one delta each."""
+    """Final messages (conv_id, turn, role, text) as a log that ends in them.
+
+    By a hash of its place a message is streamed in two deltas; or a draft is edited and goes on; or it is begun,
+    regenerated and streamed anew. Folding the log gives the messages back.
+    """
     same = Window.partitionBy("conv_id", "turn").orderBy("role", "text")
-    return conversations.select("conv_id", "turn", F.row_number().over(same).alias("row"), F.lit(0).cast("long").alias("seq"), F.lit("delta").alias("kind"), "role", "text")
+    text = F.coalesce("text", F.lit(""))
+    half = F.floor(F.char_length(text) / 2).cast("int")
+    left, right = F.substring(text, F.lit(1), half), F.substring(text, half + 1, F.char_length(text))
+
+    def log(*steps):
+        return F.array(*[F.struct(F.lit(i).cast("long").alias("seq"), F.lit(kind).alias("kind"), piece.cast("string").alias("text")) for i, (kind, piece) in enumerate(steps)])
+
+    way = F.pmod(F.xxhash64("conv_id", "turn"), F.lit(3))
+    streamed = log(("delta", left), ("delta", right))
+    edited = log(("delta", right), ("edit", left), ("delta", right))
+    anew = log(("delta", left), ("regenerate", F.lit(None)), ("delta", left), ("delta", right))
+    event = F.explode(F.when(way == 0, streamed).when(way == 1, edited).otherwise(anew)).alias("event")
+    rows = conversations.select("conv_id", "turn", F.row_number().over(same).alias("row"), "role", "text")
+    return rows.select("conv_id", "turn", "row", "role", event).select("conv_id", "turn", "row", "event.seq", "event.kind", "role", "event.text")
 
 
 def render(messages: DataFrame) -> DataFrame:
