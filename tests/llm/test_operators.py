@@ -1,6 +1,7 @@
 """Operators against brute force, round trips and held-out accuracy; nulls, empties, ties, clashing names."""
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -15,7 +16,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 import corpus_pipeline
-from memberset.llm import audio, chat, components, decontam, html, huffman, langid, mixing, secrets, sharding, simhash
+from memberset.llm import audio, chat, common, components, decontam, html, huffman, langid, mixing, secrets, sharding, simhash
 from memberset.llm.queries import HOSTILE_ID, ORACLES, QUERIES
 from memberset.llm.xxh64 import hash_ranges
 
@@ -102,7 +103,56 @@ def test_features_reach_both_ends_of_the_recording():
     assert audio.features(np.concatenate([quiet, loud]).tobytes())[1][-1][1] == 70 * 16
 
 
+def test_long_recordings_are_worked_through_in_stretches(monkeypatch):
+    payload = np.random.default_rng(3).integers(32, 127, 192 * 700).astype(np.uint8)
+    whole, energy = audio.log_mel(payload)
+    rate, n = audio.RATE_OUT, -(-len(payload) * 2 // 3)
+    x = np.pad(audio.resample((payload.astype(np.float32) - 128) / 128), ((audio.WINDOW - audio.HOP) // 2, audio.WINDOW))
+    assert len(x) == n + (audio.WINDOW - audio.HOP) // 2 + audio.WINDOW
+    top = 2595 * math.log10(1 + rate / 2 / 700)
+    edge = [700 * (10 ** (top * i / (audio.MELS + 1) / 2595) - 1) for i in range(audio.MELS + 2)]
+    for frame in (0, 7, 400, len(whole) - 1):  # a plain transform of one window
+        part = x[frame * audio.HOP :][: audio.WINDOW] * (0.5 - 0.5 * np.cos(2 * np.pi * np.arange(audio.WINDOW) / (audio.WINDOW - 1)))
+        power = [abs(sum(part * np.exp(-2j * np.pi * k * np.arange(audio.WINDOW) / audio.FFT))) ** 2 for k in range(audio.FFT // 2 + 1)]
+        for m in range(audio.MELS):
+            a, b, c = edge[m : m + 3]
+            value = sum(p * max(0, min((k * rate / audio.FFT - a) / (b - a), (c - k * rate / audio.FFT) / (c - b))) for k, p in enumerate(power))
+            assert abs(4 * math.log(value + 1e-4) - whole[frame, m]) < 0.52
+        assert abs(10 * math.log10(sum(power) + 1e-9) - energy[frame]) < 1e-2
+    monkeypatch.setattr(audio, "STRETCH", 37)
+    again, loud = audio.log_mel(payload)
+    assert np.abs(again.astype(int) - whole).max() <= 1 and (again != whole).mean() < 1e-3 and np.abs(loud - energy).max() < 1e-3
+
+
+def test_stored_tensors_are_what_is_returned(docs):
+    got = audio.store_and_extract(docs).collect()
+    text = {r.doc_id: r.text for r in docs.collect()}
+    for r in got[::20]:
+        raw = text[r.doc_id].encode()
+        mel, found = audio.features(raw + b" " * (-len(raw) % 192 if raw else 192))
+        clips = audio.clips_of(r.tensors)
+        back = np.concatenate([part.storage.flatten().to_numpy() for part in clips["tensor"].chunks]).reshape(-1, audio.MELS)
+        assert (back[: len(mel)] == mel).all() and not back[len(mel) :].any() and r.feature.startswith(f"{len(mel)}x16:{len(found)}:")
+        assert [(s.start_ms, s.stop_ms) for s in r.segments] == found
+        assert r.feature != audio._feature(audio.tensors(mel + np.int8(1), clips["stop_ms"][-1].as_py()), [s.asDict() for s in r.segments])
+
+
 # --- 2 -----------------------------------------------------------------------------------------
+def test_one_id_is_dealt_over_many_parts(spark):
+    rows = [(7, f"text {i % 5}") for i in range(900)] + [(None, f"none {i % 3}") for i in range(600)] + [(i, "x") for i in range(300)]
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    nulls, bounds = huffman._bounds(table, 9)
+    placed = table.withColumn("row", F.monotonically_increasing_id()).select("doc_id", huffman._place(nulls, bounds).alias("p")).collect()
+    low, high, most = {}, {}, Counter(r.p for r in placed)
+    for r in placed:
+        low[r.doc_id], high[r.doc_id] = min(low.get(r.doc_id, 99), r.p), max(high.get(r.doc_id, 0), r.p)
+    order = sorted(low, key=lambda i: (i is not None, i or 0))
+    assert all(high[a] <= low[b] for a, b in zip(order, order[1:])) and most.most_common(1)[0][1] <= 450 and len(most) == 9
+    got = sorted(huffman.read_files(spark, huffman.write_files(table, BPE, 50257)).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in got] == sorted((i for i, _ in rows), key=lambda i: (i is not None, i or 0))
+    assert [r.start for r in got] == [sum(x.n_tokens for x in got[:i]) for i in range(len(got))]
+
+
 def test_code_lengths_are_optimal_and_limited():
     import heapq
 
@@ -192,6 +242,37 @@ def test_mix(docs, odd, empty):
     assert mixing.apply_mix(odd).columns == odd.columns and mixing.apply_mix(empty).count() == 0
 
 
+def test_hot_ids_are_mixed_row_by_row(spark, monkeypatch):
+    """Null and repeated ids: leaves stay small, the corpus has the words that were drawn, every row is its own."""
+    rows = [(None, " ".join("ab"[i % 2] * (1 + i % 7)), ("s", "t", None)[i % 3]) for i in range(700)] + [(5, f"w {i} " + "z " * (i % 11), "s") for i in range(300)] + [(100 + i, "q " * (i % 9), "t") for i in range(200)]
+    table = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    monkeypatch.setattr(mixing, "LEAF_ROWS", 16)
+    monkeypatch.setattr(mixing, "FAN_IN", 4)
+    seen, level = [], mixing._level
+
+    def watched(df, salt):
+        seen.append(df.groupBy("place", "leaf", "sub").count().agg(F.max("count")).first()[0])
+        return level(df, salt)
+
+    monkeypatch.setattr(mixing, "_level", watched)
+    drawn = mixing.mix(table, root="round").collect()
+    assert max(seen) <= 16 * mixing.HOT and len(drawn) == len(rows)
+    taken, sizes, targets = Counter(), Counter(), {}
+    for r in drawn:
+        taken[r.source] += r.taken
+        sizes[r.source] += r.size
+        targets[r.source] = r.target
+        assert r.taken == r.copies * r.size
+    assert all(abs(taken[s] - targets[s]) <= 22 for s in targets)
+    mixed = mixing.apply_mix(table).collect()
+    words = Counter()
+    for r in mixed:
+        words[r.source] += len(r.text.split())
+    assert all(abs(words[s] - targets[s]) <= 22 for s in targets)
+    have = Counter((r[0], r[1], r[2]) for r in rows)
+    assert all(n <= 3 * have[k] for k, n in Counter((r.doc_id, r.text, r.source) for r in mixed).items())
+
+
 # --- 4 -----------------------------------------------------------------------------------------
 ASSIGN = re.compile(rb"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I)
 
@@ -256,6 +337,26 @@ def test_near_duplicates(spark, docs, odd, empty):
     assert kept.count(3) == 1 and 9 not in kept
 
 
+def test_one_row_of_each_component_stays(spark):
+    one, two = "the first text has nine words in it altogether", "quite another story about ships and seas and storms"
+    rows = [(3, one), (7, one), (7, two), (None, one), (None, one), (None, None), (9, two), (None, "all alone here with no id of its own")]
+    for table in (spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame([(9, None)], "row long, _row string").crossJoin(spark.createDataFrame(rows, "doc_id long, text string"))):
+        got = simhash.keep_one(table)
+        assert got.columns == table.columns
+        assert Counter((r.doc_id, r.text) for r in got.collect()) == Counter([(3, one), (7, two), (None, None), (None, "all alone here with no id of its own")])
+
+
+def test_row_keys(spark, tmp_path):
+    table = spark.range(1000).selectExpr("id % 3 AS doc_id", "'x' AS text")
+    table.repartition(7).write.parquet(str(tmp_path / "t"))
+    read = spark.read.parquet(str(tmp_path / "t"))
+    for df in (read, read.select("text", "doc_id"), read.where("doc_id > 0"), read.unionByName(read)):
+        rows = common.keyed(df, "row")
+        first, again = ([(r.row, r.doc_id) for r in rows.select("row", "doc_id").collect()] for _ in range(2))
+        assert len({k for k, _ in first}) == df.count() and sorted(first) == sorted(again)
+        assert rows.select("row").join(rows.select("row", "text"), "row").count() == df.count()
+
+
 @pytest.mark.parametrize("n", [10, 10**7, 10**9, 10**12])
 def test_links_lose_none_at_any_cut(spark, n):
     rng = random.Random(n)
@@ -274,14 +375,62 @@ def test_gradients():
     gru = langid.Gru(4, rng)
     x, goal = rng.integers(0, 256, (6, 5)).astype(np.uint8), rng.normal(size=(6, 5, 4)).astype(np.float32)
     _, trail = gru.run(x, keep=True)
-    _, d_loop = gru.back(x, trail, goal)
-    for i, j in ((0, 0), (1, 5), (3, 11)):
-        held, sides = gru.loop[i, j], []
+    d_byte, d_loop = gru.back(x, trail, goal)
+    seen = [(gru.loop, d_loop, i, j) for i, j in ((0, 0), (1, 5), (3, 11))] + [(gru.byte, d_byte, x[t, 2], j) for t, j in ((0, 0), (2, 5), (5, 11))]
+    for weight, slope, i, j in seen:
+        held, sides = weight[i, j], []
         for e in (0.01, -0.01):
-            gru.loop[i, j] = held + e
+            weight[i, j] = held + e
             sides.append(float((gru.run(x)[0] * goal).sum()))
-        gru.loop[i, j] = held
-        assert abs((sides[0] - sides[1]) / 0.02 - d_loop[i, j]) < 0.01 + 0.02 * abs(d_loop[i, j])
+        weight[i, j] = held
+        assert abs((sides[0] - sides[1]) / 0.02 - slope[i, j]) < 0.01 + 0.02 * abs(slope[i, j])
+
+
+def test_training_lowers_the_loss_of_the_output_layer():
+    """One step from the start must follow the gradient of the mean cross-entropy, found by differences."""
+    rng = np.random.default_rng(4)
+    x, length, lang = rng.integers(97, 123, (40, langid.STRETCH)).astype(np.uint8), np.full(40, langid.STRETCH), np.arange(40) % 2
+    x[lang == 0, ::2] = 32
+
+    def loss(model):
+        p, _ = model._labels(np.ascontiguousarray(x.T))
+        return -np.log(p[:, np.arange(40), lang]).mean()
+
+    model = langid.Model(["a", "b"], 4)
+    before = loss(model)
+    slopes = {}
+    for name, weight in (("out", model.out), ("bias", model.bias), ("byte", model.ways[0].byte)):
+        at = (0, 1) if weight.ndim == 2 else (1,)
+        at = (32, 1) if name == "byte" else at
+        held = weight[at]
+        weight[at] = held + 0.01
+        slopes[name] = loss(model) - before, weight, at, held
+        weight[at] = held
+    model.train(x, length, lang, steps=1, batch=400, rate=0.001)
+    for up, weight, at, held in slopes.values():
+        assert (weight[at] - held) * up <= 0
+    model.train(x, length, lang, steps=60, batch=40)
+    assert loss(model) < 0.5 * before
+
+
+def test_only_letters_tell_a_language(spark):
+    assert not any(map(langid.has_letter, ["", "\u00b2\u00b2\u00b2 123", "\u00bd \u2460 \u2163 _ 7", "!?"])) and all(map(langid.has_letter, ["a", "1\u65e5", "\u00b2\u00e9"]))
+    rows = [(i, "the quick brown fox and the dog", "en", "the") for i in range(12)] + [(20 + i, "der schnelle braune fuchs und der hund", "de", "x") for i in range(12)]
+    rows += [(0, "\u00b2\u00b2\u00b2 123", None, ""), (None, "123", None, ""), (None, "the lazy dog and the fox", None, ""), (20, "...", None, "")]
+    table = spark.createDataFrame(rows, "doc_id long, text string, lang string, score string")
+    said = [(r.doc_id, r.lang_pred, r.score) for r in langid.identify(table).collect()]
+    assert said.count((0, "und", 0.0)) == said.count((None, "und", 0.0)) == said.count((20, "und", 0.0)) == 1
+    kept = Counter((r.doc_id, r.text) for r in langid.accepted(table).collect())
+    assert kept == Counter((i, t) for i, t, _, _ in rows if langid.has_letter(t))  # rows without letters go, their namesakes stay
+
+
+def test_many_languages(spark, monkeypatch):
+    rows = [(j, chr(0x4E00 + 40 * (j % 300)) * 30, f"l{j % 300}") for j in range(1500)]
+    got = langid.identify(spark.createDataFrame(rows, "doc_id long, text string, lang string")).collect()
+    assert len(got) == 1500 and all(0 <= r.score <= 1 and r.lang_pred.startswith("l") for r in got)
+    monkeypatch.setattr(langid, "MAX_LANGS", 5)
+    langs, sample = langid.training_sample(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert len(langs) == 5 and {k for _, k in sample} <= set(langs)
 
 
 def test_language_id(docs, odd, empty):
@@ -331,7 +480,54 @@ def test_decontamination(spark, sf, docs, odd, empty):
     assert decontam.clean(odd, bench).columns == odd.columns
 
 
+def test_benchmark_in_blocks(spark, sf, docs, monkeypatch):
+    bench = spark.read.parquet(f"{sf}/benchmark.parquet")
+    items = bench.unionByName(bench.selectExpr("item_id + 500 AS item_id", "concat(substring(text, 20, 90), ' ', text) AS text"))
+    index = decontam.build_index(docs)
+    want = sorted((r.doc_id, r.n_words, r.n_hit, sorted(r["items"]), r.n_near) for r in decontam.search(index, items, slop=5).collect())
+    monkeypatch.setattr(decontam, "PHRASE_BYTES", 3000)
+    got = sorted((r.doc_id, r.n_words, r.n_hit, sorted(r["items"]), r.n_near) for r in decontam.search(index, items, slop=5).collect())
+    assert [r[:4] for r in got] == [r[:4] for r in want] and any(r[2] for r in want)
+    assert all(a[4] >= b[4] and (a[4] > 0) == (b[4] > 0) for a, b in zip(got, want))  # a phrase of two blocks counts in both
+
+
+def test_many_empty_texts_and_common_terms(spark, monkeypatch):
+    many = spark.range(120_000).selectExpr("id AS doc_id", "IF(id % 40000 = 7, 'a b c d', '') AS text").coalesce(1)
+    bench = spark.createDataFrame([(1, "b c"), (2, "zz"), (3, "a a a a a a a a a a")], "item_id long, text string")
+    index = decontam.build_index(many)
+    assert index.count() >= 120_000 // decontam.SEGMENT_DOCS and index.agg(F.max(F.octet_length("doc_first"))).first()[0] <= 4 * decontam.SEGMENT_DOCS
+    got = decontam.search(index, bench)
+    assert got.count() == 120_000 and {(r.doc_id, r.n_hit) for r in got.where("n_hit > 0").collect()} == {(7, 2), (40007, 2), (80007, 2)}
+    row = dict(zip(decontam._INDEX, decontam._segment([1, 2], [b"a " * 50, b"b c a " * 20])))
+    phrases = decontam.Phrases([(1, b"b c"), (3, b"a a a a a a a a a a"), (4, b"c a b")])
+    want = [sorted(zip(x.tolist(), y.tolist())) for x, y in zip(*[iter(decontam._search(row, phrases, 3))] * 2)]
+    monkeypatch.setattr(decontam, "SEATS_AT_ONCE", 8)
+    assert [sorted(zip(x.tolist(), y.tolist())) for x, y in zip(*[iter(decontam._search(row, phrases, 3))] * 2)] == want and all(want)
+
+
+def test_clean_judges_every_row_by_its_own_text(spark):
+    dirty, good = "one two three four five six seven eight nine ten", "a clean row of words that no item holds at all anywhere"
+    rows = [(1, f"so {dirty} so"), (1, good), (None, dirty), (None, good), (2, None), (2, "")]
+    bench = spark.createDataFrame([(5, dirty), (6, None), (6, "")], "item_id long, text string")
+    for table in (spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(rows, "doc_id long, text string").selectExpr("1 AS row", "2 AS n_hit", "*", "3 AS items")):
+        got = decontam.clean(table, bench)
+        assert got.columns == table.columns and Counter((r.doc_id, r.text) for r in got.collect()) == Counter([(1, good), (None, good), (2, None), (2, "")])
+    assert decontam.clean(table, bench.limit(0)).count() == len(rows)
+
+
 # --- 8 -----------------------------------------------------------------------------------------
+def test_hot_ids_are_spread(spark):
+    rows = [(None, "same text") for _ in range(2000)] + [(4, f"t{i}") for i in range(2000)] + [(100 + i, "y" * (i % 50)) for i in range(2000)]
+    got = sharding.shard(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    size, n = Counter(), Counter()
+    for r in got:
+        size[r.shard] += r.size
+        n[r.vslot] += 1
+    share = sum(size.values()) / 40
+    assert len(got) == 6000 and max(size.values()) - min(size.values()) < 0.06 * share and max(n.values()) < 20
+    assert sorted((r.shard, r.slot) for r in got) == [(s, i) for s, k in sorted(Counter(r.shard for r in got).items()) for i in range(k)]
+
+
 def test_sharding(spark, docs, odd, empty):
     got = sharding.shard(docs).collect()
     text = {r.doc_id: r.text.encode() for r in docs.collect()}
@@ -412,6 +608,69 @@ def test_names_in_an_article_drop_nothing_alone(spark):
     assert main_texts(spark, rows) == {i: "\n\n".join(f"{w} {i}" for w in ("Head", "Related", "Engines", "Free", "Theory")) for i in range(3)}
 
 
+def test_pages_that_leave_out_tags_or_have_odd_names(spark):
+    """No end tag of head, noise words within names around and in the article, and an unclosed button: nothing is lost."""
+    body = "<article><h1>H{0}</h1><p class='notice-period'>Words of {0}</p></article>"
+    pages = {
+        "head": "<html><head><title>t</title><meta charset=x><body><nav>Menu</nav>" + body,
+        "bare": "<html><head><title>t</title><link rel=x><nav>Menu</nav>" + body,
+        "side": "<html><body><nav>Menu</nav><div class='layout has-sidebar'>" + body + "</div></body></html>",
+        "main": "<html><body><nav>Menu</nav><div class='no-header'><main><h1>H{0}</h1><p class='notice-period'>Words of {0}</p></main></div></body></html>",
+        "button": "<html><body><nav>Menu</nav><button class=x>" + body + "</body></html>",
+    }
+    rows = [(10 * k + i, f"http://{name}.example/", page.format(i)) for k, (name, page) in enumerate(pages.items()) for i in range(4)]
+    assert main_texts(spark, rows) == {10 * k + i: f"H{i}\n\nWords of {i}" for k in range(len(pages)) for i in range(4)}
+
+
+def _host_texts(pages: list[str], align) -> list[str]:
+    """The whole method for one host, in one process."""
+    found = [html.linked_blocks(p) for p in pages]
+    whole = None
+    for text in sorted({html.json.dumps(html.shape(html.blocks(p))) for p in pages}):
+        whole = html.json.loads(text) if whole is None else align(whole, html.json.loads(text))
+    wrapper, sums = html.json.dumps(whole), {}
+    for f in found:
+        _, slots, matched = html.placed(f, wrapper)
+        for s, (n, chars, linked, low, high) in html._sums(f, slots).items() if matched else ():
+            old = sums.setdefault(s, [0, 0, 0, low, high])
+            old[:] = old[0] + n, old[1] + chars, old[2] + linked, min(old[3], low), max(old[4], high)
+    return [html.page_text(f, wrapper, sums, {}) for f in found]
+
+
+def test_the_inferred_wrapper_decides_the_text(spark):
+    page = "<html><body><article><h1>T{0}</h1>{1}<div class='share'>Share it</div><p>Words {0}</p></article></body></html>"
+    pages = [page.format(i, "<h2>More</h2>" * (i % 2)) for i in range(6)]
+    want = _host_texts(pages, html.align)
+    assert want == [f"T{i}\n\n" + "More\n\n" * (i % 2) + f"Words {i}" for i in range(6)]
+    assert main_texts(spark, [(i, "http://w.example/", p) for i, p in enumerate(pages)]) == dict(enumerate(want))
+    assert _host_texts(pages, lambda a, b: []) != want and _host_texts(pages, lambda a, b: a) != want
+
+
+def test_hosts_with_many_shapes_merge_in_a_tree(spark, monkeypatch):
+    page = "<html><body><article><h1>T{0}</h1>{1}<div class='share'>Share it</div><p>Words {0}</p></article></body></html>"
+    odd_parts = ["<h2>a</h2>", "<ul><li>b</li></ul>", "<section><p>c</p></section>", "<table><tr><td>d</td></tr></table>", "<h3>e</h3>"]
+    pages = [page.format(i, "".join(x for k, x in enumerate(odd_parts) if i >> k & 1)) for i in range(32)]
+    rows = [(i, "http://tree.example/", p) for i, p in enumerate(pages)]
+    want = main_texts(spark, rows)
+    monkeypatch.setattr(html, "SHAPES_AT_ONCE", 3)
+    assert main_texts(spark, rows) == want
+    letters = "abcde"
+    assert all(want[i] == "\n\n".join([f"T{i}", *(letters[k] for k in range(5) if i >> k & 1), f"Words {i}"]) for i in range(32))
+
+
+def test_pages_against_the_articles(spark, sf):
+    """Brute force over the whole table: the blocks inside <article>, markup dropped."""
+    pages = {r.page_id: r.html for r in spark.read.parquet(f"{sf}/pages.parquet").collect()}
+    got = {r.page_id: r.text for r in html.extract(spark.read.parquet(f"{sf}/pages.parquet")).collect()}
+    for i, page in pages.items():
+        inner = re.search(r"<article[^>]*>(.*)</article>", page, re.S)[1]
+        parts = re.split(r"</?(?:h1|h2|h3|p|li|ul|div|section)\b[^>]*>", re.sub(r"<!--.*?-->|<(script|style)\b.*?</\1>", "", inner, flags=re.S))
+        texts = [re.sub(r"\s+", " ", html.html_lib.unescape(re.sub(r"<[^>]+>", lambda m: " " if m[0].startswith("<br") else "", p))).strip() for p in parts]
+        assert got[i] == "\n\n".join(filter(None, texts)), i
+    clash = spark.read.parquet(f"{sf}/pages.parquet").selectExpr("*", "1 AS host", "2 AS wrapper", "3 AS slots", "4 AS part", "5 AS shape")
+    assert {r.page_id: r.text for r in html.extract(clash).collect()} == got
+
+
 # --- 10 ----------------------------------------------------------------------------------------
 def test_chat_events(spark):
     events = [
@@ -446,3 +705,51 @@ def test_pipeline(spark, sf, docs, empty):
     out = corpus_pipeline.run(spark, sf).collect()
     assert Counter(r.doc_id for r in out) == Counter(r.doc_id for r in kept.collect())
     assert sorted((r.shard, r.slot) for r in out) == [(s, i) for s, n in sorted(Counter(r.shard for r in out).items()) for i in range(n)]
+
+
+def test_stages_on_awkward_rows(spark, sf, odd, docs):
+    """Null and repeated ids, clashing names: every stage against what it must do to each row, before the corpus goes on."""
+    bench = spark.read.parquet(f"{sf}/benchmark.parquet")
+    passage = bench.orderBy("item_id").first().text
+    more = [(None, passage), (4, passage), (None, None), (None, "a b c"), (4, "123 456"), (3, "three clean words and then some more of them")]
+    rows = [(i, t, "en", "s", 0, 1, 1.0, 1, 1, 1, 1) for i, t in more]
+    table = odd.unionByName(spark.createDataFrame(rows, SCHEMA)).unionByName(docs.select("doc_id", "text", "lang", "source", "n_chars"), allowMissingColumns=True)
+    whole = Counter((r.doc_id, r.text) for r in table.collect())
+    steps = dict(corpus_pipeline.STAGES)
+
+    kept = common.stage(steps["language_id"](spark, table, sf), "test")
+    model = langid.fit(table)
+    said = {t: p for t in {t for _, t in whole} for p in [dict(zip(("lang", "score"), (x[0] for x in langid.judge(model, [pa_scalar(t)]))))]}
+    assert Counter((r.doc_id, r.text) for r in kept.collect()) == Counter({k: n for k, n in whole.items() if said[k[1]]["lang"] != "und" and said[k[1]]["score"] >= 0.3})
+
+    single = common.stage(steps["near_dedup"](spark, kept, sf), "test")
+    before = [(r.doc_id, r.text) for r in kept.collect()]
+    roots = brute_components([brute_fingerprint(t) for _, t in before], list(range(len(before))))
+    groups: dict = {}
+    for root, row in zip(roots, before):
+        groups.setdefault(root, []).append(row)
+    after = Counter((r.doc_id, r.text) for r in single.collect())
+    least = [min(g, key=lambda x: (x[0] is None, x[0] or 0))[0] for g in groups.values()]
+    assert Counter(i for i, _ in after.elements()) == Counter(least) and not after - Counter(before)
+
+    clean = common.stage(steps["decontamination"](spark, single, sf), "test")
+    windows = {tuple(w[i : i + 10]) for r in bench.collect() for w in [words(r.text)] for i in range(max(1, len(w) - 9) if w else 0)}
+    hit = lambda t: any(tuple(w[i : i + n]) in windows for w in [words(t)] for n in {len(x) for x in windows} for i in range(len(w) - n + 1))
+    assert Counter((r.doc_id, r.text) for r in clean.collect()) == Counter({k: n for k, n in after.items() if not hit(k[1])})
+
+    mixed = common.stage(steps["mixing"](spark, clean, sf), "test")
+    drawn, got = mixing.mix(clean, root="round").collect(), Counter((r.doc_id, r.text) for r in mixed.collect())
+    goal = {r.source: r.target for r in drawn}
+    longest = max(r.size for r in drawn)
+    size: Counter = Counter()
+    for r in mixed.collect():
+        size[r.source] += len(re.findall(mixing.WORD, r.text or ""))
+    assert all(abs(size[s] - goal[s]) < longest for s in goal) and all(n <= 3 * kept_n for k, n in got.items() for kept_n in [Counter((r.doc_id, r.text) for r in clean.collect())[k]])
+    placed = steps["sharding"](spark, mixed, sf).collect()
+    assert Counter(r.doc_id for r in placed) == Counter(i for i, _ in got.elements())
+
+
+def pa_scalar(value):
+    import pyarrow as pa
+
+    return pa.scalar(value, pa.string())
