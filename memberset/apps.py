@@ -8,131 +8,293 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
 from .build import build, keys_of
 from .geometry import FilterSpec, plan_spec
-from .probe import probe
+from .keys import columns_of, free_names, quoted
+from .probe import BROADCAST_BYTES, answers, as_array, probe
 
 # The projection of letters to the four-letter alphabet goes round and round.
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
 FOUR = "".join(str(i % 4) for i in range(26))
 
-
-_DIGIT = np.array([i % 4 for i in range(26)], np.int64)
 _SLICE = 1 << 18
 #: Lines of a shard of an origin's filter: small enough that many tasks insert.
 ORIGIN_LINES = 1 << 14
 
 
-def grams_of(texts: list[bytes], q: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(index of the text, pos from 1, gram) of every window of q letters; non-letters are dropped first."""
-    data = np.frombuffer(b"".join(texts), np.uint8) | 32
-    raw = np.frombuffer(b"".join(texts), np.uint8)
-    letter = (data >= 97) & (data <= 122) & (raw >= 65)
-    owner = np.repeat(np.arange(len(texts)), [len(t) for t in texts])[letter]
-    digit = _DIGIT[data[letter].astype(np.int64) - 97]
+def _digits(alphabet: str) -> np.ndarray:
+    """Digit of every byte, -1 for none."""
+    out = np.full(256, -1, np.int64)
+    for i, letter in enumerate(LETTERS if alphabet == "four" else "acgt"):
+        out[[ord(letter), ord(letter.upper())]] = i % 4
+    return out
+
+
+def grams_of(texts: list[bytes], q: int, alphabet: str = "four", canonical: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(index of the text, pos from 1, gram) of every window of q letters.
+
+    four: all 26 letters, dealt to four digits; other bytes are dropped first. acgt: A, C, G, T are the digits 0 to 3, and windows
+    with any other code point are skipped. canonical: the lesser of a window and its reverse complement (digit d against 3 - d).
+    """
+    data = np.frombuffer(b"".join(texts), np.uint8)
+    owner, digit = np.repeat(np.arange(len(texts)), [len(t) for t in texts]), _digits(alphabet)[data]
+    sign = digit >= 0 if alphabet == "four" else (data & 0xC0) != 0x80  # a byte per code point
+    owner, digit = owner[sign], digit[sign]
     n = len(digit) - q + 1
     if n < 1:
         none = np.empty(0, np.int64)
         return none, none, none
-    gram, width = digit.copy(), 1  # windows of doubling width, then the rest of q
-    parts, at, left = [], 0, q
-    powers = [(1, gram)]
-    while 2 * width <= q:
-        gram = (gram[:-width] << (2 * width)) | gram[width:]
-        width *= 2
-        powers.append((width, gram))
-    out = np.zeros(n, np.int64)
-    for width, g in reversed(powers):
-        if left >= width:
-            out = (out << (2 * width)) | g[at : at + n]
-            at, left = at + width, left - width
-    whole = np.flatnonzero(owner[:n] == owner[q - 1 :])
+
+    def windows(d: np.ndarray, forward: bool) -> np.ndarray:
+        powers, width = [(1, d)], 1  # windows of doubling width, then the rest of q
+        while 2 * width <= q:
+            g = powers[-1][1]
+            one, two = (g[:-width], g[width:]) if forward else (g[width:], g[:-width])
+            powers.append((2 * width, (one << (2 * width)) | two))
+            width *= 2
+        out, at = np.zeros(n, np.int64), 0
+        for width, g in reversed(powers):
+            if q - at >= width:
+                part = g[at : at + n]
+                out = (out << (2 * width)) | part if forward else out | (part << (2 * at))
+                at += width
+        return out
+
+    gram = windows(np.maximum(digit, 0), True)
+    if canonical:
+        gram = np.minimum(gram, windows(3 - np.maximum(digit, 0), False))
+    good = owner[:n] == owner[q - 1 :]
+    if alphabet != "four":
+        bad = np.concatenate(([0], np.cumsum(digit < 0)))
+        good &= bad[q:] == bad[:n]
+    whole = np.flatnonzero(good)
     first = np.searchsorted(owner, np.arange(len(texts)))
-    return owner[whole], whole - first[owner[whole]] + 1, out[whole]
+    return owner[whole], whole - first[owner[whole]] + 1, gram[whole]
 
 
-def qgrams(df: DataFrame, text: str, q: int = 31) -> DataFrame:
+def _slices(texts: pa.Array) -> Iterator[tuple[int, list[bytes]]]:
+    """(first row, texts as bytes) in pieces of about ``_SLICE`` bytes; a longer text is one of its own."""
+    lo, size, held = 0, 0, []
+    for i, t in enumerate(texts.cast(pa.large_binary())):
+        held.append(t.as_py() or b"")
+        size += len(held[-1])
+        if size >= _SLICE or i == len(texts) - 1:
+            yield lo, held
+            lo, size, held = i + 1, 0, []
+
+
+def qgrams(df: DataFrame, text: str, q: int = 31, alphabet: str = "four", canonical: bool = False) -> DataFrame:
     """df's other columns, pos (from 1) and gram: each window of q letters (31 at most) as a base-4 number. Short or null texts have none."""
     rest = [c for c in df.columns if c != text]
-    source = df.select(*rest, F.coalesce(F.col(text), F.lit("")).alias("_text"))
-    fields = ", ".join(f"`{c}` {source.schema[c].dataType.simpleString()}" for c in rest)
-    names, n_rest = [*rest, "pos", "gram"], len(rest)
+    n_rest = len(rest)
+    source = df.select(*[F.col(quoted(c)).alias(f"c{i}") for i, c in enumerate(rest)], F.col(quoted(text)).alias("text"))
+    schema = StructType([*source.schema.fields[:n_rest], StructField("pos", IntegerType()), StructField("gram", LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(n_rest).cast(pa.large_binary()).to_pylist()
-            lo, size = 0, 0
-            for i, t in enumerate(texts):
-                size += len(t)
-                if size < _SLICE and i < len(texts) - 1:
-                    continue
-                owner, pos, gram = grams_of(texts[lo : i + 1], q)
+            for lo, texts in _slices(batch.column(n_rest)):
+                owner, pos, gram = grams_of(texts, q, alphabet, canonical)
                 kept = [batch.column(c).slice(lo).take(pa.array(owner)) for c in range(n_rest)]
-                yield pa.RecordBatch.from_arrays([*kept, pa.array(pos.astype(np.int32)), pa.array(gram)], names)
-                lo, size = i + 1, 0
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(pos.astype(np.int32)), pa.array(gram)], schema.names)
 
-    return source.mapInArrow(run, ", ".join(x for x in (fields, "pos int, gram long") if x))
+    return source.mapInArrow(run, schema).toDF(*rest, "pos", "gram")
 
 
-def prefilter(left: DataFrame, right: DataFrame, key_left: str, key_right: str, how: str = "inner", k: int = 10, spec: FilterSpec | None = None) -> DataFrame:
-    """left join right on the keys, with a filter of right's keys asked before the join.
+#: Grams that a task sorts at once to drop repeats before the shuffle.
+HELD_GRAMS = 1 << 20
 
-    Rows that the filter refuses are certainly without a partner: they never reach the shuffle of the join. The
-    exact join follows, so the rows are those of the plain join.
-    how: inner | semi | anti.
+
+def gram_sets(df: DataFrame, text: str, group: str, q: int = 31, alphabet: str = "four", canonical: bool = False) -> DataFrame:
+    """(group, key64, ord): the distinct grams of each value of ``group`` (few of them). Repeats go in the tasks already."""
+    kind = df.schema[group].dataType
+    source = df.select(F.col(quoted(group)).alias("g"), F.col(quoted(text)).alias("t")).where("g is not null and t is not null")
+    schema = StructType([StructField(group, kind), StructField("key64", LongType())])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict = {}
+
+        def emit(g, parts: list) -> pa.RecordBatch:
+            grams = np.unique(np.concatenate(parts))
+            return pa.RecordBatch.from_arrays([pa.array([g] * len(grams), batch.column(0).type), pa.array(grams)], [group, "key64"])
+
+        for batch in batches:
+            names = batch.column(0).to_pylist()
+            for lo, texts in _slices(batch.column(1)):
+                owner, _, gram = grams_of(texts, q, alphabet, canonical)
+                some = names[lo : lo + len(texts)]
+                for g in dict.fromkeys(some):
+                    mine = np.array([x == g for x in some])
+                    parts = held.setdefault(g, [])
+                    parts.append(gram[mine[owner]])
+                    if sum(map(len, parts)) >= HELD_GRAMS:
+                        yield emit(g, held.pop(g))
+        for g, parts in held.items():
+            yield emit(g, parts)
+
+    return source.mapInArrow(run, schema).distinct().withColumn("ord", F.col("key64"))
+
+
+Sides = dict[str, list[tuple[DataFrame, FilterSpec, int | None]]]
+
+
+def count_hits(df: DataFrame, text: str, sides: Sides, q: int = 31, alphabet: str = "four", fold: str | None = None) -> DataFrame:
+    """df with ``grams`` (windows of the text) and, per name in ``sides``, a count of those that any of its filters may hold.
+
+    sides: name -> (lines, spec, fold). Where ``fold`` names a column, a row is not asked of the filters of its own fold.
+    Filters that fit a broadcast together are asked inside one pass over the texts: grams never become rows. Larger
+    ones are asked by the shard plan and the counts joined back. A null or short text has no grams.
     """
+    every = [x for some in sides.values() for x in some]
+    own = F.coalesce(F.col(quoted(fold)).cast("int"), F.lit(-1)) if fold else F.lit(-1)
+    if sum(spec.bytes for _, spec, _ in every) > BROADCAST_BYTES:
+        return _count_by_shard(df, text, sides, q, alphabet, own)
+    shared = df.sparkSession.sparkContext.broadcast({name: [(as_array(lines, spec), spec, f) for lines, spec, f in some] for name, some in sides.items()})
+
+    def count(texts: pa.Array, folds: pa.Array) -> pa.Array:
+        asked, mine = shared.value, folds.to_numpy()
+        sums = np.zeros((len(texts), 1 + len(asked)), np.int64)
+        for lo, some in _slices(texts):
+            owner, _, gram = grams_of(some, q, alphabet)
+            sums[lo : lo + len(some), 0] = np.bincount(owner, minlength=len(some))
+            once, back = np.unique(gram, return_inverse=True)
+            of = mine[lo : lo + len(some)][owner]
+            for i, filters in enumerate(asked.values(), 1):
+                found = np.zeros(len(gram), bool)
+                for array, spec, f in filters:
+                    if f is None or (of != f).any():
+                        found |= answers(array, once, spec)[0][back] & (of != (-2 if f is None else f))
+                sums[lo : lo + len(some), i] = np.bincount(owner[found], minlength=len(some))
+        return pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1, dtype=np.int32) * sums.shape[1]), pa.array(sums.reshape(-1)))
+
+    (counts,) = free_names(df, "counts")
+    told = df.withColumn(counts, F.arrow_udf(count, "array<long>")(F.coalesce(F.col(quoted(text)), F.lit("")), own))
+    return told.select(*columns_of(df), *[F.get(F.col(counts), F.lit(i)).alias(name) for i, name in enumerate(["grams", *sides])])
+
+
+def _count_by_shard(df: DataFrame, text: str, sides: Sides, q: int, alphabet: str, own) -> DataFrame:
+    (row,) = free_names(df, "row")
+    rows = df.withColumn(row, F.monotonically_increasing_id()).persist()
+    asked = qgrams(rows.select(F.col(row).alias("row"), own.alias("own"), F.col(quoted(text)).alias("text")), "text", q, alphabet)
+    hits, n = {}, 0
+    for name, some in sides.items():
+        hits[name] = F.lit(False)
+        for lines, spec, f in some:
+            asked = probe(asked, "gram", lines, spec, out=f"in{n}")
+            hits[name] = hits[name] | (F.col(f"in{n}") & (F.col("own") != F.lit(-2 if f is None else f)))
+            n += 1
+    sums = asked.groupBy(F.col("row").alias(row)).agg(F.count("*").alias("grams"), *[F.count_if(c).alias(name) for name, c in hits.items()])
+    zero = F.lit(0).cast("long")
+    return rows.join(sums, row, "left").select(*columns_of(df), *[F.coalesce(F.col(name), zero).alias(name) for name in ("grams", *sides)])
+
+
+def _asked(left: DataFrame, right: DataFrame, key_left: str, key_right: str, k: int, spec: FilterSpec | None) -> tuple[DataFrame, str]:
     keys = keys_of(right, key_right)
     if spec is None:
         n = keys.agg(F.approx_count_distinct("key64")).first()[0]
         spec = plan_spec(max(1, n), k)
-    asked = probe(left, key_left, build(keys, spec), spec)
-    same = F.col(f"l.{key_left}") == F.col(f"r.{key_right}")
-    some = asked.where("maybe").drop("maybe").alias("l")
+    (maybe,) = free_names(left, "maybe")
+    return probe(left, key_left, build(keys, spec), spec, out=maybe), maybe
+
+
+def prefilter(left: DataFrame, right: DataFrame, key_left: str, key_right: str, how: str = "inner", k: int = 10, spec: FilterSpec | None = None) -> DataFrame:
+    """left join right on the keys, with a filter of right's keys asked before the join. Both keys are of one type.
+
+    Rows that the filter refuses are certainly without a partner: they never reach the shuffle of the join. The
+    exact join follows, so the rows are those of the plain join.
+    how: inner | semi | anti.
+    """
+    asked, maybe = _asked(left, right, key_left, key_right, k, spec)
+    same = F.col(f"l.{quoted(key_left)}") == F.col(f"r.{quoted(key_right)}")
+    some = asked.where(F.col(maybe)).drop(maybe).alias("l")
     if how == "inner":
         return some.join(right.alias("r"), same)
     if how == "semi":
         return some.join(right.alias("r"), same, "left_semi")
-    surely = asked.where("maybe is null or not maybe").drop("maybe")
+    surely = asked.where(F.col(maybe).isNull() | ~F.col(maybe)).drop(maybe)
     return surely.unionByName(some.join(right.alias("r"), same, "left_anti"))
 
 
+def prefilter_report(left: DataFrame, right: DataFrame, key_left: str, key_right: str, k: int = 10, spec: FilterSpec | None = None) -> DataFrame:
+    """rows of left, survivors of the filter, partners (rows with a match), and false_survivors, which only the join removes."""
+    asked, maybe = _asked(left, right, key_left, key_right, k, spec)
+    have = right.select(F.col(quoted(key_right)).alias("_have")).distinct().withColumn("_partner", F.lit(True))
+    met = asked.join(have, asked[quoted(key_left)] == have["_have"], "left")
+    out = met.agg(F.count("*").alias("rows"), F.count_if(maybe).alias("survivors"), F.count("_partner").alias("partners"))
+    return out.withColumn("false_survivors", F.col("survivors") - F.col("partners"))
+
+
 def fold_of(key: str, folds: int):
     """Fold of a row by the checksum of its key; rows without a key are in fold 0."""
     return F.coalesce(F.pmod(F.crc32(F.col(key).cast("string").cast("binary")), F.lit(folds)), F.lit(0)).cast("int")
 
 
+def _class(share: float, grams: str, a: str, b: str):
+    some = F.col(grams) > 0
+    is_a, is_b = some & (F.col(a) >= share * F.col(grams)), some & (F.col(b) >= share * F.col(grams))
+    return F.when(is_a & is_b, "both").when(is_a, "a").when(is_b, "b").otherwise("neither")
+
+
+def origin_sets(origin_a: DataFrame, origin_b: DataFrame, q: int = 27) -> DataFrame:
+    """(side, key64, ord): the distinct grams of (fold, text) rows; side is the origin and the fold, as in "a0"."""
+    sides = [o.select(F.concat(F.lit(name), F.col("fold").cast("string")).alias("side"), "text") for name, o in (("a", origin_a), ("b", origin_b))]
+    return gram_sets(sides[0].unionByName(sides[1]), "text", "side", q)
+
+
+def _held_out(reads: DataFrame, origin_a: DataFrame, origin_b: DataFrame, folds: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    if folds > 1:
+        return reads, origin_a, origin_b
+    return reads.withColumn("fold", F.lit(None).cast("int")), origin_a.withColumn("fold", F.lit(0)), origin_b.withColumn("fold", F.lit(0))
+
+
 def two_origins(reads: DataFrame, origin_a: DataFrame, origin_b: DataFrame, q: int = 27, k: int = 16, share: float = 0.5, choices: int = 2, folds: int = 1) -> DataFrame:
     """reads (read_id, text) -> grams, hits_a, hits_b and the class a | b | both | neither by the share of grams found.
 
     Every read has a row; one without grams is neither. With ``folds``, reads and origins have a column fold: each fold of an
     origin has a filter of its own, and a read is asked of all but that of its fold (of all, where its fold is null). So a read
-    never meets its own text; k grows so that the filters asked have the FPR of one.
+    never meets its own text; k grows so that the filters asked have the FPR of one. Filters are sized by distinct grams.
     """
-    k += (folds - 1).bit_length()
-    if folds == 1:
-        reads, origin_a, origin_b = reads.withColumn("fold", F.lit(None).cast("int")), origin_a.withColumn("fold", F.lit(0)), origin_b.withColumn("fold", F.lit(0))
-    asked = qgrams(reads.select("read_id", "fold", "text"), "text", q)
-    for name, origin in (("a", origin_a), ("b", origin_b)):
-        found = F.lit(False)
+    reads, origin_a, origin_b = _held_out(reads, origin_a, origin_b, folds)
+    sides = origin_filters(origin_sets(origin_a, origin_b, q), k + (folds - 1).bit_length(), choices, folds)
+    counted = count_hits(reads.select("read_id", "fold", "text"), "text", {f"hits_{o}": some for o, some in sides.items()}, q, fold="fold")
+    return counted.select("read_id", "grams", "hits_a", "hits_b", _class(share, "grams", "hits_a", "hits_b").alias("class"))
+
+
+def origin_filters(sets: DataFrame, k: int, choices: int, folds: int) -> Sides:
+    """origin -> (lines, spec, fold) for every fold of it."""
+    sets = sets.persist()
+    sizes = {r["side"]: r["n"] for r in sets.groupBy("side").agg(F.count("*").alias("n")).collect()}
+    out: Sides = {}
+    for origin in "ab":
         for fold in range(folds):
-            keys = keys_of(qgrams(origin.where(F.col("fold") == fold).select("text"), "text", q), "gram")
-            spec = plan_spec(max(1, keys.count()), k, "choice", choices, shard_lines=ORIGIN_LINES)
-            asked = probe(asked, "gram", build(keys, spec), spec).withColumnRenamed("maybe", f"in_{name}{fold}")
-            found = found | (F.col(f"in_{name}{fold}") & ~F.col("fold").eqNullSafe(F.lit(fold)))
-        asked = asked.withColumn(f"in_{name}", found)
-    bare = reads.select("read_id", *(F.lit(None).cast("boolean").alias(c) for c in ("in_a", "in_b")))
-    sums = asked.select("read_id", "in_a", "in_b").unionByName(bare).groupBy("read_id")
-    sums = sums.agg(F.count("in_a").alias("grams"), F.count_if("in_a").alias("hits_a"), F.count_if("in_b").alias("hits_b"))
-    some = F.col("grams") > 0
-    a, b = some & (F.col("hits_a") >= share * F.col("grams")), some & (F.col("hits_b") >= share * F.col("grams"))
-    return sums.withColumn("class", F.when(a & b, "both").when(a, "a").when(b, "b").otherwise("neither"))
-
-
-def contamination(docs: DataFrame, benchmark: DataFrame, q: int = 31, k: int = 20) -> DataFrame:
-    """doc_id, grams, hits, share: how much of a document's grams the benchmark's filter holds."""
-    keys = keys_of(qgrams(benchmark.select("text"), "text", q), "gram")
-    spec = plan_spec(max(1, keys.count()), k)
-    asked = probe(qgrams(docs.select("doc_id", "text"), "text", q), "gram", build(keys, spec), spec)
-    sums = asked.groupBy("doc_id").agg(F.count("*").alias("grams"), F.count_if("maybe").alias("hits"))
-    return sums.withColumn("share", F.round(F.col("hits") / F.col("grams"), 9))
+            spec = plan_spec(max(1, sizes.get(f"{origin}{fold}", 0)), k, "choice" if choices > 1 else "linelocal", choices, shard_lines=ORIGIN_LINES)
+            out.setdefault(origin, []).append((build(sets.where(F.col("side") == f"{origin}{fold}"), spec, distinct=True), spec, fold))
+    return out
+
+
+def two_origins_exact(reads: DataFrame, origin_a: DataFrame, origin_b: DataFrame, q: int = 27, share: float = 0.5, folds: int = 1) -> DataFrame:
+    """The same with the sets themselves: the reads' grams are joined with the origins' grams."""
+    reads, origin_a, origin_b = _held_out(reads, origin_a, origin_b, folds)
+    sets = origin_sets(origin_a, origin_b, q).select(F.col("key64").alias("gram"), F.substring("side", 1, 1).alias("origin"), F.substring("side", 2, 9).cast("int").alias("at"))
+    sets = sets.groupBy("gram").agg(*[F.collect_set(F.when(F.col("origin") == o, F.col("at"))).alias(f"in_{o}") for o in "ab"])
+    asked = qgrams(reads.select("read_id", "fold", "text"), "text", q).groupBy("read_id", "fold", "gram").agg(F.count("*").alias("times"))
+    met = asked.join(sets, "gram", "left")
+
+    def hits(o: str):
+        other = F.filter(F.coalesce(F.col(f"in_{o}"), F.array().cast("array<int>")), lambda f: ~f.eqNullSafe(F.col("fold")))
+        return F.sum(F.when(F.size(other) > 0, F.col("times")).otherwise(0)).alias(f"hits_{o}")
+
+    sums = met.groupBy("read_id").agg(F.sum("times").alias("grams"), hits("a"), hits("b"))
+    zero = F.lit(0).cast("long")
+    whole = reads.select("read_id").join(sums, "read_id", "left").select("read_id", *[F.coalesce(c, zero).alias(c) for c in ("grams", "hits_a", "hits_b")])
+    return whole.withColumn("class", _class(share, "grams", "hits_a", "hits_b"))
+
+
+def contamination(docs: DataFrame, benchmark: DataFrame, q: int = 31, k: int = 40) -> DataFrame:
+    """doc_id, grams, hits, share for every document: how much of its grams the benchmark's filter holds. A document without
+    grams has share 0. At k = 40 a false hit is a matter of 10^12 grams."""
+    sets = gram_sets(benchmark.select(F.lit(0).alias("g"), "text"), "text", "g", q).persist()
+    spec = plan_spec(max(1, sets.count()), k)
+    counted = count_hits(docs.select("doc_id", "text"), "text", {"hits": [(build(sets, spec, distinct=True), spec, None)]}, q)
+    return counted.select("doc_id", "grams", "hits", F.round(F.coalesce(F.col("hits") / F.nullif("grams", F.lit(0)), F.lit(0.0)), 9).alias("share"))

@@ -1,7 +1,7 @@
 """Building filters as tables: one row per non-empty line (shard, line, w0..w7, ones).
 
 Line-local and classic filters are unions, so lines are OR-ed in tasks and once more after the only shuffle.
-Multi-choice insertion depends on order: keys go to their shard (the only shuffle), are sorted by
+Multi-choice insertion depends on order: repeats are dropped by a partial aggregate, keys go to their shard, are sorted by
 (ord, key) there, and one task at a time owns a shard's lines. Results depend on the data and the spec only.
 Null keys are not inserted; repeated keys change nothing; an empty input gives an empty table.
 """
@@ -9,7 +9,6 @@ Null keys are not inserted; repeated keys change nothing; an empty input gives a
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import replace
 
 import numpy as np
 import pyarrow as pa
@@ -18,6 +17,8 @@ from pyspark.sql import functions as F
 
 from . import kernels as K
 from .geometry import LINE_BITS, WORDS, FilterSpec
+from .hashing import constant, mul64, premix, reduce_to
+from .keys import free_names, key64
 
 W = [f"w{i}" for i in range(WORDS)]
 DENSE_BYTES = 64 << 20
@@ -25,13 +26,10 @@ LINE_SCHEMA = "shard int, line int, " + ", ".join(f"{w} long" for w in W) + ", o
 
 
 def keys_of(df: DataFrame, key: str | Column, order: str | Column | None = None) -> DataFrame:
-    """(key64, ord): any integer, string or binary key as a long; null keys are dropped."""
-    c = F.col(key) if isinstance(key, str) else key
-    kind = df.select(c.alias("k")).schema["k"].dataType.simpleString()
-    if kind in ("string", "binary"):
-        c = F.when(c.isNotNull(), F.xxhash64(c))
-    o = c.cast("long") if order is None else F.col(order) if isinstance(order, str) else order
-    return df.select(c.cast("long").alias("key64"), o.cast("long").alias("ord")).where("key64 is not null")
+    """(key64, ord): keys of any type that a filter takes; null keys are dropped."""
+    c = key64(df, key)
+    o = c if order is None else F.col(order) if isinstance(order, str) else order
+    return df.select(c.alias("key64"), o.cast("long").alias("ord")).where("key64 is not null")
 
 
 def _line_batch(shard: np.ndarray, line: np.ndarray, words: np.ndarray) -> pa.RecordBatch:
@@ -51,11 +49,11 @@ def line_masks(keys: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarr
     """(global line number, words) to OR for keys of a union filter, equal lines merged."""
     x = K.prepared(keys, spec)
     at = K.shard_of(x, spec) * spec.lines
-    address = K.addresses(x, spec)
     if spec.kind == "classic":
+        address = K.addresses(x, spec)
         line = (at[:, None] + address // LINE_BITS).reshape(-1)
         return _merged(line, K.masks((address % LINE_BITS).reshape(-1, 1)))
-    return _merged(at + K.candidates(x, spec)[:, 0], K.masks(address))
+    return _merged(at + K.candidates(x, spec)[:, 0], K.footprints(x, spec))
 
 
 def build_union(keys: DataFrame, spec: FilterSpec) -> DataFrame:
@@ -70,9 +68,11 @@ def build_union(keys: DataFrame, spec: FilterSpec) -> DataFrame:
         for batch in batches:
             x = K.prepared(batch.column(0).to_numpy(), spec)
             at = K.shard_of(x, spec) * spec.lines
-            base = at if spec.kind == "classic" else at + K.candidates(x, spec)[:, 0]
-            bit = (base[:, None] * LINE_BITS + K.addresses(x, spec)).reshape(-1)
-            np.bitwise_or.at(flat, bit >> 6, np.uint64(1) << (bit & 63).astype(np.uint64))
+            if spec.kind == "classic":
+                bit = (at[:, None] * LINE_BITS + K.addresses(x, spec)).reshape(-1)
+                np.bitwise_or.at(flat, bit >> 6, np.uint64(1) << (bit & 63).astype(np.uint64))
+            else:
+                np.bitwise_or.at(words, at + K.candidates(x, spec)[:, 0], K.footprints(x, spec))
         used = np.flatnonzero(words.any(1))
         for lo in range(0, len(used), 1 << 16):
             part = used[lo : lo + (1 << 16)]
@@ -105,28 +105,39 @@ def with_ones(lines: DataFrame) -> DataFrame:
     return lines.select("shard", "line", *W, total.cast("int").alias("ones"))
 
 
+def shard_column(df: DataFrame, value: str, shard: str, spec: FilterSpec) -> DataFrame:
+    """df with the shard (int) of the long column ``value``, hashed in the JVM."""
+    (x,) = free_names(df, "x")
+    rows = df.withColumn(x, premix(F.col(value)) if spec.premix else F.col(value))
+    rows = rows.withColumn(x, mul64(F.col(x), constant(spec.seed, K.SHARD)))
+    return rows.withColumn(shard, reduce_to(F.col(x), spec.shards, spec.u).cast("int")).drop(x)
+
+
 def routed(keys: DataFrame, spec: FilterSpec) -> DataFrame:
-    """(shard, ord, key64): the shard is hashed in the JVM."""
-    from .hashing import constant, mul64, premix, reduce_to
+    """(shard, ord, key64)"""
+    return shard_column(keys.select("key64", "ord"), "key64", "shard", spec).select("shard", "ord", "key64")
+
 
-    x = keys.select("key64", "ord", (premix(F.col("key64")) if spec.premix else F.col("key64")).alias("x"))
-    y = x.select("key64", "ord", mul64(F.col("x"), constant(spec.seed, K.SHARD)).alias("y"))
-    return y.select(reduce_to(F.col("y"), spec.shards).cast("int").alias("shard"), "ord", "key64")
+def distinct_keys(keys: DataFrame) -> DataFrame:
+    """Each key once, at its first place: a partial aggregate, so that a hot key sends one row per task."""
+    return keys.groupBy("key64").agg(F.min("ord").alias("ord"))
 
 
 def _partitions(df: DataFrame, spec: FilterSpec) -> int:
     return max(1, min(spec.shards, 2 * df.sparkSession.sparkContext.defaultParallelism if spec.shards < 1 << 14 else spec.shards))
 
 
-def build_choice(keys: DataFrame, spec: FilterSpec, into: DataFrame | None = None, report: bool = False) -> DataFrame:
+def build_choice(keys: DataFrame, spec: FilterSpec, into: DataFrame | None = None, report: str = "", distinct: bool = False) -> DataFrame:
     """Multi-choice insertion in order of (ord, key64) within each shard, on top of the lines of ``into``.
 
-    With ``report`` the result is (shard, keys, skipped) instead of the lines.
+    Repeats of a key change nothing, so they are dropped before the shuffle; ``distinct`` says that there are none.
+    report: "" gives the lines; "shards" (shard, keys, skipped); "fresh" the (key64, ord) that the filter did not hold
+    when they came.
     """
     n = _partitions(keys, spec)
-    rows = routed(keys, spec).withColumn("old", F.lit(None).cast("binary"))
+    rows = routed(keys if distinct else distinct_keys(keys), spec).withColumn("old", F.lit(None).cast("binary"))
     if into is not None:  # a shard's old lines come first, one row each
-        old = into.select("shard", F.lit(None).cast("long").alias("ord"), F.col("line").cast("long").alias("key64"), _packed().alias("old"))
+        old = into.select("shard", F.lit(None).cast("long").alias("ord"), F.col("line").cast("long").alias("key64"), packed().alias("old"))
         rows = rows.unionByName(old)
     rows = rows.repartitionById(n, F.col("shard") % n).sortWithinPartitions("shard", F.col("old").isNull(), "ord", "key64")
 
@@ -134,7 +145,7 @@ def build_choice(keys: DataFrame, spec: FilterSpec, into: DataFrame | None = Non
         shard, lines, n_keys, skipped = -1, None, 0, 0
 
         def finish() -> pa.RecordBatch:
-            if report:
+            if report == "shards":
                 return pa.RecordBatch.from_arrays([pa.array([shard], pa.int32()), pa.array([n_keys], pa.int64()), pa.array([skipped], pa.int64())], ["shard", "keys", "skipped"])
             used = np.flatnonzero(lines.any(1))
             return _line_batch(np.full(len(used), shard), used, lines[used])
@@ -144,7 +155,7 @@ def build_choice(keys: DataFrame, spec: FilterSpec, into: DataFrame | None = Non
             cut = np.flatnonzero(np.concatenate(([True], owner[1:] != owner[:-1], [True]))) if len(owner) else []
             for lo, hi in zip(cut[:-1], cut[1:]):
                 if owner[lo] != shard:
-                    if lines is not None:
+                    if lines is not None and report != "fresh":
                         yield finish()
                     shard, lines, n_keys, skipped = int(owner[lo]), np.zeros((spec.lines, WORDS), np.uint64), 0, 0
                 part = batch.slice(lo, hi - lo)
@@ -154,20 +165,24 @@ def build_choice(keys: DataFrame, spec: FilterSpec, into: DataFrame | None = Non
                     lines[keys_[:n_old]] = np.frombuffer(b"".join(part.column(3).slice(0, n_old).to_pylist()), ">u8").reshape(-1, WORDS)
                 x = K.prepared(np.ascontiguousarray(keys_[n_old:]), spec)
                 n_keys += len(x)
-                skipped += K.insert(lines, K.candidates(x, spec), K.masks(K.addresses(x, spec)), spec)
-        if lines is not None:
+                held = np.zeros(len(x), bool)
+                skipped += K.insert(lines, K.candidates(x, spec), K.footprints(x, spec), spec, held=held)
+                if report == "fresh":
+                    new = part.slice(n_old).filter(pa.array(~held))
+                    yield pa.RecordBatch.from_arrays([new.column(2), new.column(1)], ["key64", "ord"])
+        if lines is not None and report != "fresh":
             yield finish()
 
-    return rows.mapInArrow(run, "shard int, keys long, skipped long" if report else LINE_SCHEMA)
+    return rows.mapInArrow(run, {"": LINE_SCHEMA, "shards": "shard int, keys long, skipped long", "fresh": "key64 long, ord long"}[report])
 
 
-def _packed() -> Column:
+def packed() -> Column:
     """The line's words as 64 bytes, most significant byte first."""
     return F.concat(*[F.unhex(F.lpad(F.hex(w), 16, "0")) for w in W])
 
 
-def build(keys: DataFrame, spec: FilterSpec) -> DataFrame:
-    return build_choice(keys, spec) if spec.kind == "choice" else build_union(keys, spec)
+def build(keys: DataFrame, spec: FilterSpec, distinct: bool = False) -> DataFrame:
+    return build_choice(keys, spec, distinct=distinct) if spec.kind == "choice" else build_union(keys, spec)
 
 
 def insert_more(lines: DataFrame, keys: DataFrame, spec: FilterSpec) -> DataFrame:
@@ -181,29 +196,65 @@ def merge_or(a: DataFrame, b: DataFrame) -> DataFrame:
     return _or_lines(a.unionByName(b))
 
 
+EPOCH = 99  # number of the hash function that deals keys to epochs
+
+
+def epoch_of(spec: FilterSpec, epochs: int, value: str = "key64") -> Column:
+    return reduce_to(mul64(F.col(value), constant(spec.seed, EPOCH)), epochs)
+
+
 def build_epochs(keys: DataFrame, spec: FilterSpec, epochs: int) -> DataFrame:
     """Batch insertion: keys of an epoch are priced on the lines as they were when it began, then all are written."""
-    n = F.pmod(F.xxhash64("key64", F.lit(spec.seed)), F.lit(epochs))
     state = build_choice(keys.where(F.lit(False)), spec)
     total, added = spec.cost.tables(spec.k)
+    dealt = distinct_keys(keys).withColumn("epoch", epoch_of(spec, epochs))
 
     for epoch in range(epochs):
-        now = candidate_rows(keys.where(n == epoch), spec)
-        before = F.lit(0)
+        now = candidate_rows(dealt.where(F.col("epoch") == epoch), spec)
+        joined = now.join(state.withColumnRenamed("ones", "before"), ["shard", "line"], "left")
         after = F.lit(0)
-        joined = now.join(state.drop("ones"), ["shard", "line"], "left")
         for i, w in enumerate(W):
-            old = F.coalesce(w, F.lit(0).cast("long"))
-            before = before + F.bit_count(old)
-            after = after + F.bit_count(old.bitwiseOR(F.col(f"m{i}")))
-        joined = joined.withColumn("j", after).withColumn("a", F.col("j") - before)
-        price = F.when(F.col("a") == 0, F.lit(-1)).otherwise(F.array(*map(F.lit, total.tolist()))[F.col("j")] + F.array(*map(F.lit, added.tolist()))[F.col("a")])
+            after = after + F.bit_count(F.coalesce(w, F.lit(0).cast("long")).bitwiseOR(F.col(f"m{i}")))
+        joined = joined.withColumn("j", after).withColumn("a", F.col("j") - F.coalesce("before", F.lit(0)))
+        price = F.when(F.col("a") == 0, F.lit(-1).cast("long")).otherwise(F.array(*map(F.lit, total.tolist()))[F.col("j")] + F.array(*map(F.lit, added.tolist()))[F.col("a")])
         best = joined.groupBy("key64").agg(F.min_by(F.struct("shard", "line", *[f"m{i}" for i in range(WORDS)]), F.struct(price.alias("p"), F.col("choice"))).alias("b"))
         rows = best.select("b.shard", "b.line", *[F.col(f"b.m{i}").alias(W[i]) for i in range(WORDS)])
-        state = with_ones(state.drop("ones").unionByName(rows).groupBy("shard", "line").agg(*[F.bit_or(w).alias(w) for w in W]))
+        state = _or_lines(state.drop("ones").unionByName(rows))
     return state
 
 
+def build_fold(keys: DataFrame, spec: FilterSpec) -> DataFrame:
+    """Multi-choice insertion as an SQL fold: a shard's keys in an array, its lines as the state of an aggregate.
+
+    Exactly the one-by-one loop. The state is copied for every key and a shard's keys meet in one row, so this is for
+    shards of a few lines (checks, engines without Python); ``build_choice`` is the plan for size.
+    """
+    total, added = (F.array(*map(F.lit, t.tolist())) for t in spec.cost.tables(spec.k))
+    tried = candidate_rows(distinct_keys(keys), spec).join(distinct_keys(keys), "key64")
+    mask = F.array(*[F.col(f"m{i}") for i in range(WORDS)])
+    each = tried.groupBy("shard", "ord", "key64").agg(F.sort_array(F.collect_list(F.struct("choice", "line"))).alias("lines"), F.any_value(mask).alias("mask"))
+    zero = F.lit(0).cast("long")
+
+    def insert(state: Column, key: Column) -> Column:
+        def word(line: Column, i: int) -> Column:
+            return F.get(state, line * WORDS + i)
+
+        def price(at: Column) -> Column:
+            before = sum((F.bit_count(word(at["line"], i)) for i in range(WORDS)), F.lit(0))
+            after = sum((F.bit_count(word(at["line"], i).bitwiseOR(key["mask"][i])) for i in range(WORDS)), F.lit(0))
+            cost = F.when(after == before, F.lit(-1).cast("long")).otherwise(F.get(total, after) + F.get(added, after - before))
+            return F.struct(cost.alias("price"), at["choice"].alias("choice"), at["line"].alias("line"))
+
+        best = F.array_min(F.transform(key["lines"], price))["line"]
+        # The state is one array of words; those of the chosen line take the mask.
+        return F.transform(state, lambda w, i: F.when(F.floor(i / WORDS) == best, w.bitwiseOR(F.get(key["mask"], i % WORDS))).otherwise(w))
+
+    arrived = each.groupBy("shard").agg(F.sort_array(F.collect_list(F.struct("ord", "key64", "lines", "mask"))).alias("keys"))
+    state = arrived.select("shard", F.aggregate("keys", F.array_repeat(zero, spec.lines * WORDS), insert).alias("state"))
+    lines = state.select("shard", "state", F.explode(F.sequence(F.lit(0), F.lit(spec.lines - 1))).alias("line"))
+    return with_ones(lines.select("shard", "line", *[F.get("state", F.col("line") * WORDS + i).alias(w) for i, w in enumerate(W)])).where("ones > 0")
+
+
 def candidate_rows(keys: DataFrame, spec: FilterSpec) -> DataFrame:
     """A row per key and candidate: key64, choice, shard, line, m0..m7."""
 
@@ -211,24 +262,10 @@ def candidate_rows(keys: DataFrame, spec: FilterSpec) -> DataFrame:
         for batch in batches:
             keys_ = batch.column(0).to_numpy()
             x = K.prepared(keys_, spec)
-            cand, mask, shard = K.candidates(x, spec), K.masks(K.addresses(x, spec)), K.shard_of(x, spec)
+            cand, mask, shard = K.candidates(x, spec), K.footprints(x, spec), K.shard_of(x, spec)
             c = spec.choices
             wide = np.repeat(mask, c, axis=0)
             columns = [pa.array(np.repeat(keys_, c)), pa.array(np.tile(np.arange(1, c + 1, dtype=np.int32), len(keys_))), pa.array(np.repeat(shard, c).astype(np.int32)), pa.array(cand.reshape(-1).astype(np.int32))]
             yield pa.RecordBatch.from_arrays([*columns, *(pa.array(np.ascontiguousarray(wide[:, i]).view(np.int64)) for i in range(WORDS))], ["key64", "choice", "shard", "line", *(f"m{i}" for i in range(WORDS))])
 
     return keys.select("key64").mapInArrow(run, "key64 long, choice int, shard int, line int, " + ", ".join(f"m{i} long" for i in range(WORDS)))
-
-
-def build_grid(keys: DataFrame, specs: list[FilterSpec]) -> DataFrame:
-    """Filters of several specs over one key set: cfg (index of the spec) and its line table."""
-    out = None
-    for i, spec in enumerate(specs):
-        part = build(keys, spec).select(F.lit(i).alias("cfg"), "*")
-        out = part if out is None else out.unionByName(part)
-    return out
-
-
-def one_line(spec: FilterSpec) -> FilterSpec:
-    """The line-local twin of a spec."""
-    return replace(spec, kind="linelocal", choices=1)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import json
 import math
-from dataclasses import asdict, dataclass, field, replace
+from dataclasses import asdict, dataclass, field
 
 from .cost import Cost, ExpCost, cost_from_dict
 
@@ -17,7 +17,8 @@ class FilterSpec:
     """One filter. ``lines`` is per shard; ``classic`` filters use the same bits without line locality.
 
     kind: classic | linelocal | choice; choices: candidate lines per key (1 for the others);
-    bits: random | distinct | sliced; premix: scramble keys first (for dense ids).
+    bits: random | distinct | sliced; premix: scramble keys first (for dense ids); width: bits of the keys (2 q for q-grams),
+    which the hash forms of even moduli look at where keys are not scrambled; capacity: keys it is sized for (0: not told).
     """
 
     kind: str = "choice"
@@ -30,15 +31,22 @@ class FilterSpec:
     premix: bool = True
     cost: Cost = field(default_factory=ExpCost)
     capacity: int = 0
+    width: int = 64
 
     def __post_init__(self):
         if self.kind not in ("classic", "linelocal", "choice") or self.bits not in ("random", "distinct", "sliced"):
             raise ValueError(f"unknown kind or bits: {self.kind}, {self.bits}")
+        if not 2 <= self.width <= 64:
+            raise ValueError("width in 2..64")
         if not 1 <= self.k <= 64 or self.choices < 1 or self.lines < 1 or self.shards < 1:
             raise ValueError("k in 1..64, choices, lines and shards from 1")
         if self.kind != "choice" and self.choices != 1:
             object.__setattr__(self, "choices", 1)
 
+    @property
+    def u(self) -> int:
+        return 64 if self.premix else self.width
+
     @property
     def m(self) -> int:
         return self.shards * self.lines * LINE_BITS
@@ -72,7 +80,3 @@ def plan_spec(n: int, k: int, kind: str = "choice", choices: int = 2, rel_size:
     total = lines_for(max(1, n), k, rel_size)
     shards = shards or max(1, math.ceil(total / shard_lines))
     return FilterSpec(kind=kind, k=k, choices=choices, shards=shards, lines=math.ceil(total / shards), capacity=n, **rest)
-
-
-def with_kind(spec: FilterSpec, kind: str, choices: int = 1) -> FilterSpec:
-    return replace(spec, kind=kind, choices=choices)

@@ -9,7 +9,10 @@ from .hashing import constant, np_hash, np_premix
 
 #: Numbers of the hash functions of a spec: shard, then candidate lines, then addresses.
 SHARD, LINE, BIT = 0, 1, 100
-WINDOW = 1 << 15
+#: Keys that are scheduled together: about a quarter of the lines, so that most of them do not meet.
+LEAST_WINDOW, WINDOW = 1 << 9, 1 << 13
+#: Keys whose footprints are made at once.
+PIECE = 1 << 13
 
 
 def prepared(keys: np.ndarray, spec: FilterSpec) -> np.ndarray:
@@ -18,28 +21,28 @@ def prepared(keys: np.ndarray, spec: FilterSpec) -> np.ndarray:
 
 
 def shard_of(x: np.ndarray, spec: FilterSpec) -> np.ndarray:
-    return np_hash(x, constant(spec.seed, SHARD), spec.shards)
+    return np_hash(x, constant(spec.seed, SHARD), spec.shards, spec.u)
 
 
 def candidates(x: np.ndarray, spec: FilterSpec) -> np.ndarray:
     """(keys, choices) line numbers within the shard."""
-    return np.stack([np_hash(x, constant(spec.seed, LINE + i), spec.lines) for i in range(spec.choices)], 1)
+    return np.stack([np_hash(x, constant(spec.seed, LINE + i), spec.lines, spec.u) for i in range(spec.choices)], 1)
 
 
 def addresses(x: np.ndarray, spec: FilterSpec) -> np.ndarray:
     """(keys, k) bit numbers: within the line, or within the shard's bits for classic filters."""
     a = [constant(spec.seed, BIT + i) for i in range(spec.k)]
     if spec.kind == "classic":
-        return np.stack([np_hash(x, c, spec.lines * LINE_BITS) for c in a], 1)
+        return np.stack([np_hash(x, c, spec.lines * LINE_BITS, spec.u) for c in a], 1)
     if spec.bits == "random":
-        return np.stack([np_hash(x, c, LINE_BITS) for c in a], 1)
+        return np.stack([np_hash(x, c, LINE_BITS, spec.u) for c in a], 1)
     if spec.bits == "sliced":  # an address in each of k nearly equal slices
         edge = [LINE_BITS * i // spec.k for i in range(spec.k + 1)]
-        return np.stack([edge[i] + np_hash(x, c, edge[i + 1] - edge[i]) for i, c in enumerate(a)], 1)
+        return np.stack([edge[i] + np_hash(x, c, edge[i + 1] - edge[i], spec.u) for i, c in enumerate(a)], 1)
     # Distinct: a rank among the addresses still free, moved past those taken below it.
     taken = np.empty((len(x), spec.k), np.int64)
     for i, c in enumerate(a):
-        r = np_hash(x, c, LINE_BITS - i)
+        r = np_hash(x, c, LINE_BITS - i, spec.u)
         ranked = np.sort(taken[:, :i], axis=1)
         for j in range(i):
             r = r + (ranked[:, j] <= r)
@@ -50,15 +53,36 @@ def addresses(x: np.ndarray, spec: FilterSpec) -> np.ndarray:
 def masks(address: np.ndarray) -> np.ndarray:
     """(keys, 8) words of the footprints."""
     out = np.zeros((len(address), WORDS), np.uint64)
-    rows = np.arange(len(address))
+    flat, rows = out.reshape(-1), WORDS * np.arange(len(address))
     for i in range(address.shape[1]):
         b = address[:, i]
-        out[rows, b >> 6] |= np.uint64(1) << (b & 63).astype(np.uint64)
+        flat[rows + (b >> 6)] |= np.uint64(1) << (b & 63).astype(np.uint64)
     return out
 
 
+def footprints(x: np.ndarray, spec: FilterSpec) -> np.ndarray:
+    """``masks`` of the ``addresses``, piece by piece within the processor's caches."""
+    out = np.zeros((len(x), WORDS), np.uint64)
+    for lo in range(0, len(x), PIECE):
+        part = x[lo : lo + PIECE]
+        if spec.bits != "random" or spec.kind == "classic":
+            out[lo : lo + PIECE] = masks(addresses(part, spec))
+            continue
+        flat, rows = out[lo : lo + PIECE].reshape(-1), WORDS * np.arange(len(part))
+        for i in range(spec.k):
+            b = np_hash(part, constant(spec.seed, BIT + i), LINE_BITS, spec.u)
+            flat[rows + (b >> 6)] |= np.uint64(1) << (b & 63).view(np.uint64)
+    return out
+
+
+_PAIRS, _FOURS = np.uint64(0x00FF00FF00FF00FF), np.uint64(0x0001000100010001)
+
+
 def ones(words: np.ndarray) -> np.ndarray:
-    return np.bitwise_count(words).sum(-1, dtype=np.int64)
+    """Bits set in the eight words of each line: byte counts side by side in one word, added up there."""
+    v = np.bitwise_count(np.ascontiguousarray(words)).view(np.uint64)[..., 0]
+    v = (v & _PAIRS) + ((v >> np.uint64(8)) & _PAIRS)
+    return ((v * _FOURS) >> np.uint64(48)).view(np.int64)
 
 
 def insert_each(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray, spec: FilterSpec) -> int:
@@ -76,30 +100,42 @@ def insert_each(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray, spec: Fil
     return skipped
 
 
-def insert(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray, spec: FilterSpec, window: int = WINDOW) -> int:
+def insert(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray, spec: FilterSpec, window: int | None = None, held: np.ndarray | None = None) -> int:
     """Same result as the loop: keys that are the earliest waiting for all their lines touch different lines
-    (or wait for no one), so they are written in one step; then the next ones are."""
+    (or wait for no one), so they are written in one step; then the next ones are.
+
+    ``held`` (booleans), if given, becomes true for the keys that found all their bits set when they came.
+    """
     total, added = spec.cost.tables(spec.k)
-    first = np.empty(len(lines), np.int64)
-    skipped = 0
+    first, load, skipped = np.empty(len(lines), np.int64), ones(lines), 0
+    window = window or min(max(len(lines) // 4, LEAST_WINDOW), WINDOW)
     for lo in range(0, len(cand), window):
-        waiting = np.arange(lo, min(lo + window, len(cand)))
+        of, mine, waiting = cand[lo : lo + window], mask[lo : lo + window], np.arange(lo, min(lo + window, len(cand)))
         while len(waiting):
-            lines_of = cand[waiting]
             # The last write of a repeated place stays, so go from the latest key to the earliest.
-            first[lines_of[::-1].reshape(-1)] = np.repeat(waiting[::-1], cand.shape[1])
-            ready = (first[lines_of] == waiting[:, None]).all(1)
-            now, here = waiting[ready], lines_of[ready]
-            old = lines[here]
-            new = old | mask[now][:, None, :]
-            j = ones(new)
-            a = j - ones(old)
-            price = np.where(a == 0, -1, total[j] + added[a])
-            best = np.argmin(price, 1)
-            rows = np.arange(len(now))
-            skipped += int((a[rows, best] == 0).sum())
-            lines[here[rows, best]] = new[rows, best]
-            waiting = waiting[~ready]
+            first[of[::-1].reshape(-1)] = np.repeat(waiting[::-1], of.shape[1])
+            ready = first[of[:, 0]] == waiting
+            for i in range(1, of.shape[1]):
+                ready &= first[of[:, i]] == waiting
+            here, bits, low = of[ready], mine[ready], None
+            for i in range(of.shape[1]):
+                at = here[:, i]
+                after = ones(lines[at] | bits)
+                a = after - load[at]
+                price = total[after] + added[a]
+                price[a == 0] = -1
+                if low is None:
+                    low, best, then = price, at, after
+                else:
+                    better = price < low
+                    low, best, then = np.where(better, price, low), np.where(better, at, best), np.where(better, after, then)
+            full = low < 0
+            skipped += int(full.sum())
+            if held is not None:
+                held[waiting[ready]] = full
+            lines[best] |= bits
+            load[best] = then
+            of, mine, waiting = of[~ready], mine[~ready], waiting[~ready]
     return skipped
 
 
@@ -111,8 +147,55 @@ def lookup(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray) -> tuple[np.nd
     return hit > 0, hit
 
 
+#: Addresses after which a lazy lookup lets the refused keys go: most absent keys are out after the first few.
+STEPS = (0, 1, 3, 7, 15, 31)
+
+
+def lazy_lookup(lines: np.ndarray, x: np.ndarray, base: np.ndarray, spec: FilterSpec) -> tuple[np.ndarray, np.ndarray]:
+    """``lookup`` for random and sliced footprints; an address is only computed for keys that may still be held."""
+    edge, words, hit = [LINE_BITS * i // spec.k for i in range(spec.k + 1)], lines.reshape(-1), np.zeros(len(x), np.int8)
+    cand = candidates(x, spec)
+    for choice in range(spec.choices - 1, -1, -1):
+        row, y, at = np.arange(len(x)), x, WORDS * (base + cand[:, choice])
+        for i in range(spec.k):
+            a = constant(spec.seed, BIT + i)
+            b = np_hash(y, a, LINE_BITS, spec.u) if spec.bits == "random" else edge[i] + np_hash(y, a, edge[i + 1] - edge[i], spec.u)
+            bit = (words[at + (b >> 6)] >> (b & 63).astype(np.uint64)) & np.uint64(1)
+            if i in STEPS or i == spec.k - 1:
+                keep = np.flatnonzero(bit if i == 0 else bit & so_far)
+                row, y, at = row[keep], y[keep], at[keep]
+                so_far = np.ones(len(row), np.uint64)
+            else:
+                so_far = so_far & bit
+        hit[row] = choice + 1
+    return hit > 0, hit
+
+
 def classic_lookup(words: np.ndarray, address: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(found, addresses read until the first zero, all of them on a hit)."""
     bit = (words[address >> 6] >> (address & 63).astype(np.uint64)) & np.uint64(1)
     miss = bit == 0
     return ~miss.any(1), np.where(miss.any(1), miss.argmax(1) + 1, address.shape[1])
+
+
+def bits_examined(lines: np.ndarray, cand: np.ndarray, address: np.ndarray) -> np.ndarray:
+    """Bits that a lookup reads, candidate after candidate, each up to its first zero; the first hit ends it."""
+    read, open_ = np.zeros(len(cand), np.int64), np.ones(len(cand), bool)
+    for i in range(cand.shape[1]):
+        bit = (lines[cand[:, i, None], address >> 6] >> (address & 63).astype(np.uint64)) & np.uint64(1)
+        miss = bit == 0
+        whole = ~miss.any(1)
+        read += np.where(open_, np.where(whole, address.shape[1], miss.argmax(1) + 1), 0)
+        open_ &= ~whole
+    return read
+
+
+def insert_epoch(lines: np.ndarray, cand: np.ndarray, mask: np.ndarray, spec: FilterSpec, epochs: int) -> None:
+    """Keys in ``epochs`` batches by arrival, each priced on the lines as they were at its start."""
+    total, added = spec.cost.tables(spec.k)
+    for part in np.array_split(np.arange(len(cand)), epochs):
+        old = lines[cand[part]]
+        j = ones(old | mask[part][:, None, :])
+        a = j - ones(old)
+        best = np.argmin(np.where(a == 0, -1, total[j] + added[a]), 1)
+        np.bitwise_or.at(lines, cand[part, best], mask[part])

@@ -1,21 +1,28 @@
-"""Accuracy and cost measures of filters, as DataFrames or numbers."""
+"""Accuracy and cost measures of filters, as DataFrames or numbers.
+
+``grid`` builds and measures many filters over the keys of a table in one job: keys are shuffled to their shard once,
+and the task that has a shard's keys builds that shard of one filter after the other.
+"""
 
 from __future__ import annotations
 
 import math
 import time
 from collections.abc import Iterator
-from dataclasses import replace
+from dataclasses import dataclass, field, replace
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .geometry import LINE_BITS, FilterSpec, plan_spec
-from .models import choice_fpr, line_fpr, overload
-from .probe import answers, by_array, probe
+from .build import build, routed, shard_column
+from .cost import Cost, ExpCost
+from .geometry import LINE_BITS, WORDS, FilterSpec, lines_for, plan_spec
+from .keys import key64
+from .models import choice_fpr, distinct_candidates, line_fpr, overload
+from .probe import answers, as_array, by_array, probe
 
 
 def fpr(lines: DataFrame, spec: FilterSpec, absent: DataFrame, key: str, plan: str = "auto") -> DataFrame:
@@ -45,35 +52,59 @@ def load_summary(lines: DataFrame, spec: FilterSpec) -> DataFrame:
 
 
 def fpr_from_loads(lines: DataFrame, spec: FilterSpec) -> DataFrame:
-    """Expected FPR from the histogram of ones (513 rows at most reach the last step)."""
-    h = histogram(lines, spec)
+    """Expected FPR from the ones of the lines: per shard, the chance of a footprint to lie in a line; then of any candidate; then the mean over shards."""
+    ones, k = F.col("ones"), F.lit(float(spec.k))
     if spec.kind == "classic":
-        one = F.pow(F.sum(F.col("ones") * F.col("lines")) / F.sum("lines") / LINE_BITS, F.lit(float(spec.k)))
+        one = F.pow(F.sum(ones) / F.lit(spec.lines * LINE_BITS), k)
     elif spec.bits == "distinct":
         table = F.array(*[F.lit(float(x)) for x in line_fpr(np.arange(LINE_BITS + 1), spec.k, "distinct")])
-        one = F.sum(F.col("lines") * F.get(table, F.col("ones"))) / F.sum("lines")
+        one = F.sum(F.get(table, ones)) / F.lit(spec.lines)
     else:
-        one = F.sum(F.col("lines") * F.pow(F.col("ones") / LINE_BITS, F.lit(float(spec.k)))) / F.sum("lines")
-    total = 1 - F.pow(1 - F.col("p"), F.lit(float(spec.choices))) if spec.choices > 1 else F.col("p")
-    return h.agg(one.alias("p")).select(F.lit(spec.kind).alias("kind"), F.lit(spec.k).alias("k"), F.round(F.log2(total), 9).alias("log2_fpr"))
+        one = F.sum(F.pow(ones / LINE_BITS, k)) / F.lit(spec.lines)  # lines that are not there have no ones
+    shards = lines.groupBy("shard").agg(one.alias("p"))
+    total = F.lit(0.0)
+    for candidates, weight in enumerate(distinct_candidates(spec.choices, spec.lines), 1):
+        total = total + F.lit(weight) * (1 - F.pow(1 - F.col("p"), F.lit(float(candidates))))
+    mean = F.sum(total if spec.choices > 1 else F.col("p")) / F.lit(spec.shards)
+    return shards.agg(mean.alias("f")).select(F.lit(spec.kind).alias("kind"), F.lit(spec.k).alias("k"), F.round(F.log2("f"), 9).alias("log2_fpr"))
 
 
-def shard_balance(keys: DataFrame, spec: FilterSpec) -> DataFrame:
-    from .build import routed
+def overload_report(keys: DataFrame, spec: FilterSpec) -> DataFrame:
+    """inserted, capacity, gamma, and the penalty that a classic filter of this load would pay (FPR over 2^-k)."""
+    if not spec.capacity:
+        raise ValueError("the filter was not sized for a number of keys")
+    gamma = F.col("inserted") / F.lit(spec.capacity)
+    penalty = F.pow(2 * (1 - F.pow(F.lit(2.0), -gamma)), F.lit(float(spec.k)))
+    return keys.agg(F.count_distinct("key64").alias("inserted")).select("inserted", F.lit(spec.capacity).alias("capacity"), gamma.alias("gamma"), penalty.alias("penalty"))
+
 
+def shard_balance(keys: DataFrame, spec: FilterSpec) -> DataFrame:
     return routed(keys, spec).groupBy("shard").agg(F.count("*").alias("keys"))
 
 
 def touches(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> DataFrame:
-    """Mean lines (classic: addresses) read per lookup until the answer is known, by outcome."""
-    return by_array(keys, key, lines, spec, details=True).groupBy("maybe").agg(F.round(F.avg("touched"), 6).alias("mean_touched"), F.count("*").alias("probes"))
+    """Mean lines (classic: addresses) read per lookup until the answer is known, and with all candidates fetched beforehand, by outcome."""
+    eager = spec.k if spec.kind == "classic" else spec.choices
+    out = by_array(keys, key, lines, spec, details=True).groupBy("maybe")
+    return out.agg(F.round(F.avg("touched"), 6).alias("mean_touched"), F.count("*").alias("probes")).withColumn("eager", F.lit(eager))
 
 
-# --- simulation grids: one task builds and measures one filter ----------------------------------
+def bits_examined(keys: DataFrame, key: str, lines: DataFrame, spec: FilterSpec) -> DataFrame:
+    """Mean bits read per lookup, each candidate up to its first zero, by outcome."""
+    shared = keys.sparkSession.sparkContext.broadcast(as_array(lines, spec))
 
-MEASURE = (
-    "kind string, choices int, k int, bits string, cost string, rel_size double, gamma double, n long, probes long, false_pos long, fpr double, log2_fpr double, mean_ones double, max_ones long"
-)
+    def count(raw: pa.Array) -> pa.Array:
+        x = K.prepared(raw.fill_null(0).to_numpy(), spec)
+        base, address = K.shard_of(x, spec) * spec.lines, K.addresses(x, spec)
+        if spec.kind == "classic":
+            return pa.array(K.classic_lookup(shared.value.reshape(-1), base[:, None] * LINE_BITS + address)[1])
+        return pa.array(K.bits_examined(shared.value, base[:, None] + K.candidates(x, spec), address))
+
+    asked = by_array(keys, key, lines, spec).withColumn("read", F.arrow_udf(count, "long")(key64(keys, key)))
+    return asked.groupBy("maybe").agg(F.round(F.avg("read"), 6).alias("mean_bits"), F.count("*").alias("probes"))
+
+
+# --- one filter in one process ------------------------------------------------------------------
 
 
 def simulate(spec: FilterSpec, n: int, probes: int = 0) -> dict:
@@ -86,7 +117,7 @@ def simulate(spec: FilterSpec, n: int, probes: int = 0) -> dict:
         np.bitwise_or.at(words.reshape(-1), address.reshape(-1) >> 6, np.uint64(1) << (address.reshape(-1) & 63).astype(np.uint64))
     else:
         words = np.zeros((spec.lines, 8), np.uint64)
-        mask, cand = K.masks(K.addresses(x, spec)), K.candidates(x, spec)
+        mask, cand = K.footprints(x, spec), K.candidates(x, spec)
         if spec.kind == "linelocal":
             np.bitwise_or.at(words, cand[:, 0], mask)
         else:
@@ -101,20 +132,6 @@ def simulate(spec: FilterSpec, n: int, probes: int = 0) -> dict:
     return {"probes": probes, "false_pos": hits, "fpr": rate, "log2_fpr": math.log2(rate) if rate else None, "mean_ones": float(ones.mean()), "max_ones": int(ones.max())}
 
 
-def grid(spark: SparkSession, cells: list[tuple[FilterSpec, int, int, float, float]]) -> DataFrame:
-    """Rows of MEASURE for (spec, n, probes, rel_size, gamma): the cells are dealt over tasks."""
-    table = spark.createDataFrame([(i, s.to_json(), n, p, r, g) for i, (s, n, p, r, g) in enumerate(cells)], "cell int, spec string, n long, probes long, rel_size double, gamma double")
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for row in batch.itertuples():
-                spec = FilterSpec.from_json(row.spec)
-                out = {"kind": spec.kind, "choices": spec.choices, "k": spec.k, "bits": spec.bits, "cost": type(spec.cost).__name__, "rel_size": row.rel_size, "gamma": row.gamma, "n": row.n}
-                yield pd.DataFrame([out | simulate(spec, row.n, row.probes)])
-
-    return table.repartition(min(len(cells), 256), "cell").mapInPandas(run, MEASURE)
-
-
 def cell(kind: str, choices: int, k: int, lines: int, rel_size: float = 1.0, gamma: float = 1.0, probes: int = 0, **rest) -> tuple:
     """One filter of ``lines`` lines filled with gamma times the keys that its relative size means."""
     n = round(gamma * lines * LINE_BITS * math.log(2) / (k * rel_size))
@@ -131,14 +148,144 @@ def required_size(kind: str, choices: int, k: int, lines: int = 400, bits: str =
     return (low + high) / 2
 
 
-def required_sizes(spark: SparkSession, cases: list[tuple[str, int, int, str]], lines: int = 400) -> DataFrame:
-    table = spark.createDataFrame(cases, "kind string, choices int, k int, bits string")
+# --- many filters over the keys of a table ------------------------------------------------------
+#: Keys that a shard of a grid's filters is meant for.
+SHARD_KEYS = 1 << 16
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            yield batch.assign(rel_size=[required_size(r.kind, r.choices, r.k, lines, r.bits) for r in batch.itertuples()])
 
-    return table.repartition(len(cases), "kind", "choices", "k", "bits").mapInPandas(run, "kind string, choices int, k int, bits string, rel_size double")
+@dataclass(frozen=True)
+class Cell:
+    """A filter to be measured: ``rel_size`` times the classic size for n / gamma keys, filled with n; epochs 0: key by key."""
+
+    kind: str = "choice"
+    choices: int = 2
+    k: int = 10
+    bits: str = "random"
+    rel_size: float = 1.0
+    gamma: float = 1.0
+    cost: Cost = field(default_factory=ExpCost)
+    epochs: int = 0
+    label: str = ""
+
+    def spec(self, n: int, shards: int) -> FilterSpec:
+        total = lines_for(max(1, n), self.k, self.rel_size / self.gamma)
+        return FilterSpec(self.kind, self.k, self.choices, shards, math.ceil(total / shards), self.bits, cost=self.cost, capacity=round(n / self.gamma))
+
+
+GRID = (
+    "kind string, choices int, k int, bits string, cost string, label string, epochs int, rel_size double, gamma double, n long, bytes long, "
+    "probes long, false_pos long, fpr_probed double, fpr double, log2_fpr double, mean_ones double, max_ones long"
+)
+
+
+def _measured(spec: FilterSpec, epochs: int, x: np.ndarray, asked: np.ndarray, kept: dict) -> tuple[int, int, int, float]:
+    """One shard of a filter: (false answers, ones, most ones of a line, chance of a false answer by the loads)."""
+    words = np.zeros((spec.lines, WORDS), np.uint64)
+    if spec.kind == "classic":
+        address = K.addresses(x, spec).reshape(-1)
+        np.bitwise_or.at(words.reshape(-1), address >> 6, np.uint64(1) << (address & 63).astype(np.uint64))
+    else:
+        shape = spec.k, spec.bits
+        if shape not in kept:  # the footprints are those of all sizes
+            kept.clear()
+            kept[shape] = K.footprints(x, spec)
+        cand, mask = K.candidates(x, spec), kept[shape]
+        if spec.choices == 1:
+            np.bitwise_or.at(words, cand[:, 0], mask)
+        elif epochs:
+            K.insert_epoch(words, cand, mask, spec, epochs)
+        else:
+            K.insert(words, cand, mask, spec)
+    ones = K.ones(words)
+    wrong = int(answers(words, asked, replace(spec, shards=1, premix=False, width=64))[0].sum()) if len(asked) else 0
+    p = (ones.mean() / LINE_BITS) ** spec.k if spec.kind == "classic" else float(line_fpr(ones, spec.k, spec.bits).mean())
+    return wrong, int(ones.sum()), int(ones.max()), choice_fpr(p, spec.choices, spec.lines)
+
+
+def grid(keys: DataFrame, cells: list[Cell], absent: DataFrame | None = None, group: str | None = None) -> DataFrame:
+    """A row of GRID per cell (and per value of the column ``group``, few of them) for the distinct key64 of ``keys``.
+
+    fpr is expected from the loads; fpr_probed is the share of false answers among ``absent`` (key64, group). The keys
+    are copied once per share of the cells, as many shares as it takes to busy the cluster.
+    """
+    spark = keys.sparkSession
+    name = F.col(group) if group else F.lit("")
+    have = keys.select(name.alias("g"), "key64", F.lit(False).alias("asked")).where("key64 is not null").distinct()
+    if absent is not None:
+        have = have.unionByName(absent.select(F.col(group).alias("g") if group else F.lit("").alias("g"), "key64", F.lit(True).alias("asked")))
+    have = have.persist()
+    counts = {r["g"]: r["n"] for r in have.where("not asked").groupBy("g").agg(F.count("*").alias("n")).collect()}
+    if not counts:
+        return spark.createDataFrame([], (f"{group} string, " if group else "") + GRID)
+    names = sorted(counts, key=str)
+    shards = max(1, math.ceil(max(counts.values()) / SHARD_KEYS))
+    shares = max(1, min(len(cells), math.ceil(4 * spark.sparkContext.defaultParallelism / (shards * len(names)))))
+    # Costly cells first, dealt round; cells of one footprint lie together in a share.
+    order = sorted(range(len(cells)), key=lambda i: (cells[i].choices > 1, cells[i].k, cells[i].bits), reverse=True)
+    dealt = [sorted(order[i::shares], key=lambda j: (cells[j].k, cells[j].bits, j)) for i in range(shares)]
+    route = FilterSpec(shards=shards)
+    place = F.coalesce(*[F.when(F.col("g").eqNullSafe(F.lit(g)), F.lit(i)) for i, g in enumerate(names)])
+    rows = shard_column(have.withColumn("place", place).where("place is not null"), "key64", "shard", route)
+    rows = rows.withColumn("share", F.explode(F.sequence(F.lit(0), F.lit(shares - 1))))
+    rows = rows.select(((F.col("place") * shards + F.col("shard")) * shares + F.col("share")).cast("int").alias("task"), "asked", "key64")
+    parts = min(len(names) * shards * shares, 1 << 14)
+    rows = rows.repartitionById(parts, F.col("task") % parts).sortWithinPartitions("task", "asked", "key64")
+    sizes = [counts[g] for g in names]
+    told = ["place", "cell", "n", "probes", "wrong", "ones", "most", "p"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task, held = -1, []
+
+        def finish() -> pa.RecordBatch:
+            asked, values = (np.concatenate([b.column(i).to_numpy(zero_copy_only=False) for b in held]) for i in (1, 2))
+            x, out, kept = K.prepared(np.ascontiguousarray(values), route), [], {}
+            n_in = int((~asked.astype(bool)).sum())
+            at = task // shares // shards
+            for i in dealt[task % shares]:
+                spec = cells[i].spec(sizes[at], shards)
+                out.append((at, i, n_in, len(x) - n_in, *_measured(spec, cells[i].epochs, x[:n_in], x[n_in:].view(np.int64), kept)))
+            kinds = [pa.int32(), pa.int32(), *[pa.int64()] * 5, pa.float64()]
+            return pa.RecordBatch.from_arrays([pa.array([r[j] for r in out], t) for j, t in enumerate(kinds)], told)
+
+        for batch in batches:
+            owner = batch.column(0).to_numpy()
+            cut = np.flatnonzero(np.concatenate(([True], owner[1:] != owner[:-1], [True]))) if len(owner) else []
+            for lo, hi in zip(cut[:-1], cut[1:]):
+                if owner[lo] != task:
+                    if held:
+                        yield finish()
+                    task, held = int(owner[lo]), []
+                held.append(batch.slice(lo, hi - lo))
+        if held:
+            yield finish()
+
+    built = rows.mapInArrow(run, "place int, cell int, n long, probes long, wrong long, ones long, most long, p double")
+    sums = built.groupBy("place", "cell").agg(*[F.sum(c).alias(c) for c in ("n", "probes", "wrong", "ones", "p")], F.max("most").alias("most"))
+    about = []
+    for at, g in enumerate(names):
+        for i, c in enumerate(cells):
+            spec = c.spec(sizes[at], shards)
+            about.append((at, g, i, c.kind, spec.choices, c.k, c.bits, type(c.cost).__name__, c.label, c.epochs, c.rel_size, c.gamma, spec.bytes, spec.shards * spec.lines))
+    schema = "place int, g string, cell int, kind string, choices int, k int, bits string, cost string, label string, epochs int, rel_size double, gamma double, bytes long, lines long"
+    out = sums.join(F.broadcast(spark.createDataFrame(about, schema)), ["place", "cell"])
+    fpr_ = F.col("p") / shards
+    return out.select(
+        *([F.col("g").alias(group)] if group else []), "kind", "choices", "k", "bits", "cost", "label", "epochs", "rel_size", "gamma", "n", "bytes", "probes",
+        F.col("wrong").alias("false_pos"), F.when(F.col("probes") > 0, F.col("wrong") / F.col("probes")).alias("fpr_probed"), fpr_.alias("fpr"),
+        F.round(F.log2(fpr_), 9).alias("log2_fpr"), F.round(F.col("ones") / F.col("lines"), 9).alias("mean_ones"), F.col("most").alias("max_ones"),
+    )
+
+
+def required_sizes(keys: DataFrame, cells: list[Cell], steps: int = 9, low: float = 0.9, high: float = 1.6) -> DataFrame:
+    """Relative size (and overhead factor) at which each cell's filter of the keys has an FPR of 2^-k: one job of builds per step of the bisection."""
+    keys = keys.select("key64").where("key64 is not null").distinct().persist()
+    bounds = [(low, high) for _ in cells]
+    for _ in range(steps):
+        tried = [replace(c, rel_size=(a + b) / 2, label=str(i)) for i, (c, (a, b)) in enumerate(zip(cells, bounds))]
+        found = {int(r["label"]): r["fpr"] for r in grid(keys, tried).select("label", "fpr").collect()}
+        bounds = [(t.rel_size, b) if found.get(i, 0.0) > 2.0**-t.k else (a, t.rel_size) for i, (t, (a, b)) in enumerate(zip(tried, bounds))]
+    rows = [(c.kind, c.choices if c.kind == "choice" else 1, c.k, c.bits, (a + b) / 2, (a + b) / 2 / math.log(2)) for c, (a, b) in zip(cells, bounds)]
+    return keys.sparkSession.createDataFrame(rows, "kind string, choices int, k int, bits string, rel_size double, overhead double")
 
 
 def overload_rows(spark: SparkSession, gammas: list[float], ks: list[int]) -> DataFrame:
@@ -146,32 +293,38 @@ def overload_rows(spark: SparkSession, gammas: list[float], ks: list[int]) -> Da
     return spark.createDataFrame(rows, "gamma double, k int, penalty double")
 
 
-def throughput(keys: DataFrame, specs: dict[str, FilterSpec], runs: int = 1) -> DataFrame:
-    """Million keys per second of build, hit lookup and miss lookup (mean of ``runs``), per spec."""
-    from .build import build
+def throughput(keys: DataFrame, specs: dict[str, FilterSpec], runs: int = 3, plans: tuple[str, ...] = ("array",), lookups: bool = True) -> DataFrame:
+    """Million keys per second (mean of ``runs``) of build, hit and miss lookups, per spec and lookup plan.
 
+    ``keys`` (distinct key64, held in memory by the caller); absent keys are the same ones shifted by 2^40.
+    """
     spark, rows = keys.sparkSession, []
-    n = keys.count()
+    n = max(1, keys.count())
     absent = keys.select((F.col("key64") + F.lit(1 << 40)).alias("key64"))
-    for name, spec in specs.items():
-        took = {"insert": 0.0, "hit": 0.0, "miss": 0.0}
+
+    def timed(action) -> float:
+        began = time.perf_counter()
         for _ in range(runs):
-            began = time.perf_counter()
-            lines = build(keys, spec).persist()
-            lines.count()
-            took["insert"] += time.perf_counter() - began
+            action()
+        return n * runs / (time.perf_counter() - began) / 1e6
+
+    for name, spec in specs.items():
+        facts = (name, spec.kind, spec.choices, spec.k, spec.shards)
+        rows.append((*facts, "insert", "", n, timed(lambda: build(keys, spec, distinct=True).write.format("noop").mode("overwrite").save())))
+        if not lookups:
+            continue
+        lines = build(keys, spec, distinct=True).persist()
+        lines.count()
+        for plan in plans:
+            if plan in ("join", "expression") and spec.kind == "classic":
+                continue
             for what, probes in (("hit", keys), ("miss", absent)):
-                began = time.perf_counter()
-                probe(probes.select("key64"), "key64", lines, spec).agg(F.count_if("maybe")).collect()
-                took[what] += time.perf_counter() - began
-            lines.unpersist()
-        rows += [(name, spec.kind, spec.choices, spec.k, what, n, n * runs / t / 1e6) for what, t in took.items()]
-    return spark.createDataFrame(rows, "name string, kind string, choices int, k int, operation string, n long, mkeys_per_s double")
+                rows.append((*facts, what, plan, n, timed(lambda: probe(probes.select("key64"), "key64", lines, spec, plan).agg(F.count_if("maybe")).collect())))
+        lines.unpersist()
+    return spark.createDataFrame(rows, "name string, kind string, choices int, k int, shards int, operation string, plan string, n long, mkeys_per_s double")
 
 
-def four_kinds(n: int, k: int, shards: int = 4, sized: bool = False) -> dict[str, FilterSpec]:
+def four_kinds(n: int, k: int, shards: int = 4, sized: bool = False, bits: str = "random") -> dict[str, FilterSpec]:
     """The four filters side by side; ``sized``: each with the size that gives 2^-k (line-local 1.17, two 1.01, three 0.99 at k = 14)."""
     size = {"classic": 1.0, "linelocal": 1.17, "choice2": 1.01, "choice3": 0.99} if sized else dict.fromkeys(("classic", "linelocal", "choice2", "choice3"), 1.0)
-    return {
-        name: plan_spec(n, k, name.rstrip("23"), int(name[-1]) if name[-1].isdigit() else 1, size[name], shards=shards) for name in size
-    }
+    return {name: plan_spec(n, k, name.rstrip("23"), int(name[-1]) if name[-1].isdigit() else 1, size[name], shards=shards, bits=bits) for name in size}

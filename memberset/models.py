@@ -23,10 +23,23 @@ def overload(gamma: float, k: int) -> float:
     return (1 - 2.0**-gamma) ** k * 2.0**k
 
 
+def distinct_candidates(choices: int, lines: int) -> list[float]:
+    """Chances that a key's candidates are 1, 2, ... different lines of a shard."""
+    chance = [1.0] + [0.0] * (choices - 1)
+    for _ in range(choices - 1):
+        grown = [0.0] * choices
+        for i, p in enumerate(chance):
+            grown[i] += p * (i + 1) / lines
+            if i + 1 < choices:
+                grown[i + 1] += p * (1 - (i + 1) / lines)
+        chance = grown
+    return chance
+
+
 def choice_fpr(line_fpr: float, choices: int, lines: int | None = None) -> float:
-    """FPR with several candidate lines; in small shards candidates may coincide (two choices)."""
-    if choices == 2 and lines:
-        return 2 * line_fpr - line_fpr / lines - line_fpr**2
+    """FPR with several candidate lines; in small shards candidates may coincide."""
+    if lines:
+        return sum(w * (1 - (1 - line_fpr) ** i) for i, w in enumerate(distinct_candidates(choices, lines), 1))
     return 1 - (1 - line_fpr) ** choices
 
 
@@ -70,6 +83,17 @@ def required_linelocal(k: int) -> float:
 
 # Published lower bounds of space overhead, as (factor, additive share of 1/k).
 RIVALS = {"cuckoo": (1.053, 3.0), "quotient": (1.053, 2.125), "vector_quotient": (1.0753, 2.914)}
+# Published overhead factors at k = 10.
+AT_TEN = {"classic": 1.443, "linelocal": 1.565, "choice2": 1.456, "cuckoo": 2.73, "quotient": 2.55, "vector_quotient": 2.77}
+# Lines touched, least and most, by insertion and by lookup; "k" the count of bits, None: unbounded or not told.
+LINES = {
+    "classic": ("k", "k", "k", "k"),
+    "linelocal": (1, 1, 1, 1),
+    "choice2": (2, 2, 1, 2),
+    "cuckoo": (1, None, 2, 2),
+    "quotient": (None, None, None, None),
+    "vector_quotient": (2, 2, 2, 2),
+}
 
 
 def rival_overhead(name: str, k: int) -> tuple[float, float]:
@@ -80,13 +104,16 @@ def rival_overhead(name: str, k: int) -> tuple[float, float]:
 
 
 def overview(spark: SparkSession, top: int = 30) -> DataFrame:
-    """Filter types side by side: overhead and lines touched, for k up to ``top``."""
+    """Filter types side by side, for k up to ``top``: overhead (null where no closed form is known; then the published value
+    at k = 10 stands alone), ranges of the lines touched, and whether an overloaded filter degrades smoothly."""
     rows = []
-    for k in range(1, top + 1):
-        rows.append(("classic", k, 1 / log(2), 1 / log(2), k, k))
-        for name, touched in (("cuckoo", 2), ("quotient", 1), ("vector_quotient", 2)):
-            rows.append((name, k, *rival_overhead(name, k), touched, touched))
-    return spark.createDataFrame([(a, b, round(c, 11), round(d, 11), e, f) for a, b, c, d, e, f in rows], "filter string, k int, best double, worst double, insert_lines int, lookup_lines int")
+    for name, touched in LINES.items():
+        for k in range(1, top + 1):
+            best, worst = rival_overhead(name, k) if name in RIVALS else (1 / log(2),) * 2 if name == "classic" else (None, None)
+            at_ten = AT_TEN[name] if k == 10 else None
+            rows.append((name, k, best and round(best, 11), worst and round(worst, 11), at_ten, *(float(k) if t == "k" else t and float(t) for t in touched), name not in RIVALS))
+    ends = ", ".join(f"{what}_{end} double" for what in ("insert", "lookup") for end in ("low", "high"))
+    return spark.createDataFrame(rows, f"filter string, k int, best double, worst double, published_c10 double, {ends}, smooth boolean")
 
 
 def line_fpr(ones: np.ndarray, k: int, bits: str = "random") -> np.ndarray:

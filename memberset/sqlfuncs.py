@@ -31,7 +31,7 @@ def register_aggregate(spark: SparkSession, name: str, spec: FilterSpec) -> None
     def filter_of(keys: pd.Series) -> bytes:
         x = K.prepared(keys.dropna().to_numpy(np.int64), spec)
         lines = np.zeros((spec.lines, WORDS), np.uint64)
-        K.insert(lines, K.candidates(x, spec), K.masks(K.addresses(x, spec)), spec)
+        K.insert(lines, K.candidates(x, spec), K.footprints(x, spec), spec)
         return lines.astype(">u8").tobytes()
 
     spark.udf.register(name, filter_of)

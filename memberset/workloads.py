@@ -1,15 +1,20 @@
 """Registered queries of the filter engine, each with its SQL reference where SQL can express it.
 
-Sizes of filters follow from exact key counts of the tables, so the specs in the SQL text, which knows no counts,
-use fixed geometries (the statements run at any scale; fuller filters merely answer ``maybe`` more often).
+The measurements (FPR against size, required size, overload, cost forms, choices, batches) build filters of all kinds over
+the packed (part, supplier) keys of lineitem, sized by their count. Bit-exact checks of single builds and lookups use fixed
+geometries, which their SQL text holds (fuller filters merely answer ``maybe`` more often).
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+import math
+import time
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import apps, build, hashing, measure, models, probe, rivals, stream
+from .measure import Cell
 from . import kernels as K
 from . import sqlref as R
 from .advise import advise
@@ -39,7 +44,8 @@ UNION = {"classic": FilterSpec("classic", 10, 1, 4, 160), "linelocal": FilterSpe
 ORDERS = "orders"
 SMALL = {c: FilterSpec("choice", 10, c, 6, 8) for c in (2, 3)} | {4: FilterSpec("choice", 14, 4, 8, 8)}
 KS = (4, 7, 10, 14, 17, 20)
-GRID_LINES = 400
+SIZES = tuple(round(0.8 + 0.05 * i, 2) for i in range(11))
+GAMMAS = (0.5, 0.8, 0.9, 1.0, 1.05, 1.1, 1.2, 1.5)
 KINDS = (("classic", 1), ("linelocal", 1), ("choice", 2), ("choice", 3))
 
 
@@ -53,6 +59,15 @@ for _name, _b in (("hash_odd", 1001), ("hash_pow2", 512), ("hash_even", 500)):
     query(_name, f"SELECT o_orderkey AS key64, {hashing.sql_hash('o_orderkey', hashing.constant(1, 0), _b)} AS h FROM orders")(_hash)
 
 
+for _b, _u, _name in ((512, 62, "hash_pow2_width"), (500, 54, "hash_even_width")):
+
+    def _hash_u(spark, sf_dir, b=_b, u=_u):
+        y = hashing.mul64(F.col("o_orderkey"), hashing.constant(1, 0))
+        return _load(spark, sf_dir, "orders").select("o_orderkey", y.alias("y")).select("o_orderkey", hashing.reduce_to(F.col("y"), b, u).alias("h"))
+
+    query(_name, f"SELECT o_orderkey, {hashing.sql_hash('o_orderkey', hashing.constant(1, 0), _b, _u)} AS h FROM orders")(_hash_u)
+
+
 @query(
     "qgram_keys",
     f"""WITH t AS (SELECT item_id, translate(lower(regexp_replace(text, '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') AS s FROM benchmark)
@@ -73,6 +88,19 @@ def qgram_keys_documents(spark, sf_dir):
     return apps.qgrams(_load(spark, sf_dir, "documents").select("doc_id", "text"), "text", 31)
 
 
+_acgt = "list_reduce(list_transform(string_split({w}, ''), lambda c: CAST(strpos('ACGT', c) - 1 AS BIGINT)), lambda a, b: a * 4 + b)"
+
+
+@query(
+    "qgram_keys_acgt",
+    f"""SELECT item_id, CAST(pos AS INTEGER) AS pos, least({_acgt.format(w='w')}, {_acgt.format(w="reverse(translate(w, 'ACGT', 'TGCA'))")}) AS gram
+FROM (SELECT item_id, pos, upper(substr(text, pos, 3)) AS w FROM (SELECT item_id, text, unnest(range(1, length(text) - 1)) AS pos FROM benchmark)) WHERE regexp_full_match(w, '[ACGT][ACGT][ACGT]')""",
+)
+def qgram_keys_acgt(spark, sf_dir):
+    """Canonical 3-grams of the letters A, C, G, T (the items are ASCII text); windows with any other sign are skipped."""
+    return apps.qgrams(_load(spark, sf_dir, "benchmark").select("item_id", "text"), "text", 3, "acgt", canonical=True)
+
+
 def _footprints(bits: str):
     def run(spark, sf_dir):
         keys = build.keys_of(_load(spark, sf_dir, "part"), "p_partkey")
@@ -119,7 +147,7 @@ def _customers(spark, sf_dir):
 
 for _c, _spec in SMALL.items():
     query(f"choice{_c}_build", R.choice_lines("customer", "c_custkey", _spec))(lambda spark, sf_dir, spec=_spec: build.build(_customers(spark, sf_dir), spec))
-    if _c < 4:
+    if _c <= 4:
 
         def _probe_choice(spark, sf_dir, spec=_spec, plan="join"):
             return probe.probe(_load(spark, sf_dir, "orders").select("o_custkey"), "o_custkey", build.build(_customers(spark, sf_dir).where("key64 % 3 = 0"), spec), spec, plan)
@@ -129,11 +157,46 @@ for _c, _spec in SMALL.items():
         if _c == 2:
             query("probe_by_array", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "array"))
             query("probe_by_shard", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "shard"))
+            query("probe_by_expression", ORACLES["choice2_probe"])(lambda spark, sf_dir: _probe_choice(spark, sf_dir, SMALL[2], "expression"))
 
 _apart2 = FilterSpec("choice", 10, 2, 6, 8, "distinct")
 query("choice2_distinct_build", R.choice_lines("customer", "c_custkey", _apart2))(lambda spark, sf_dir: build.build(_customers(spark, sf_dir), _apart2))
-query("choice_skip_count", R.choice_skips("customer", "c_custkey", SMALL[2]))(lambda spark, sf_dir: build.build_choice(_customers(spark, sf_dir), SMALL[2], report=True))
-query("choice_epochs")(lambda spark, sf_dir: build.build_epochs(_customers(spark, sf_dir), SMALL[2], 4))
+query("choice_skip_count", R.choice_skips("customer", "c_custkey", SMALL[2]))(lambda spark, sf_dir: build.build_choice(_customers(spark, sf_dir), SMALL[2], report="shards"))
+query("choice_epochs", R.choice_epochs("customer", "c_custkey", SMALL[2], 4, build.EPOCH))(lambda spark, sf_dir: build.build_epochs(_customers(spark, sf_dir), SMALL[2], 4))
+
+
+query("choice_fold", R.choice_lines("customer", "c_custkey", SMALL[2]))(lambda spark, sf_dir: build.build_fold(_customers(spark, sf_dir), SMALL[2]))
+query("choice_touches", R.choice_touches(_third, "c_custkey", "orders", "o_custkey", SMALL[2]))(
+    lambda spark, sf_dir: measure.touches(_load(spark, sf_dir, "orders").select("o_custkey"), "o_custkey", build.build(_customers(spark, sf_dir).where("key64 % 3 = 0"), SMALL[2]), SMALL[2])
+)
+
+
+# String keys: filters of urls, asked by every plan; k = 40, so that the answers are those of the exact set.
+def _url_filter(spark, sf_dir):
+    urls = build.keys_of(_load(spark, sf_dir, "pages").where("page_id % 2 = 0"), "url")
+    spec = plan_spec(max(1, urls.agg(F.count_distinct("key64")).first()[0]), 40, shards=3)
+    return build.build(urls, spec), spec
+
+
+@query("string_build", "SELECT count(DISTINCT url) AS urls, CAST(0 AS BIGINT) AS missed FROM pages WHERE page_id % 2 = 0")
+def string_build(spark, sf_dir):
+    lines, spec = _url_filter(spark, sf_dir)
+    asked = probe.probe(_load(spark, sf_dir, "pages").where("page_id % 2 = 0").select("url"), "url", lines, spec)
+    return asked.agg(F.count_distinct("url").alias("urls"), F.count_if(~F.col("maybe")).alias("missed"))
+
+
+for _plan in probe.PLANS:
+
+    def _probe_urls(spark, sf_dir, plan=_plan):
+        return probe.probe(_load(spark, sf_dir, "pages").select("page_id", "url"), "url", *_url_filter(spark, sf_dir), plan)
+
+    query(f"string_probe_{_plan}", "SELECT page_id, url, CASE WHEN url IS NULL THEN NULL ELSE url IN (SELECT url FROM pages WHERE page_id % 2 = 0 AND url IS NOT NULL) END AS maybe FROM pages")(_probe_urls)
+
+
+@query("string_prefilter", "SELECT page_id, url FROM pages WHERE url IN (SELECT url FROM pages WHERE page_id % 2 = 0)")
+def string_prefilter(spark, sf_dir):
+    pages = _load(spark, sf_dir, "pages").select("page_id", "url")
+    return apps.prefilter(pages, pages.where("page_id % 2 = 0").select("url"), "url", "url", "semi")
 
 
 @query("choice_incremental", R.choice_lines("customer", "c_custkey", SMALL[2]))
@@ -162,20 +225,22 @@ def cost_table(spark, sf_dir):
     return spark.createDataFrame([(j, a, int(total[j] + added[a])) for j in range(513) for a in range(11)], "j int, a int, cost_q long")
 
 
+FORMS = {
+    "exponential": ExpCost(), "exponential, knee 96": ExpCost(knee=96.0), "exponential, knee 192": ExpCost(knee=192.0), "exponential, weight 0.5": ExpCost(weight=0.5), "exponential, weight 2": ExpCost(weight=2.0),
+    "total": TotalCost(), "added": AddedCost(), "linear": LinearCost(), "linear, weight 0.2": LinearCost(weight=0.2), "power": PowerCost(), "power 4": PowerCost(power=4.0),
+}
+BETAS = (1.1, 1.25, 1.5, ExpCost().beta, 2.0, 2.5, 3.0, 4.0)
+
+
 @query("cost_forms")
 def cost_forms(spark, sf_dir):
-    forms = (ExpCost(), TotalCost(), AddedCost(), LinearCost(), PowerCost())
-    return measure.grid(spark, [measure.cell("choice", c, 14, GRID_LINES, cost=f, bits=b) for f in forms for c in (2, 3) for b in ("random", "distinct")])
+    """Cost functions, with their free parameters, against each other: two and three choices, both footprints."""
+    return measure.grid(packed_pairs(spark, sf_dir), [Cell("choice", c, k, b, cost=f, label=name) for name, f in FORMS.items() for c in (2, 3) for k in (10, 14) for b in ("random", "distinct")])
 
 
 @query("cost_beta_sweep")
 def cost_beta_sweep(spark, sf_dir):
-    betas = (1.1, 1.25, 1.5, ExpCost().beta, 2.0, 2.5, 3.0, 4.0)
-    parts = [measure.grid(spark, [measure.cell("choice", 2, 14, GRID_LINES, cost=ExpCost(beta=b))]).withColumn("beta", F.lit(b)) for b in betas]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    return measure.grid(packed_pairs(spark, sf_dir), [Cell("choice", c, k, cost=ExpCost(beta=beta), label=f"{beta:.4f}") for beta in BETAS for c in (2, 3) for k in (10, 14, 17)]).withColumn("beta", F.col("label").cast("double"))
 
 
 # --- measures ----------------------------------------------------------------------------------
@@ -213,18 +278,35 @@ def fpr_empirical(spark, sf_dir):
     return out[0].unionByName(out[1]).unionByName(out[2]).unionByName(out[3])
 
 
+def _absent_pairs(spark, sf_dir):
+    """As many keys as there are, none of them among those inserted (the supplier lies beyond all)."""
+    return packed_pairs(spark, sf_dir).select((F.col("key64") + F.lit(1 << 20)).alias("key64")).distinct()
+
+
 @query("fpr_fixed_size")
 def fpr_fixed_size(spark, sf_dir):
-    """FPR against relative size, four filters, two footprints (from loads; up to k = 10 also probed)."""
-    cells = [measure.cell(kind, c, k, GRID_LINES, rel, bits=b) for kind, c in KINDS for b in ("random", "distinct") for k in KS for rel in (0.8, 0.9, 1.0, 1.1, 1.2, 1.3) if not (kind == "classic" and b == "distinct")]
-    cells += [measure.cell(kind, c, k, GRID_LINES, 1.0, probes=1 << 18) for kind, c in KINDS for k in (4, 7, 10)]
-    return measure.grid(spark, cells)
+    """FPR against relative size: four filters, two footprints, from the loads and by asking as many absent keys."""
+    cells = [Cell(kind, c, k, b, rel) for kind, c in KINDS for b in ("random", "distinct") for k in KS for rel in SIZES if not (kind == "classic" and b == "distinct")]
+    return measure.grid(packed_pairs(spark, sf_dir), cells, _absent_pairs(spark, sf_dir))
+
+
+_free = [(kind, k, rel) for kind in ("classic", "linelocal") for k in (4, 10, 17) for rel in (0.8, 0.9, 1.0, 1.1, 1.2, 1.3)]
+
+
+@query("fpr_order_free", R.order_free_grid("SELECT (l_partkey << 32) + l_suppkey AS key64 FROM lineitem", _free, measure.SHARD_KEYS))
+def fpr_order_free(spark, sf_dir):
+    """The same for the filters whose lines do not depend on the order of insertion, which SQL can build too."""
+    return measure.grid(packed_pairs(spark, sf_dir), [Cell(kind, 1, k, "random", rel) for kind, k, rel in _free]).select("kind", "k", "rel_size", "n", "log2_fpr", "mean_ones", "max_ones")
 
 
 @query("overload_curve")
 def overload_curve(spark, sf_dir):
-    cells = [measure.cell(kind, c, k, GRID_LINES, gamma=g) for kind, c in KINDS for k in (10, 14) for g in (0.5, 0.8, 0.9, 1.0, 1.05, 1.1, 1.2, 1.5)]
-    return measure.grid(spark, cells).withColumn("penalty", F.col("fpr") * F.pow(F.lit(2.0), F.col("k").cast("double")))
+    """FPR over 2^-k when gamma times the planned keys are inserted, and its growth per further percent (on the log2 scale)."""
+    cells = [Cell(kind, c, k, b, gamma=g) for kind, c in KINDS for b in ("random", "distinct") for k in (10, 14) for g in GAMMAS if not (kind == "classic" and b == "distinct")]
+    out = measure.grid(packed_pairs(spark, sf_dir), cells).withColumn("penalty", F.col("fpr") * F.pow(F.lit(2.0), F.col("k").cast("double")))
+    along = Window.partitionBy("kind", "choices", "k", "bits").orderBy("gamma")
+    slope = (F.col("log2_fpr") - F.lag("log2_fpr").over(along)) / (100 * (F.col("gamma") - F.lag("gamma").over(along)))
+    return out.withColumn("log2_per_percent", slope)
 
 
 @query(
@@ -237,12 +319,20 @@ def overload_model(spark, sf_dir):
 
 @query("required_size")
 def required_size(spark, sf_dir):
-    return measure.required_sizes(spark, [(kind, c, k, "random") for kind, c in KINDS[1:] for k in (10, 14, 17)])
+    """Relative size and overhead factor for an FPR of 2^-k: all kinds and footprints."""
+    cells = [Cell(kind, c, k, b) for kind, c in KINDS for b in ("random", "distinct") for k in (4, 10, 14, 17, 20) if not (kind == "classic" and b == "distinct")]
+    return measure.required_sizes(packed_pairs(spark, sf_dir), cells)
 
 
 @query("choices_ablation")
 def choices_ablation(spark, sf_dir):
-    return measure.grid(spark, [measure.cell("choice", c, k, GRID_LINES) for c in (1, 2, 3, 4) for k in KS])
+    return measure.grid(packed_pairs(spark, sf_dir), [Cell("choice", c, k) for c in (1, 2, 3, 4) for k in KS])
+
+
+@query("batch_ablation")
+def batch_ablation(spark, sf_dir):
+    """Insertion in R batches that are priced at their start (0: key by key)."""
+    return measure.grid(packed_pairs(spark, sf_dir), [Cell("choice", c, 14, epochs=r) for c in (2, 3) for r in (0, 1, 4, 8, 16, 32, 64, 256)])
 
 
 @query(
@@ -272,18 +362,40 @@ def collision_observed(spark, sf_dir):
 
 @query(
     "filter_overview",
-    """WITH k AS (SELECT CAST(range AS INTEGER) AS k FROM range(1, 31)), r AS (SELECT * FROM (VALUES ('cuckoo', 1.053::DOUBLE, 3.0::DOUBLE, 2), ('quotient', 1.053, 2.125, 1), ('vector_quotient', 1.0753, 2.914, 2)) t(filter, f, s, n))
-SELECT 'classic' AS filter, k, round(1 / ln(2.0::DOUBLE), 11) AS best, round(1 / ln(2.0::DOUBLE), 11) AS worst, k AS insert_lines, k AS lookup_lines FROM k
-UNION ALL SELECT filter, k, round(f * (1 + s / k), 11), round(2 * (f * (1 + s / k)), 11), n, n FROM r, k""",
+    """WITH k AS (SELECT CAST(range AS INTEGER) AS k FROM range(1, 31)),
+t AS (SELECT * FROM (VALUES
+  ('classic', 1 / ln(2.0::DOUBLE), 0.0::DOUBLE, 1, 1.443::DOUBLE, -1, -1, -1, -1, true), ('linelocal', NULL, NULL, NULL, 1.565, 1, 1, 1, 1, true), ('choice2', NULL, NULL, NULL, 1.456, 2, 2, 1, 2, true),
+  ('cuckoo', 1.053, 3.0, 2, 2.73, 1, NULL, 2, 2, false), ('quotient', 1.053, 2.125, 2, 2.55, NULL, NULL, NULL, NULL, false), ('vector_quotient', 1.0753, 2.914, 2, 2.77, 2, 2, 2, 2, false)
+) t(filter, f, s, times, c10, il, ih, ll, lh, smooth))
+SELECT filter, k, round(f * (1 + s / k), 11) AS best, round(times * (f * (1 + s / k)), 11) AS worst, CASE k WHEN 10 THEN c10 END AS published_c10,
+  CAST(CASE il WHEN -1 THEN k ELSE il END AS DOUBLE) AS insert_low, CAST(CASE ih WHEN -1 THEN k ELSE ih END AS DOUBLE) AS insert_high,
+  CAST(CASE ll WHEN -1 THEN k ELSE ll END AS DOUBLE) AS lookup_low, CAST(CASE lh WHEN -1 THEN k ELSE lh END AS DOUBLE) AS lookup_high, smooth FROM t, k""",
 )
 def filter_overview(spark, sf_dir):
     return models.overview(spark)
 
 
+@query("overview_measured")
+def overview_measured(spark, sf_dir):
+    """Overhead factors at k = 10 beside the published ones: by building (classic, line-local, two choices) and by the model (line-local)."""
+    built = measure.required_sizes(packed_pairs(spark, sf_dir), [Cell(kind, c, 10) for kind, c in KINDS[:3]], steps=11)
+    name = F.when(F.col("kind") == "choice", F.lit("choice2")).otherwise(F.col("kind"))
+    known = F.coalesce(*[F.when(name == k, F.lit(v)) for k, v in models.AT_TEN.items()])
+    model = F.when(name == "linelocal", F.lit(models.required_linelocal(10) / math.log(2))).when(name == "classic", F.lit(1 / math.log(2)))
+    return built.select(name.alias("filter"), "k", "overhead", model.alias("model"), known.alias("published"))
+
+
+query("classic_model")(
+    lambda spark, sf_dir: spark.createDataFrame(
+        [(k, n, m, models.classic_load(n, k, m), math.log2(models.classic_fpr(n, k, m))) for k in KS for n in [1_000_000] for m in [round(n * k / math.log(2))]], "k int, n long, m long, load double, log2_fpr double"
+    )
+)
+ORACLES["classic_model"] = """SELECT k, CAST(1000000 AS BIGINT) AS n, m, 1 - pow(1 - 1.0::DOUBLE / m, 1000000 * k) AS load, log2(pow(1 - pow(1 - 1.0::DOUBLE / m, 1000000 * k), k)) AS log2_fpr
+FROM (SELECT k, CAST(round(1000000 * k / ln(2.0::DOUBLE)) AS BIGINT) AS m FROM (VALUES (4), (7), (10), (14), (17), (20)) t(k))"""
+
+
 @query("linelocal_model")
 def linelocal_model(spark, sf_dir):
-    import math
-
     return spark.createDataFrame([(k, round(math.log2(models.linelocal_fpr(k, 1.0)), 6), round(models.required_linelocal(k), 3)) for k in KS], "k int, log2_fpr double, rel_size double")
 
 
@@ -293,42 +405,111 @@ def _touched(spark, sf_dir, name: str):
     return measure.touches(_load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", build.build(keys, spec), spec)
 
 
+def _read(spark, sf_dir, name: str):
+    keys = _even_orders(spark, sf_dir)
+    spec = measure.four_kinds(keys.count(), 10)[name]
+    return measure.bits_examined(_load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", build.build(keys, spec), spec)
+
+
 @query("touches")
 def touches(spark, sf_dir):
     parts = [_touched(spark, sf_dir, n).withColumn("kind", F.lit(n)) for n in ("linelocal", "choice2", "choice3")]
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-query("bits_examined")(lambda spark, sf_dir: _touched(spark, sf_dir, "classic"))
+query("bits_examined", R.classic_bits_examined("(SELECT o_orderkey FROM orders WHERE o_orderkey % 2 = 0)", "o_orderkey", "lineitem", "l_orderkey", 10, 4))(
+    lambda spark, sf_dir: _read(spark, sf_dir, "classic")
+)
+
+
+@query("bits_examined_lines")
+def bits_examined_lines(spark, sf_dir):
+    parts = [_read(spark, sf_dir, n).withColumn("kind", F.lit(n)) for n in ("linelocal", "choice2", "choice3")]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
 # --- applications ------------------------------------------------------------------------------
+SPECIES = ("es", "de", "en")  # small, medium, large
+SPACE = {"classic": 1.0, "linelocal": 1.17, "choice2": 1.01, "choice3": 0.99}  # sizes that give 2^-14
+
+
+def _species_cells() -> list[Cell]:
+    return [Cell(name.rstrip("23"), int(name[-1]) if name[-1].isdigit() else 1, 14, rel_size=size, label=name) for name, size in SPACE.items()]
+
+
+def _species_grams(spark, sf_dir):
+    docs = _load(spark, sf_dir, "documents").where(F.col("lang").isin(*SPECIES))
+    return apps.gram_sets(docs.select("lang", "text"), "text", "lang", 31)
+
+
 @query("qgram_build_species")
 def qgram_build_species(spark, sf_dir):
-    """31-gram sets of the three "species" es, de, en; four filters at their own sizes; loads and sizes."""
-    docs, out = _load(spark, sf_dir, "documents"), []
-    for lang in ("es", "de", "en"):
-        keys = build.keys_of(apps.qgrams(docs.where(F.col("lang") == lang).select("text"), "text", 31), "gram")
-        n = keys.agg(F.approx_count_distinct("key64")).first()[0] or 1
-        for name, spec in measure.four_kinds(n, 14, shards=32, sized=True).items():
-            part = measure.load_summary(build.build(keys, spec), spec)
-            out.append(part.select(F.lit(lang).alias("lang"), F.lit(name).alias("kind"), F.lit(n).alias("keys"), F.lit(spec.bytes).alias("bytes"), "mean_ones", "max_ones"))
-    whole = out[0]
-    for p in out[1:]:
-        whole = whole.unionByName(p)
-    return whole
+    """31-gram sets of the three "species" in four filters, each at its own size: space, its ratio to the classic filter's, FPR from the loads."""
+    out = measure.grid(_species_grams(spark, sf_dir), _species_cells(), group="lang")
+    whole = F.max(F.when(F.col("label") == "classic", F.col("bytes"))).over(Window.partitionBy("lang"))
+    return out.select("lang", F.col("label").alias("kind"), F.col("n").alias("keys"), "bytes", F.round(F.col("bytes") / whole, 6).alias("space_ratio"), "log2_fpr", "mean_ones", "max_ones")
+
+
+@query("qgram_sets", f"""WITH t AS (SELECT lang, translate(lower(regexp_replace(text, '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') AS s FROM documents WHERE lang IN ('es', 'de', 'en'))
+SELECT lang, count(DISTINCT w) AS grams FROM (SELECT lang, substr(s, pos, 31) AS w FROM (SELECT lang, s, unnest(range(1, length(s) - 29)) AS pos FROM t WHERE length(s) >= 31)) GROUP BY lang""")
+def qgram_sets(spark, sf_dir):
+    return _species_grams(spark, sf_dir).groupBy("lang").agg(F.count("*").alias("grams"))
+
+
+@query("qgram_build_times")
+def qgram_build_times(spark, sf_dir):
+    """Wall time of each build of each set (least of 3 runs; grams held in memory), and its ratio to the line-local one."""
+    grams, rows = _species_grams(spark, sf_dir).persist(), []
+    for lang in SPECIES:
+        keys = grams.where(F.col("lang") == lang).select("key64", "ord").persist()
+        n, took = max(1, keys.count()), {}
+        for c in _species_cells():
+            spec = c.spec(n, max(8, -(-n // (1 << 20))))
+            runs = []
+            for _ in range(3):
+                began = time.perf_counter()
+                build.build(keys, spec, distinct=True).write.format("noop").mode("overwrite").save()
+                runs.append(time.perf_counter() - began)
+            took[c.label] = min(runs), spec.bytes
+        rows += [(lang, name, n, t, b, n / t / 1e6, t / took["linelocal"][0]) for name, (t, b) in took.items()]
+        keys.unpersist()
+    grams.unpersist()
+    return spark.createDataFrame(rows, "lang string, kind string, keys long, seconds double, bytes long, mkeys_per_s double, over_linelocal double")
 
 
 ORIGIN_FOLDS = 2
 
 
-@query("two_origin_sort")
-def two_origin_sort(spark, sf_dir):
-    """All documents and conversations as reads, en and de as origins: a document is asked of the origins' other fold, a conversation of both."""
+def _origins(spark, sf_dir):
     docs = _load(spark, sf_dir, "documents").withColumn("fold", apps.fold_of("doc_id", ORIGIN_FOLDS))
     reads = _load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), F.lit(None).cast("int").alias("fold"), "text")
     reads = reads.unionByName(docs.select((-F.col("doc_id") - 1).alias("read_id"), "fold", "text"))
-    return apps.two_origins(reads, docs.where("lang = 'en'"), docs.where("lang = 'de'"), folds=ORIGIN_FOLDS)
+    return reads, docs.where("lang = 'en'"), docs.where("lang = 'de'")
+
+
+@query("two_origin_sort")
+def two_origin_sort(spark, sf_dir):
+    """All documents and conversations as reads, en and de as origins: a document is asked of the origins' other fold, a conversation of both."""
+    return apps.two_origins(*_origins(spark, sf_dir), folds=ORIGIN_FOLDS)
+
+
+@query("two_origin_exact")
+def two_origin_exact(spark, sf_dir):
+    """The same reads sorted by the sets themselves."""
+    return apps.two_origins_exact(*_origins(spark, sf_dir), folds=ORIGIN_FOLDS)
+
+
+@query("two_origin_confusion")
+def two_origin_confusion(spark, sf_dir):
+    """Reads by class with the exact sets and with the filters, and the space of either: 8 bytes a gram against the filters' lines."""
+    reads, a, b = _origins(spark, sf_dir)
+    sets = apps.origin_sets(a, b, 27)
+    n = sets.count()
+    space = sum(spec.bytes for some in apps.origin_filters(sets, 17, 2, ORIGIN_FOLDS).values() for _, spec, _ in some)
+    told = apps.two_origins(reads, a, b, folds=ORIGIN_FOLDS).select("read_id", F.col("class").alias("by_filter"))
+    exact = apps.two_origins_exact(reads, a, b, folds=ORIGIN_FOLDS).select("read_id", F.col("class").alias("exact"))
+    out = exact.join(told, "read_id").groupBy("exact", "by_filter").agg(F.count("*").alias("reads"))
+    return out.withColumns({"exact_bytes": F.lit(8 * n), "filter_bytes": F.lit(space)})
 
 
 _some = "o_orderpriority = (SELECT min(o_orderpriority) FROM orders)"
@@ -356,10 +537,28 @@ def prefilter_anti(spark, sf_dir):
     return apps.prefilter(_load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber"), _priority(spark, sf_dir), "l_orderkey", "o_orderkey", "anti")
 
 
-@query("contamination_score")
+@query("prefilter_report")
+def prefilter_report(spark, sf_dir):
+    """What the filter lets through, and how much of it the join then removes, at k from 2 to 14."""
+    items, parts = _load(spark, sf_dir, "lineitem").select("l_orderkey"), None
+    for k in (2, 6, 10, 14):
+        part = apps.prefilter_report(items, _priority(spark, sf_dir), "l_orderkey", "o_orderkey", k).withColumn("k", F.lit(k))
+        parts = part if parts is None else parts.unionByName(part)
+    return parts
+
+
+@query(
+    "contamination_score",
+    f"""WITH g AS (SELECT 'd' AS side, doc_id AS id, translate(lower(regexp_replace(coalesce(text, ''), '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') AS s FROM documents
+UNION ALL SELECT 'b', item_id, translate(lower(regexp_replace(coalesce(text, ''), '[^A-Za-z]', '', 'g')), '{apps.LETTERS}', '{apps.FOUR}') FROM benchmark),
+w AS (SELECT side, id, substr(s, pos, 31) AS w FROM (SELECT side, id, s, unnest(range(1, length(s) - 29)) AS pos FROM g WHERE length(s) >= 31)),
+b AS (SELECT DISTINCT w FROM w WHERE side = 'b'),
+c AS (SELECT id AS doc_id, count(*) AS grams, count(b.w) AS hits FROM w LEFT JOIN b USING (w) WHERE side = 'd' GROUP BY id)
+SELECT d.doc_id, coalesce(c.grams, 0) AS grams, coalesce(c.hits, 0) AS hits, round(coalesce(c.hits / c.grams, 0), 9) AS share, CAST(quality AS DOUBLE) AS quality FROM documents d LEFT JOIN c USING (doc_id) LEFT JOIN labels USING (doc_id)""",
+)
 def contamination_score(spark, sf_dir):
     score = apps.contamination(_load(spark, sf_dir, "documents"), _load(spark, sf_dir, "benchmark"))
-    return score.join(_load(spark, sf_dir, "labels"), "doc_id", "left").select("doc_id", "grams", "hits", "share", "quality")
+    return score.join(_load(spark, sf_dir, "labels"), "doc_id", "left").select("doc_id", "grams", "hits", "share", F.col("quality").cast("double").alias("quality"))
 
 
 @query("unknown_count")
@@ -369,8 +568,8 @@ def unknown_count(spark, sf_dir):
     guess = 100 * (grams.where(F.pmod(F.xxhash64("doc_id"), F.lit(100)) == 0).agg(F.approx_count_distinct("gram")).first()[0] or 1)
     keys = build.keys_of(grams, "gram")
     spec = measure.four_kinds(guess, 10)["choice2"]
-    true = keys.agg(F.approx_count_distinct("key64")).first()[0]
-    return measure.fpr_from_loads(build.build(keys, spec), spec).select(F.lit(guess).alias("capacity"), F.lit(true / guess).alias("gamma"), "log2_fpr")
+    fpr, report = measure.fpr_from_loads(build.build(keys, spec), spec), measure.overload_report(keys, spec)
+    return report.join(fpr.select("log2_fpr"), how="cross").select("capacity", "inserted", "gamma", "log2_fpr", "penalty")  # a row each
 
 
 SEEN_SHARD_LINES = 1 << 12
@@ -399,6 +598,30 @@ def events_window_filters(spark, sf_dir):
     return stream.window_filters(events, "user_id", "ts", _daily, "1 day")
 
 
+@query("events_session_filters")
+def events_session_filters(spark, sf_dir):
+    """A filter of event types' ids per session of a user (pauses of 12 hours)."""
+    events = _load(spark, sf_dir, "events")
+    return stream.session_filters(events, "user_id", "event_id", "ts", _daily, "12 hours")
+
+
+@query("rival_cuckoo")
+def rival_cuckoo(spark, sf_dir):
+    """A cuckoo table of the even order keys (12-bit marks), asked for all orders of lineitem."""
+    keys = _even_orders(spark, sf_dir)
+    n = keys.count()
+    table = rivals.cuckoo_build(keys, n, 12, 4)
+    return rivals.cuckoo_probe(_load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey", table, n, 12, 4)
+
+
+@query("rival_platform_join", f"SELECT l_orderkey, l_linenumber, o_custkey FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE {_some}")
+def rival_platform_join(spark, sf_dir):
+    """The plain join, for which Spark may plan its own runtime filter (``rivals.runtime_filters``)."""
+    items = _load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber")
+    orders = _priority(spark, sf_dir).hint("merge")
+    return items.join(orders, items["l_orderkey"] == orders["o_orderkey"]).select("l_orderkey", "l_linenumber", "o_custkey")
+
+
 @query("rival_exact", "SELECT l_orderkey, l_orderkey % 2 = 0 AS maybe FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders)")
 def rival_exact(spark, sf_dir):
     return rivals.exact(_even_orders(spark, sf_dir), _load(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey")
@@ -421,10 +644,42 @@ def packed_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return build.keys_of(_load(spark, sf_dir, "lineitem"), F.shiftleft(F.col("l_partkey"), 32) + F.col("l_suppkey"))
 
 
+def _kinds(n: int, k: int, shards: int, bits: str = "random") -> dict[str, FilterSpec]:
+    return {f"{name} {bits}": spec for name, spec in measure.four_kinds(n, k, shards=shards, bits=bits).items() if not (bits == "distinct" and name == "classic")}
+
+
+def _distinct_pairs(spark, sf_dir):
+    keys = build.distinct_keys(packed_pairs(spark, sf_dir)).persist()
+    return keys, max(1, keys.count())
+
+
+def _sweep(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
 @query("throughput")
 def throughput(spark, sf_dir):
-    keys = packed_pairs(spark, sf_dir)
-    return measure.throughput(keys, measure.four_kinds(keys.count(), 14))
+    """Build, hit and miss lookups by all plans at k = 14 (mean of 3 runs)."""
+    keys, n = _distinct_pairs(spark, sf_dir)
+    return measure.throughput(keys, _kinds(n, 14, 8), plans=tuple(probe.PLANS))
+
+
+@query("throughput_by_shards")
+def throughput_by_shards(spark, sf_dir):
+    """Insertion at k = 14 against the count of writers."""
+    keys, n = _distinct_pairs(spark, sf_dir)
+    return _sweep([measure.throughput(keys, _kinds(n, 14, shards), lookups=False) for shards in (1, 2, 4, 8)])
+
+
+@query("throughput_by_k")
+def throughput_by_k(spark, sf_dir):
+    """Insertion (both footprints) and lookups (random) against k."""
+    keys, n = _distinct_pairs(spark, sf_dir)
+    parts = [measure.throughput(keys, _kinds(n, k, 8)) for k in (2, 3, 6, 10, 14, 20)]
+    return _sweep(parts + [measure.throughput(keys, _kinds(n, k, 8, "distinct"), lookups=False) for k in (2, 3, 6, 10, 14, 20)])
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

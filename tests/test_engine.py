@@ -1,6 +1,9 @@
 """The filter engine against its plain loop, its closed forms and DuckDB."""
 
+import datetime
+import decimal
 import math
+import time
 import zlib
 from dataclasses import replace
 
@@ -14,7 +17,7 @@ from memberset import kernels as K
 from memberset.advise import advise
 from memberset.cost import FORMS, AddedCost, ExpCost, TotalCost
 from memberset.geometry import FilterSpec, plan_spec
-from memberset.workloads import ORACLES, QUERIES
+from memberset.workloads import ORACLES, QUERIES, packed_pairs
 
 KINDS = (("classic", 1), ("linelocal", 1), ("choice", 2), ("choice", 3))
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
@@ -255,6 +258,386 @@ def test_first_events_of_many_users(spark, tmp_path):
     assert sorted(map(tuple, got)) == [(i, i) for i in range(users)]
 
 
+# --- keys of all types, odd names, hot keys ------------------------------------------------------
+EXTREMES = [0, 1, -1, 2**63 - 1, -(2**63), 7, 7, None]
+
+
+@pytest.mark.parametrize("kind,choices,bits", [("classic", 1, "random"), ("linelocal", 1, "sliced"), ("choice", 2, "random"), ("choice", 3, "distinct")])
+@pytest.mark.parametrize("plan", sorted(probe.PLANS))
+def test_every_plan_takes_every_key(spark, kind, choices, bits, plan):
+    if plan == "expression" and (kind == "classic" or bits == "distinct"):
+        pytest.skip("not for these footprints")
+    rows_ = [(i, k, None if k is None else f"k{k}", None if k is None else bytearray(f"b{k}".encode()), None if k is None else datetime.date(2000, 1, 1 + abs(k) % 28), None if k is None else decimal.Decimal(abs(k) % 1000), None if k is None else k % 2 == 0, "x") for i, k in enumerate(EXTREMES)]
+    df = spark.createDataFrame(rows_, "maybe int, `my key` long, `a.b` string, bin binary, day date, dec decimal(12,0), flag boolean, key64 string")
+    spec = plan_spec(20, 12, kind, choices, shards=3, bits=bits)
+    for key in df.columns[1:]:
+        inserted = df.where(F.col("maybe") < 4)
+        lines = build.build(build.keys_of(inserted, key), spec)
+        got = probe.probe(df, key, lines, spec, plan, out="held").collect()
+        assert len(got) == len(EXTREMES)
+        have = {r[key] if key != "bin" else bytes(r.bin) for r in inserted.collect()}
+        for r in got:
+            value = bytes(r.bin) if key == "bin" and r.bin is not None else r[key]
+            assert r.held is None if value is None else r.held == (value in have)
+        assert {(r.maybe, r["my key"], r["a.b"]) for r in got} == {x[:3] for x in rows_}
+
+
+def test_keys_that_would_lose_digits_are_refused(spark):
+    df = spark.createDataFrame([(1.5, 2.5, decimal.Decimal("1.5"))], "d double, f float, x decimal(10,2)")
+    for key in df.columns:
+        with pytest.raises(TypeError):
+            build.keys_of(df, key)
+    spec = FilterSpec(lines=8)
+    lines = build.build(build.keys_of(spark.range(3), "id"), spec)
+    with pytest.raises(TypeError):
+        probe.probe(df, "d", lines, spec)
+    with pytest.raises(ValueError):
+        probe.probe(spark.range(3).withColumn("maybe", F.lit(1)), "id", lines, spec)
+
+
+def test_a_hot_shard_is_served_by_several_tasks(spark, keys, monkeypatch):
+    spec = plan_spec(3000, 8, shards=3)
+    lines = build.build(keys, spec).cache()
+    hot = spark.range(4000).select(F.when(F.col("id") % 3 > 0, 17).when(F.col("id") % 9 == 0, None).otherwise(F.col("id")).alias("k"), "id")
+    want = rows(probe.probe(hot.where("k is not null"), "k", lines, spec, "array"))
+    monkeypatch.setattr(probe, "SHARD_ROWS", 200)
+    got = probe.probe(hot, "k", lines, spec, "shard")
+    assert rows(got.where("k is not null")) == want and got.where("k is null and maybe is null").count() == hot.where("k is null").count()
+    assert hot.select(F.spark_partition_id()).distinct().count() >= 1 and rows(probe.probe(hot.limit(0), "k", lines, spec, "shard")) == []
+
+
+def test_small_and_overfull_filters(spark):
+    one = spark.range(1)
+    for spec in (plan_spec(1, 10), plan_spec(1, 10, shards=7), FilterSpec("choice", 10, 3, 50, 1), FilterSpec("classic", 10, 1, 9, 1)):
+        many = build.keys_of(one.crossJoin(spark.range(10_000).select(F.lit(5).alias("k"))), "k")
+        lines = build.build(many, spec)
+        assert rows(lines) == rows(build.build(build.keys_of(one.select(F.lit(5).alias("k")), "k"), spec))
+        assert probe.probe(one.select(F.lit(5).alias("k")), "k", lines, spec).where("maybe").count() == 1
+    spec = plan_spec(500, 10)
+    full = build.keys_of(spark.range(1500), "id")
+    report = measure.overload_report(full, spec).first()
+    assert report.inserted == 1500 and report.gamma == 3.0 and report.penalty > 100
+    lines = build.build(full, spec)
+    assert measure.false_negatives(lines, spec, spark.range(1500), "id") == 0
+    assert measure.fpr(lines, spec, spark.range(2000, 6000), "id").first().fpr > 10 * 2**-10
+
+
+# --- builds ------------------------------------------------------------------------------------
+def test_bits_are_never_taken_back(spark, keys):
+    spec = plan_spec(3000, 10, shards=2)
+    early = build.build(keys.where("key64 < 1500"), spec)
+    late = build.insert_more(early, keys.where("key64 >= 1500"), spec).select("shard", "line", *[F.col(w).alias(f"n{w}") for w in build.W])
+    kept = early.join(late, ["shard", "line"], "left")
+    assert all(r[f"n{w}"] is not None and r[w] & r[f"n{w}"] == r[w] for r in kept.collect() for w in build.W)
+
+
+def test_fold_and_epochs(spark):
+    keys = spark.range(200).select(F.col("id").alias("key64"), (-F.col("id")).alias("ord"))
+    for choices, bits in ((2, "random"), (3, "distinct")):
+        spec = FilterSpec("choice", 8, choices, 3, 5, bits)
+        assert rows(build.build_fold(keys.union(keys), spec)) == rows(build.build(keys, spec))
+        for epochs in (1, 4):
+            lines = build.build_epochs(keys, spec, epochs)
+            assert measure.false_negatives(lines, spec, keys, "key64") == 0
+    assert rows(build.build_epochs(keys.limit(0), spec, 2)) == rows(build.build_fold(keys.limit(0), spec)) == []
+
+
+def test_lazy_lookup_and_bits_read():
+    rng = np.random.default_rng(5)
+    for choices, bits, k in ((1, "random", 7), (2, "random", 14), (3, "sliced", 10), (2, "random", 1)):
+        spec = FilterSpec("choice", k, choices, lines=30, bits=bits)
+        x = K.prepared(rng.integers(-(2**62), 2**62, 3000), spec)
+        lines, cand, address = np.zeros((30, 8), np.uint64), K.candidates(x, spec), K.addresses(x, spec)
+        K.insert(lines, cand[:900], K.masks(address)[:900], spec)
+        want = K.lookup(lines, cand, K.masks(address))
+        got = K.lazy_lookup(lines, x, np.zeros(len(x), np.int64), spec)
+        assert (want[0] == got[0]).all() and (want[1] == got[1]).all()
+        read = K.bits_examined(lines, cand, address)
+        for i in range(0, 3000, 97):
+            n = 0
+            for c in cand[i]:
+                bits_ = [int(lines[c, a >> 6]) >> int(a & 63) & 1 for a in address[i]]
+                n += bits_.index(0) + 1 if 0 in bits_ else k
+                if 0 not in bits_:
+                    break
+            assert read[i] == n
+
+
+def test_key_width_decides_the_hash_of_even_moduli():
+    a = hashing.constant(3, 1)
+    for x in (0, 5, 2**54 - 1, 123456789):
+        y = x * a % 2**64
+        one = np.array([x], np.uint64)
+        assert hashing.np_hash(one, a, 512, 54)[0] == (y >> 45) % 512 and hashing.np_hash(one, a, 500, 54)[0] == (y ^ (y >> 27)) % 500 and hashing.np_hash(one, a, 501, 54)[0] == y % 501
+    assert FilterSpec(width=54).u == 64 and FilterSpec(width=54, premix=False).u == 54
+    spec = FilterSpec("choice", 9, 2, 4, 16, premix=False, width=54)
+    x = K.prepared(np.random.default_rng(1).integers(0, 2**54, 4000), spec)
+    assert np.bincount(K.candidates(x, spec)[:, 0], minlength=16).min() > 150
+
+
+# --- measures ----------------------------------------------------------------------------------
+def test_candidates_may_coincide():
+    rng = np.random.default_rng(0)
+    for choices, lines in ((2, 4), (3, 5), (4, 3)):
+        chance = models.distinct_candidates(choices, lines)
+        drawn = rng.integers(0, lines, (20_000, choices))
+        seen = np.bincount([len(set(r)) for r in drawn.tolist()], minlength=choices + 1)[1:] / 20_000
+        assert abs(sum(chance) - 1) < 1e-12 and np.abs(seen - chance).max() < 0.02
+    assert abs(models.choice_fpr(0.01, 2, 8) - (0.01 / 8 + 7 / 8 * (1 - 0.99**2))) < 1e-12
+
+
+def test_grid_equals_build_and_probe(spark, monkeypatch):
+    keys = build.keys_of(spark.range(4000).selectExpr("id * 7919 + 11 AS k"), "k")
+    absent = spark.range(6000).selectExpr("-id - 1 AS key64")
+    monkeypatch.setattr(measure, "SHARD_KEYS", 1500)
+    cells = [measure.Cell(kind, c, k, b, rel, gamma) for kind, c in KINDS for k, b, rel, gamma in ((6, "random", 1.0, 1.0), (9, "distinct", 0.9, 1.2)) if (kind, b) != ("classic", "distinct")]
+    got = {(r.kind, r.choices, r.k): r for r in measure.grid(keys, cells, absent).collect()}
+    assert len(got) == len(cells)
+    for cell in cells:
+        spec, r = cell.spec(4000, 3), got[cell.kind, cell.choices, cell.k]
+        assert spec.shards == 3 and r.bytes == spec.bytes and r.n == 4000
+        lines = build.build(keys, spec)
+        assert measure.fpr(lines, spec, absent, "key64").first().false_pos == r.false_pos and r.probes == 6000
+        assert abs(measure.load_summary(lines, spec).first().mean_ones - r.mean_ones) < 1e-6
+        assert abs(measure.fpr_from_loads(lines, spec).first().log2_fpr - r.log2_fpr) < 1e-6
+    two = measure.grid(keys.withColumn("g", F.when(F.col("key64") % 3 == 0, "a").otherwise("b")), cells[:2], group="g").collect()
+    assert {r.g for r in two} == {"a", "b"} and sum(r.n for r in two) == 8000
+    assert measure.grid(keys.limit(0), cells).count() == 0
+
+
+@pytest.fixture(scope="module")
+def curves(spark):
+    """FPR (log2) of the four filters on the packed keys of lineitem."""
+    pairs = packed_pairs(spark, "/root/testdata/sf0.01")
+    cells = [measure.Cell(kind, c, k, b, rel) for kind, c in KINDS for b in ("random", "distinct") for k in (4, 10, 14, 17) for rel in (0.9, 1.0, 1.1) if (kind, b) != ("classic", "distinct")]
+    return {(r.kind, r.choices, r.k, r.bits, r.rel_size): r.log2_fpr for r in measure.grid(pairs, cells).collect()}
+
+
+def test_reported_behaviour_at_the_table(curves):
+    def at(kind, c, k, bits="random", rel=1.0):
+        return curves[kind, c, k, bits, rel]
+
+    for k in (4, 10, 14, 17):
+        assert abs(at("classic", 1, k) + k) < 0.1  # by construction
+        assert at("linelocal", 1, k) > at("classic", 1, k)
+        for kind, c in KINDS:
+            assert at(kind, c, k, rel=0.9) > at(kind, c, k) > at(kind, c, k, rel=1.1)
+    assert 2.7 < at("linelocal", 1, 17) + 17 < 3.3  # a factor of about eight
+    assert abs(at("linelocal", 1, 10) - at("classic", 1, 10) - 0.8) < 0.15
+    assert at("choice", 3, 4) > at("choice", 2, 4) > at("linelocal", 1, 4)
+    assert abs(at("choice", 2, 10) + 10) < 0.2 and abs(at("choice", 3, 10) + 10) < 0.2
+    for k in (14, 17):
+        assert at("choice", 3, k) < at("choice", 2, k) < at("linelocal", 1, k) and at("choice", 3, k) < at("classic", 1, k)
+        assert at("choice", 2, k, "distinct") < at("choice", 2, k) and at("choice", 3, k, "distinct") < at("choice", 3, k)
+    assert abs(at("choice", 2, 4, "distinct") - at("choice", 2, 4)) < 0.1
+
+
+def test_published_overheads(spark):
+    assert abs(models.required_linelocal(10) / math.log(2) - 1.565) < 0.01
+    keys = build.keys_of(spark.range(60_000), "id")
+    found = {(r.kind, r.choices): r.overhead for r in measure.required_sizes(keys, [measure.Cell(kind, c, 10) for kind, c in KINDS]).collect()}
+    assert abs(found["linelocal", 1] - 1.565) < 0.012 and abs(found["choice", 2] - 1.456) < 0.012 and abs(found["classic", 1] - 1.443) < 0.012 and found["choice", 3] < found["choice", 2]
+    table = {r.filter: r for r in models.overview(spark).where("k = 10").collect()}
+    assert (table["cuckoo"].insert_low, table["cuckoo"].insert_high, table["quotient"].lookup_low) == (1, None, None)
+    assert {k: r.published_c10 for k, r in table.items()} == models.AT_TEN and (table["choice2"].lookup_low, table["choice2"].lookup_high) == (1, 2)
+    assert all(abs(table[n].worst - table[n].published_c10) < 0.05 for n in models.RIVALS)
+
+
+def test_batches_come_near_key_by_key(spark):
+    keys = build.keys_of(spark.range(20_000), "id")
+    got = {r.epochs: r.log2_fpr for r in measure.grid(keys, [measure.Cell("choice", 2, 14, epochs=r) for r in (0, 1, 8, 64)]).collect()}
+    assert got[1] > got[8] > got[64] > got[0] - 0.05
+
+
+def test_cost_forms_at_the_table(spark, sf):
+    got = {(r.label, r.choices, r.k, r.bits): r.log2_fpr for r in QUERIES["cost_forms"](spark, sf).collect()}
+    for c in (2, 3):
+        best = got["exponential", c, 14, "random"]
+        assert best < got["total", c, 14, "random"] and best < got["added", c, 14, "random"] and best < got["linear", c, 14, "random"]
+
+
+# --- applications ------------------------------------------------------------------------------
+def test_acgt_windows(spark):
+    texts = ["ACGTNacgtt", "", None, "GATTACA" * 9, "é ACG", "AC"]
+    df = spark.createDataFrame(list(enumerate(texts)), "i long, t string")
+    for q, canonical in ((3, False), (4, True), (7, True), (31, True)):
+        want = []
+        for i, t in enumerate(texts):
+            raw = (t or "").upper()
+            for p in range(len(raw) - q + 1):
+                w = raw[p : p + q]
+                if all(c in "ACGT" for c in w):
+                    d = ["ACGT".index(c) for c in w]
+                    value = lambda ds: int("".join(map(str, ds)), 4)
+                    want.append((i, p + 1, min(value(d), value([3 - x for x in d[::-1]])) if canonical else value(d)))
+        assert rows(apps.qgrams(df, "t", q, "acgt", canonical)) == sorted(want)
+
+
+def test_hits_are_counted_alike_by_broadcast_and_by_shard(spark, monkeypatch):
+    texts = [(0, "The quick brown fox", 0), (1, None, 1), (2, "zzz", None), (3, "a quick brown dog and a quick brown fox", 1), (4, "", 0), (5, "brown foxes", None)]
+    df = spark.createDataFrame(texts, "row long, text string, fold int").withColumn("counts", F.lit("x"))
+    spec = plan_spec(60, 40, shards=2)
+    grams = {i: apps.grams_of([(t or "").encode()], 5)[2].tolist() for i, t, _ in texts}
+
+    def filter_of(i):
+        return build.build(build.keys_of(apps.qgrams(df.where(f"row = {i}").select("text"), "text", 5), "gram"), spec), spec
+
+    asked = {"one": [(0, 0)], "two": [(0, None), (3, 1)]}
+    sides = {name: [(*filter_of(i), f) for i, f in some] for name, some in asked.items()}
+    got = rows(apps.count_hits(df.na.fill({"text": "?"}).na.fill({"fold": 9}), "text", sides, 5, fold="fold"))
+    want = [len(grams[i]) for i, _, _ in texts], *([sum(any(g in grams[j] for j, f in some if f is None or f != fold) for g in grams[i]) for i, _, fold in texts] for some in asked.values())
+    assert [tuple(r[4:]) for r in got] == list(zip(*want)) and any(want[1]) and apps.count_hits(df, "text", sides, 5, fold="fold").count() == 6
+    df = df.na.fill({"text": "?"}).na.fill({"fold": 9})
+    monkeypatch.setattr(apps, "BROADCAST_BYTES", 0)
+    assert rows(apps.count_hits(df, "text", sides, 5, fold="fold")) == got
+
+
+def test_gram_sets(spark):
+    df = spark.createDataFrame([("a", "abcdefg"), ("a", "abcdefg"), ("b", "abcdefg"), ("b", None), (None, "abcdefg"), ("c", "ab")], "g string, t string")
+    got = apps.gram_sets(df, "t", "g", 4)
+    assert rows(got.groupBy("g").count()) == [("a", 4), ("b", 4)] and rows(got.where("g = 'a'").select("key64")) == rows(apps.qgrams(df.where("g = 'b'").select("t"), "t", 4).select("gram"))
+
+
+def test_exact_origins(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").toPandas()
+    got = {r.read_id: r for r in QUERIES["two_origin_exact"](spark, sf).collect()}
+    by_filter = {r.read_id: r for r in QUERIES["two_origin_sort"](spark, sf).collect()}
+    assert set(got) == set(by_filter)
+    grams = lambda text: apps.grams_of([(text or "").encode()], 27)[2].tolist()
+    sets: dict = {(lang, f): set() for lang in ("en", "de") for f in (0, 1)}
+    fold = {i: zlib.crc32(str(i).encode()) % 2 for i in docs.doc_id}
+    for i, lang, text in zip(docs.doc_id, docs.lang, docs.text):
+        if (lang, 0) in sets:
+            sets[lang, fold[i]].update(grams(text))
+    for i, text in zip(docs.doc_id, docs.text):
+        own, r = grams(text), got[-i - 1]
+        assert (r.grams, r.hits_a, r.hits_b) == (len(own), *(sum(g in sets[lang, 1 - fold[i]] for g in own) for lang in ("en", "de")))
+    assert sum(by_filter[i]["class"] == r["class"] for i, r in got.items()) > 0.99 * len(got)
+
+
+def test_contamination_keeps_every_document(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").union(spark.createDataFrame([(-1, None), (-2, "")], "doc_id long, text string"))
+    got = {r.doc_id: r for r in apps.contamination(docs, spark.read.parquet(f"{sf}/benchmark.parquet")).collect()}
+    assert len(got) == docs.count() and got[-1].grams == got[-2].grams == 0 and got[-1].share == 0.0
+
+
+def test_prefilter_report(spark):
+    left, right = spark.range(5000), spark.range(0, 10_000, 5).withColumnRenamed("id", "r")
+    r = apps.prefilter_report(left, right, "id", "r", 4).first()
+    assert (r.rows, r.partners) == (5000, 1000) and r.false_survivors == r.survivors - 1000 and 100 < r.false_survivors < 600
+
+
+# --- rivals ------------------------------------------------------------------------------------
+def test_cuckoo_tables(spark):
+    keys = build.keys_of(spark.range(20_000), "id")
+    table = rivals.cuckoo_build(keys.union(keys), 20_000, 12, 4).cache()
+    assert table.agg(F.max("failed")).first()[0] == 0
+    asked = spark.range(40_000).select(F.when(F.col("id") == 39_999, None).otherwise(F.col("id")).alias("slot"))
+    got = rivals.cuckoo_probe(asked, "slot", table, 20_000, 12, 4)
+    assert got.where("slot < 20000 and not maybe").count() == 0 and got.where("slot is null and maybe is null").count() == 1
+    assert got.where("slot >= 20000 and maybe").count() < 100
+    full = rivals.Cuckoo(1000, 8, walk=60)
+    assert full.insert(np.arange(4 * full.buckets + 50)) >= 50
+
+
+def test_platform_filters(spark, tmp_path):
+    big, small = spark.range(50_000).withColumnRenamed("id", "a"), spark.range(0, 50_000, 1000).withColumnRenamed("id", "b")
+    before = spark.conf.get("spark.sql.optimizer.runtime.bloomFilter.enabled")
+    with rivals.runtime_filters(spark):
+        assert big.join(small.hint("merge"), F.col("a") == F.col("b")).count() == 50
+    assert spark.conf.get("spark.sql.optimizer.runtime.bloomFilter.enabled") == before
+    rivals.save_with_column_filter(big, "a", str(tmp_path / "b"), 50_000)
+    assert spark.read.parquet(str(tmp_path / "b")).where("a = 77").count() == 1
+
+
+# --- streams -----------------------------------------------------------------------------------
+def _stream_of(spark, df, path, cuts):
+    for i, (lo, hi) in enumerate(zip(cuts, cuts[1:])):
+        df.where((F.col("n") >= lo) & (F.col("n") < hi)).coalesce(1).write.parquet(f"{path}/b{i:02d}")
+        time.sleep(0.02)
+    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(f"{path}/*")
+
+
+def _drained(writer, path):
+    query = writer.option("checkpointLocation", path).trigger(availableNow=True).start()
+    query.awaitTermination(180)
+    assert query.exception() is None
+
+
+def test_maintained_filter_writes_what_changed(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(stream, "COMPACT", 3)
+    spec = FilterSpec("choice", 10, 2, 16, 4)
+    df = spark.range(40).select(F.col("id").alias("n"), (F.col("id") * 31).alias("k"))
+    source = _stream_of(spark, df, str(tmp_path / "in"), [0, 30, 32, 34, 37, 40])
+    stream.maintain(source, "k", spec, str(tmp_path / "f"), str(tmp_path / "c")).trigger(availableNow=True).start().awaitTermination(180)
+    lines = stream.maintained(spark, str(tmp_path / "f"), 4)
+    keys = build.keys_of(df, "k", "n")
+    state = build.build(keys.where("ord < 30"), spec)
+    for lo, hi in ((30, 32), (32, 34), (34, 37), (37, 40)):
+        state = build.insert_more(state, keys.where(f"ord >= {lo} and ord < {hi}").withColumn("ord", F.col("key64")), spec)
+    assert rows(lines) == rows(state)
+    assert spark.read.parquet(str(tmp_path / "f" / "v=1")).select("shard").distinct().count() <= 2
+    assert spark.read.parquet(str(tmp_path / "f" / "v=3")).select("shard").distinct().count() == lines.select("shard").distinct().count()
+
+
+def test_window_filters_on_a_stream_drop_late_rows(spark, tmp_path):
+    spec = FilterSpec("linelocal", 6, 1, 1, 4)
+    times = [0, 3600, 86400 * 2, 86400 * 5, 100, 86400 * 9]  # the fifth comes four days late
+    df = spark.createDataFrame([(i, 10 + i, t) for i, t in enumerate(times)], "n long, k long, s long").select("n", "k", F.timestamp_seconds("s").alias("ts"))
+    source = _stream_of(spark, df, str(tmp_path / "in"), [0, 2, 3, 4, 5, 6])
+    _drained(stream.window_filters(source, "k", "ts", spec, "1 day", "1 day").writeStream.format("memory").queryName("days").outputMode("append"), str(tmp_path / "c"))
+    got = rows(spark.table("days"))
+    want = rows(stream.window_filters(df.where("n <> 4 and n < 4"), "k", "ts", spec, "1 day"))
+    assert got == want and len({r[0] for r in got}) == 3
+
+
+def test_sessions(spark):
+    spec = FilterSpec("linelocal", 6, 1, 2, 4)
+    events = [("u", 0, 1), ("u", 50, 2), ("u", 200, 3), ("v", 60, 1), (None, 5, 1), ("u", None, 9), ("v", 61, None)]
+    df = spark.createDataFrame(events, "user string, s long, k long").select("user", "k", F.timestamp_seconds("s").alias("ts"))
+    got = {}
+    for r in stream.session_filters(df, "user", "k", "ts", spec, "100 seconds").collect():
+        got.setdefault((r.per, r.session_start.timestamp()), set()).add(tuple(r)[3:])
+    want = {key: {tuple(x)[:-1] for x in build.build(build.keys_of(spark.createDataFrame([(k,) for k in ks], "k long"), "k"), spec).collect()} for key, ks in {("u", 0.0): [1, 2], ("u", 200.0): [3], ("v", 60.0): [1]}.items()}
+    assert got == want
+
+
+def test_rotating_stream_forgets(spark, tmp_path):
+    spec = FilterSpec("choice", 30, 2, 2, 32)
+    rows_ = [(0, 1, 0), (1, 2, 10), (2, 1, 20), (3, 1, 110), (4, 2, 150), (5, 3, 190), (6, 1, 410), (7, 3, 420)]
+    df = spark.createDataFrame(rows_, "n long, k long, s long").select("n", "k", F.timestamp_seconds("s").alias("ts"))
+    source = _stream_of(spark, df, str(tmp_path / "in"), [0, 2, 4, 6, 8])
+    _drained(stream.rotating_stream(source, "k", "ts", spec, 100).writeStream.format("memory").queryName("rotated").outputMode("append"), str(tmp_path / "c"))
+    got = [(r.key64, r.ord // 1_000_000) for r in spark.table("rotated").collect()]
+    assert {(1, 0), (2, 10), (3, 190), (1, 410)} <= set(got) and (1, 20) not in got and (1, 110) not in got
+
+
+def test_stream_prefilter(spark, tmp_path):
+    spec = plan_spec(100, 10)
+    table = spark.range(0, 200, 2).withColumnRenamed("id", "t")
+    lines = build.build(build.keys_of(table, "t"), spec)
+    df = spark.range(300).select(F.col("id").alias("n"), F.col("id").alias("k"), F.lit(0).alias("maybe"))
+    source = _stream_of(spark, df, str(tmp_path / "in"), [0, 150, 300])
+    _drained(stream.stream_prefilter(source, "k", lines, spec, table, "t").writeStream.format("memory").queryName("passed").outputMode("append"), str(tmp_path / "c"))
+    assert sorted(r.k for r in spark.table("passed").collect()) == list(range(0, 200, 2))
+
+
+def test_filter_aggregate(spark, keys):
+    spec = FilterSpec("choice", 8, 2, 1, 40)
+    sqlfuncs.register_aggregate(spark, "filter_of", spec)
+    keys.createOrReplaceTempView("numbers")
+    for r in spark.sql("SELECT key64 % 2 AS half, filter_of(key64) AS f FROM numbers WHERE key64 < 600 GROUP BY 1").collect():
+        lines = np.frombuffer(r.f, ">u8").astype(np.uint64).reshape(-1, 8)
+        found, _, _ = probe.answers(lines, np.arange(r.half, 600, 2), spec)
+        assert found.all() and not probe.answers(lines, np.arange(10**6, 10**6 + 100), spec)[0].all()
+
+
+@pytest.mark.parametrize("name", ["fpr_empirical", "touches", "bits_examined_lines", "unknown_count", "two_origin_confusion", "prefilter_report", "events_session_filters", "rival_cuckoo", "rival_fingerprints", "qgram_build_species", "linelocal_model"])
+def test_query_without_sql_runs(spark, sf, name):
+    got = QUERIES[name](spark, sf).collect()
+    assert got and all(len(r) for r in got)
+
+
 @pytest.mark.parametrize("name", sorted(ORACLES))
 def test_query_matches_sql(spark, sf, name):
     con = duckdb.connect()
