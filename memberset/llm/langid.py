@@ -252,4 +252,5 @@ def accepted(docs: DataFrame, least: float = 0.3) -> DataFrame:
             said, score = judge(model, batch.column(at))
             yield batch.filter(pa.array([k != "und" and p >= least for k, p in zip(said, score)], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    plain = docs.toDF(*(f"c{i}" for i in range(len(docs.columns))))  # mapInArrow looks columns up by plain names
+    return plain.mapInArrow(run, plain.schema).toDF(*docs.columns)

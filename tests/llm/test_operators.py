@@ -417,10 +417,11 @@ def test_only_letters_tell_a_language(spark):
     assert not any(map(langid.has_letter, ["", "\u00b2\u00b2\u00b2 123", "\u00bd \u2460 \u2163 _ 7", "!?"])) and all(map(langid.has_letter, ["a", "1\u65e5", "\u00b2\u00e9"]))
     rows = [(i, "the quick brown fox and the dog", "en", "the") for i in range(12)] + [(20 + i, "der schnelle braune fuchs und der hund", "de", "x") for i in range(12)]
     rows += [(0, "\u00b2\u00b2\u00b2 123", None, ""), (None, "123", None, ""), (None, "the lazy dog and the fox", None, ""), (20, "...", None, "")]
-    table = spark.createDataFrame(rows, "doc_id long, text string, lang string, score string")
+    table = spark.createDataFrame(rows, "doc_id long, text string, lang string, score string").withColumn("a.b", F.lit(1)).withColumn("c`d e", F.lit(2))
     said = [(r.doc_id, r.lang_pred, r.score) for r in langid.identify(table).collect()]
     assert said.count((0, "und", 0.0)) == said.count((None, "und", 0.0)) == said.count((20, "und", 0.0)) == 1
     kept = Counter((r.doc_id, r.text) for r in langid.accepted(table).collect())
+    assert langid.accepted(table).columns == table.columns
     assert kept == Counter((i, t) for i, t, _, _ in rows if langid.has_letter(t))  # rows without letters go, their namesakes stay
 
 
@@ -509,7 +510,7 @@ def test_clean_judges_every_row_by_its_own_text(spark):
     dirty, good = "one two three four five six seven eight nine ten", "a clean row of words that no item holds at all anywhere"
     rows = [(1, f"so {dirty} so"), (1, good), (None, dirty), (None, good), (2, None), (2, "")]
     bench = spark.createDataFrame([(5, dirty), (6, None), (6, "")], "item_id long, text string")
-    for table in (spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(rows, "doc_id long, text string").selectExpr("1 AS row", "2 AS n_hit", "*", "3 AS items")):
+    for table in (spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(rows, "doc_id long, text string").selectExpr("1 AS row", "2 AS n_hit", "*", "3 AS items", "4 AS `a.b`")):
         got = decontam.clean(table, bench)
         assert got.columns == table.columns and Counter((r.doc_id, r.text) for r in got.collect()) == Counter([(1, good), (None, good), (2, None), (2, "")])
     assert decontam.clean(table, bench.limit(0)).count() == len(rows)
