@@ -612,6 +612,25 @@ def test_rotating_stream_forgets(spark, tmp_path):
     assert {(1, 0), (2, 10), (3, 190), (1, 410)} <= set(got) and (1, 20) not in got and (1, 110) not in got
 
 
+def test_an_idle_pair_is_dropped_by_its_timer(spark, tmp_path):
+    spec = FilterSpec("choice", 30, 2, 1, 32)
+    df = spark.createDataFrame([(0, 5, 10), (1, 5, 11)], "n long, k long, s long").select("n", "k", F.timestamp_seconds("s").alias("ts"))
+    source = _stream_of(spark, df, str(tmp_path / "in"), [0, 1])
+    rotated = stream.rotating_stream(source, "k", "ts", spec, 100, idle="1").writeStream.format("memory").queryName("idle").outputMode("append")
+    query = rotated.option("checkpointLocation", str(tmp_path / "c")).trigger(processingTime="1 second").start()
+    try:
+        for count, file in ((1, (1, 2)), (2, None)):
+            end = time.time() + 60
+            while spark.table("idle").count() < count and time.time() < end:
+                time.sleep(0.5)
+            assert spark.table("idle").count() == count
+            if file:
+                time.sleep(8)  # the pair is gone by now, so the key is new again
+                df.where(F.col("n") == 1).coalesce(1).write.parquet(str(tmp_path / "in" / "later"))
+    finally:
+        query.stop()
+
+
 def test_stream_prefilter(spark, tmp_path):
     spec = plan_spec(100, 10)
     table = spark.range(0, 200, 2).withColumnRenamed("id", "t")
