@@ -266,5 +266,6 @@ def keep_one(docs: DataFrame, radius: int = RADIUS) -> DataFrame:
     placed = prints.join(comp, "fp", "left").select(F.coalesce("root", "fp").alias("root"), F.struct("doc_id.none", "doc_id.id", "fp", "doc_id.row").alias("at"))
     placed = stage(placed, "placed")
     first = placed.groupBy("root").agg(F.min("at").alias("first"))
-    gone = placed.join(first, "root").where(F.col("at.row") != F.col("first.row")).select(F.col("at.row").alias(row))
+    # By row, not by component: a component of many copies would meet in one task.
+    gone = placed.select(F.col("at.row").alias(row)).join(first.select(F.col("first.row").alias(row)), row, "left_anti")
     return rows.join(stage(gone, "copies"), row, "left_anti").select(columns_of(docs))
