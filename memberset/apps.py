@@ -10,10 +10,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
+from . import kernels as K
 from .build import build, keys_of
 from .geometry import FilterSpec, plan_spec
 from .keys import columns_of, free_names, quoted
-from .probe import BROADCAST_BYTES, answers, as_array, probe
+from .probe import BROADCAST_BYTES, answers, as_arrays, probe
 
 # The projection of letters to the four-letter alphabet goes round and round.
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
@@ -107,33 +108,41 @@ HELD_GRAMS = 1 << 20
 
 
 def gram_sets(df: DataFrame, text: str, group: str, q: int = 31, alphabet: str = "four", canonical: bool = False) -> DataFrame:
-    """(group, key64, ord): the distinct grams of each value of ``group`` (few of them). Repeats go in the tasks already."""
-    kind = df.schema[group].dataType
+    """(group, key64, ord): the distinct grams of each value of ``group`` (few of them).
+
+    Most repeats go in the tasks already, by sorting; what is left goes to its place once and is compared there, without an
+    aggregate before the shuffle that would hold nearly every gram. Groups travel as numbers.
+    """
+    kind, spark = df.schema[group].dataType, df.sparkSession
     source = df.select(F.col(quoted(group)).alias("g"), F.col(quoted(text)).alias("t")).where("g is not null and t is not null")
-    schema = StructType([StructField(group, kind), StructField("key64", LongType())])
+    names = sorted(r["g"] for r in source.select("g").distinct().collect())
+    if not names:
+        return spark.createDataFrame([], StructType([StructField(group, kind), StructField("key64", LongType()), StructField("ord", LongType())]))
+    table = F.array(*[F.lit(n).cast(kind) for n in names])
+    source = source.select((F.array_position(table, F.col("g")) - 1).cast("int").alias("g"), "t")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict = {}
 
         def emit(g, parts: list) -> pa.RecordBatch:
-            grams = np.unique(np.concatenate(parts))
-            return pa.RecordBatch.from_arrays([pa.array([g] * len(grams), batch.column(0).type), pa.array(grams)], [group, "key64"])
+            grams = K.once(np.concatenate(parts))
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(grams), g, np.int32)), pa.array(grams)], ["g", "key64"])
 
         for batch in batches:
-            names = batch.column(0).to_pylist()
+            groups = batch.column(0).to_numpy()
             for lo, texts in _slices(batch.column(1)):
                 owner, _, gram = grams_of(texts, q, alphabet, canonical)
-                some = names[lo : lo + len(texts)]
-                for g in dict.fromkeys(some):
-                    mine = np.array([x == g for x in some])
+                some = groups[lo : lo + len(texts)]
+                for g in K.once(some).tolist():
                     parts = held.setdefault(g, [])
-                    parts.append(gram[mine[owner]])
+                    parts.append(gram[(some == g)[owner]])
                     if sum(map(len, parts)) >= HELD_GRAMS:
                         yield emit(g, held.pop(g))
         for g, parts in held.items():
             yield emit(g, parts)
 
-    return source.mapInArrow(run, schema).distinct().withColumn("ord", F.col("key64"))
+    sets = source.mapInArrow(run, "g int, key64 long").repartition("g", "key64").distinct()
+    return sets.select(F.get(table, F.col("g")).alias(group), "key64", F.col("key64").alias("ord"))
 
 
 Sides = dict[str, list[tuple[DataFrame, FilterSpec, int | None]]]
@@ -150,7 +159,8 @@ def count_hits(df: DataFrame, text: str, sides: Sides, q: int = 31, alphabet: st
     own = F.coalesce(F.col(quoted(fold)).cast("int"), F.lit(-1)) if fold else F.lit(-1)
     if sum(spec.bytes for _, spec, _ in every) > BROADCAST_BYTES:
         return _count_by_shard(df, text, sides, q, alphabet, own)
-    shared = df.sparkSession.sparkContext.broadcast({name: [(as_array(lines, spec), spec, f) for lines, spec, f in some] for name, some in sides.items()})
+    arrays = iter(as_arrays([(lines, spec) for lines, spec, _ in every]))
+    shared = df.sparkSession.sparkContext.broadcast({name: [(next(arrays), spec, f) for _, spec, f in some] for name, some in sides.items()})
 
     def count(texts: pa.Array, folds: pa.Array) -> pa.Array:
         asked, mine = shared.value, folds.to_numpy()
@@ -158,13 +168,13 @@ def count_hits(df: DataFrame, text: str, sides: Sides, q: int = 31, alphabet: st
         for lo, some in _slices(texts):
             owner, _, gram = grams_of(some, q, alphabet)
             sums[lo : lo + len(some), 0] = np.bincount(owner, minlength=len(some))
-            once, back = np.unique(gram, return_inverse=True)
             of = mine[lo : lo + len(some)][owner]
             for i, filters in enumerate(asked.values(), 1):
                 found = np.zeros(len(gram), bool)
                 for array, spec, f in filters:
-                    if f is None or (of != f).any():
-                        found |= answers(array, once, spec)[0][back] & (of != (-2 if f is None else f))
+                    ask = np.flatnonzero(~found if f is None else ~found & (of != f))
+                    if len(ask):
+                        found[ask] = answers(array, gram[ask], spec)[0]
                 sums[lo : lo + len(some), i] = np.bincount(owner[found], minlength=len(some))
         return pa.ListArray.from_arrays(pa.array(np.arange(len(texts) + 1, dtype=np.int32) * sums.shape[1]), pa.array(sums.reshape(-1)))
 

@@ -202,15 +202,17 @@ def _measured(spec: FilterSpec, epochs: int, x: np.ndarray, asked: np.ndarray, k
     return wrong, int(ones.sum()), int(ones.max()), choice_fpr(p, spec.choices, spec.lines)
 
 
-def grid(keys: DataFrame, cells: list[Cell], absent: DataFrame | None = None, group: str | None = None) -> DataFrame:
+def grid(keys: DataFrame, cells: list[Cell], absent: DataFrame | None = None, group: str | None = None, distinct: bool = False, shard_keys: int | None = None) -> DataFrame:
     """A row of GRID per cell (and per value of the column ``group``, few of them) for the distinct key64 of ``keys``.
 
     fpr is expected from the loads; fpr_probed is the share of false answers among ``absent`` (key64, group). The keys
-    are copied once per share of the cells, as many shares as it takes to busy the cluster.
+    are copied once per share of the cells, as many shares as it takes to busy the cluster. ``distinct`` says that no
+    (group, key64) repeats. Multi-choice insertion is faster in shards of more keys (``shard_keys``), which meet less.
     """
     spark = keys.sparkSession
     name = F.col(group) if group else F.lit("")
-    have = keys.select(name.alias("g"), "key64", F.lit(False).alias("asked")).where("key64 is not null").distinct()
+    have = keys.select(name.alias("g"), "key64", F.lit(False).alias("asked")).where("key64 is not null")
+    have = have if distinct else have.distinct()
     if absent is not None:
         have = have.unionByName(absent.select(F.col(group).alias("g") if group else F.lit("").alias("g"), "key64", F.lit(True).alias("asked")))
     have = have.persist()
@@ -218,7 +220,7 @@ def grid(keys: DataFrame, cells: list[Cell], absent: DataFrame | None = None, gr
     if not counts:
         return spark.createDataFrame([], (f"{group} string, " if group else "") + GRID)
     names = sorted(counts, key=str)
-    shards = max(1, math.ceil(max(counts.values()) / SHARD_KEYS))
+    shards = max(1, math.ceil(max(counts.values()) / (shard_keys or SHARD_KEYS)))
     shares = max(1, min(len(cells), math.ceil(4 * spark.sparkContext.defaultParallelism / (shards * len(names)))))
     # Costly cells first, dealt round; cells of one footprint lie together in a share.
     order = sorted(range(len(cells)), key=lambda i: (cells[i].choices > 1, cells[i].k, cells[i].bits), reverse=True)

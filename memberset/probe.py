@@ -13,6 +13,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -34,13 +35,24 @@ SHARD_ROWS = 1 << 22
 
 def as_array(lines: DataFrame, spec: FilterSpec) -> np.ndarray:
     """(shards x lines, 8) on the driver; refused beyond BROADCAST_BYTES."""
-    if spec.bytes > BROADCAST_BYTES:
+    return as_arrays([(lines, spec)])[0]
+
+
+def as_arrays(filters: list[tuple[DataFrame, FilterSpec]]) -> list[np.ndarray]:
+    """The arrays of several filters, built in one job; refused where they are beyond BROADCAST_BYTES together."""
+    if sum(spec.bytes for _, spec in filters) > BROADCAST_BYTES:
         raise ValueError("filter too large for one array: use the join or shard plan")
-    out = np.zeros((spec.shards * spec.lines, WORDS), np.uint64)
-    got = lines.select("shard", "line", *W).toArrow()
-    at = got["shard"].to_numpy().astype(np.int64) * spec.lines + got["line"].to_numpy()
-    for i, w in enumerate(W):
-        out[at, i] = got[w].to_numpy().view(np.uint64)
+    tagged = [lines.select(F.lit(i).alias("filter"), "shard", "line", *W) for i, (lines, _) in enumerate(filters)]
+    got = reduce(DataFrame.union, tagged).toArrow()
+    owner, shard, line = (got[c].to_numpy() for c in ("filter", "shard", "line"))
+    words, out = [got[w].to_numpy().view(np.uint64) for w in W], []
+    for i, (_, spec) in enumerate(filters):
+        mine = np.flatnonzero(owner == i)
+        array = np.zeros((spec.shards * spec.lines, WORDS), np.uint64)
+        at = shard[mine].astype(np.int64) * spec.lines + line[mine]
+        for j, w in enumerate(words):
+            array[at, j] = w[mine]
+        out.append(array)
     return out
 
 
@@ -186,4 +198,4 @@ def probe(df: DataFrame, key: str | Column, lines: DataFrame, spec: FilterSpec,
     return PLANS[plan](df, key, lines, spec, out)
 
 
-__all__ = ["PLANS", "answers", "as_array", "by_array", "by_expression", "by_join", "by_shard", "probe", "quoted"]
+__all__ = ["PLANS", "answers", "as_array", "as_arrays", "by_array", "by_expression", "by_join", "by_shard", "probe", "quoted"]

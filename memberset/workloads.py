@@ -29,6 +29,12 @@ def _load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def _texts(spark: SparkSession, df: DataFrame) -> DataFrame:
+    """df, straight from a table, for a pass over its texts: dealt out where the scan has fewer tasks than there are cores."""
+    cores = spark.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
+
+
 def query(name: str, sql: str | None = None):
     def put(f):
         QUERIES[name] = f
@@ -439,13 +445,13 @@ def _species_cells() -> list[Cell]:
 
 def _species_grams(spark, sf_dir):
     docs = _load(spark, sf_dir, "documents").where(F.col("lang").isin(*SPECIES))
-    return apps.gram_sets(docs.select("lang", "text"), "text", "lang", 31)
+    return apps.gram_sets(_texts(spark, docs.select("lang", "text")), "text", "lang", 31)
 
 
 @query("qgram_build_species")
 def qgram_build_species(spark, sf_dir):
     """31-gram sets of the three "species" in four filters, each at its own size: space, its ratio to the classic filter's, FPR from the loads."""
-    out = measure.grid(_species_grams(spark, sf_dir), _species_cells(), group="lang")
+    out = measure.grid(_species_grams(spark, sf_dir), _species_cells(), group="lang", distinct=True, shard_keys=1 << 18)
     whole = F.max(F.when(F.col("label") == "classic", F.col("bytes"))).over(Window.partitionBy("lang"))
     return out.select("lang", F.col("label").alias("kind"), F.col("n").alias("keys"), "bytes", F.round(F.col("bytes") / whole, 6).alias("space_ratio"), "log2_fpr", "mean_ones", "max_ones")
 
@@ -481,7 +487,7 @@ ORIGIN_FOLDS = 2
 
 
 def _origins(spark, sf_dir):
-    docs = _load(spark, sf_dir, "documents").withColumn("fold", apps.fold_of("doc_id", ORIGIN_FOLDS))
+    docs = _texts(spark, _load(spark, sf_dir, "documents").select("doc_id", "text", "lang")).withColumn("fold", apps.fold_of("doc_id", ORIGIN_FOLDS))
     reads = _load(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), F.lit(None).cast("int").alias("fold"), "text")
     reads = reads.unionByName(docs.select((-F.col("doc_id") - 1).alias("read_id"), "fold", "text"))
     return reads, docs.where("lang = 'en'"), docs.where("lang = 'de'")
